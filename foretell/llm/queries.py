@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, token_counts, url_filter
+from . import decontaminate, mixing, quality, sharding, token_counts, toxicity, url_filter
 from .common import table
 
 #: Host and path rules of the URL query (fixed values of its contract).
@@ -20,6 +20,27 @@ URL_RULES = [
     ("net", "/fr/", "block"),
 ]
 TOKEN_LIMIT = 2048
+TOXICITY_CHAIN = ["low_quality", "toxic"]
+
+
+def op1_balanced_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    placed = sharding.shard_documents(table(spark, sf_dir, "documents"), 8)
+    return placed.select("doc_id", "size", "text_crc32", F.lit("rows").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
+
+
+def op6_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.mix(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken", "copies", "shards")
+
+
+def op2_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return quality.judge(docs, quality.train(docs, table(spark, sf_dir, "labels")))
+
+
+def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    chain = toxicity.train(docs, toxicity.with_complement(table(spark, sf_dir, "labels")), TOXICITY_CHAIN)
+    return toxicity.score(docs, chain, TOXICITY_CHAIN).withColumn("toxic", F.col("p_toxic") >= toxicity.THRESHOLD)
 
 
 def op3_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -45,6 +66,10 @@ def op7_token_counts(spark: SparkSession, sf_dir: str, vocabulary: str | None =
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_balanced_shards": op1_balanced_shards,
+        "op6_mix": op6_mix,
+        "op2_quality": op2_quality,
+        "op8_toxicity": op8_toxicity,
         "op3_url_filter": op3_url_filter,
         "op4_decontaminate": op4_decontaminate,
         "op7_token_counts": op7_token_counts,

@@ -82,16 +82,34 @@ class Chunk:
         #: word_offsets[i] .. word_offsets[i + 1]: the words of text i
         self.word_offsets = np.searchsorted(self.starts, offsets)
 
-    def word_hashes(self) -> np.ndarray:
-        """64-bit hash of every word's bytes, equal for equal words in any chunk."""
-        if not len(self.starts):
+        self._sums: np.ndarray | None = None
+
+    def span_hashes(self, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+        """64-bit hash of the bytes of each span, equal for equal bytes in any chunk."""
+        if not len(starts):
             return np.empty(0, np.uint64)
         up, down = _power_tables(len(self.data) + 1)
-        sums = np.empty(len(self.data) + 1, np.uint64)
-        sums[0] = 0
-        np.cumsum(_BYTE_CODE[self.data] * up[:-1], out=sums[1:])
-        h = (sums[self.ends] - sums[self.starts]) * down[self.starts]
-        return mix64(h + (self.ends - self.starts).astype(np.uint64) * _U(0xA0761D6478BD642F))
+        if self._sums is None:
+            self._sums = np.zeros(len(self.data) + 1, np.uint64)
+            np.cumsum(_BYTE_CODE[self.data] * up[:-1], out=self._sums[1:])
+        h = (self._sums[ends] - self._sums[starts]) * down[starts]
+        return mix64(h + (ends - starts).astype(np.uint64) * _U(0xA0761D6478BD642F))
+
+    def word_hashes(self) -> np.ndarray:
+        return self.span_hashes(self.starts, self.ends)
+
+    def gram_hashes(self, n: int) -> np.ndarray:
+        """Hash of the ``n`` bytes from each byte on (the last n - 1 of the chunk left out)."""
+        at = np.arange(max(0, len(self.data) - n + 1))
+        return self.span_hashes(at, at + n)
+
+    def per_text(self, flags: np.ndarray) -> np.ndarray:
+        """Sum of a per-byte array over each text."""
+        sums = np.concatenate((np.zeros(1, np.float64 if flags.dtype.kind == "f" else np.int64), np.cumsum(flags)))
+        return sums[self.offsets[1:]] - sums[self.offsets[:-1]]
+
+    def text_of_word(self) -> np.ndarray:
+        return np.repeat(np.arange(self.n), np.diff(self.word_offsets))
 
 
 def ngram_hashes(words: np.ndarray, n: int) -> np.ndarray:
