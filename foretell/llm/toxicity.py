@@ -4,7 +4,7 @@ Categories are label columns in a fixed order.  Each link is a logistic regressi
 presence of hashed words and word beginnings plus the log-odds of the categories before it;
 later links are trained on out-of-fold predictions of the earlier ones, so that what they see
 in training is what they will see on new texts.  The features of a link are those whose
-presence differs between the classes beyond a fixed chi-square level.
+presence speaks for the category beyond a fixed chi-square level and log ratio.
 
 The given label table has one toxicity label, so the query's chain is ``low_quality`` (the
 complement of the quality label) and then ``toxic``; any number of columns may be chained.
@@ -28,8 +28,10 @@ from . import textkernel as K
 BITS = 20
 #: Word beginnings (bytes) that are features beside the whole word.
 BEGINNINGS = (4, 5, 6)
-#: Chi-square level of a feature, and texts it must stand in at least.
-LEVEL, LEAST = 12.0, 4
+#: Chi-square level of a feature, and labelled texts it must stand in at least.
+LEVEL, LEAST = 30.0, 4
+#: Log ratio of presence in favour of the category from which a feature may be used.
+TOWARDS = 2.5
 FOLDS = 3
 THRESHOLD = 0.5
 
@@ -88,9 +90,12 @@ def _learn(x: linear.Sparse, y: np.ndarray, dense: np.ndarray) -> tuple[np.ndarr
     c, d = n1 - one, n0 - zero
     n = n1 + n0
     chi = n * (a * d - b * c) ** 2 / np.maximum(1e-9, (a + b) * (c + d) * (a + c) * (b + d))
-    picked = (chi >= LEVEL) & (both >= LEAST)
-    start = np.where(picked, np.log((one + 0.5) / (n1 + 1)) - np.log((zero + 0.5) / (n0 + 1)), 0.0)
-    w, bias, v = linear.fit(x.only(picked), y, dim, start=start * 0.5, dense=dense, l2=2e-3, rate=0.2, steps=120)
+    ratio = np.log((one + 0.5) / (n1 + 1)) - np.log((zero + 0.5) / (n0 + 1))
+    picked = (chi >= LEVEL) & (both >= LEAST) & (ratio > TOWARDS)
+    own = x.only(picked)
+    start = np.where(picked, ratio, 0.0)
+    start *= max(0.0, linear.platt(own.dot(start), y)[0])
+    w, bias, v = linear.fit(own, y, dim, start=start, dense=dense, l2=1e-4, rate=0.1, steps=100)
     return np.where(picked, w, 0.0), bias, v
 
 
