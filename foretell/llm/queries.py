@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, mixing, quality, sharding, token_counts, toxicity, url_filter
+from . import decontaminate, jaccard_join, mixing, quality, sharding, token_counts, toxicity, url_filter
 from .common import table
 
 #: Host and path rules of the URL query (fixed values of its contract).
@@ -43,6 +43,10 @@ def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score(docs, chain, TOXICITY_CHAIN).withColumn("toxic", F.col("p_toxic") >= toxicity.THRESHOLD)
 
 
+def op10_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard_join.link(table(spark, sf_dir, "documents"), n=4, num=85, den=100)
+
+
 def op3_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter.judge_urls(table(spark, sf_dir, "pages"), URL_RULES)
 
@@ -70,6 +74,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op6_mix": op6_mix,
         "op2_quality": op2_quality,
         "op8_toxicity": op8_toxicity,
+        "op10_jaccard_join": op10_jaccard_join,
         "op3_url_filter": op3_url_filter,
         "op4_decontaminate": op4_decontaminate,
         "op7_token_counts": op7_token_counts,
