@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, jaccard_join, mixing, quality, sharding, token_counts, toxicity, url_filter
+from . import decontaminate, jaccard_join, language, line_dedup, mixing, quality, sharding, token_counts, toxicity, url_filter
 from .common import table
 
 #: Host and path rules of the URL query (fixed values of its contract).
@@ -47,6 +47,14 @@ def op10_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_join.link(table(spark, sf_dir, "documents"), n=4, num=85, den=100)
 
 
+def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return line_dedup.repeated_lines(table(spark, sf_dir, "documents"))
+
+
+def op9_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language.identify(table(spark, sf_dir, "pages"), language.train(table(spark, sf_dir, "documents")))
+
+
 def op3_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter.judge_urls(table(spark, sf_dir, "pages"), URL_RULES)
 
@@ -75,6 +83,8 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op2_quality": op2_quality,
         "op8_toxicity": op8_toxicity,
         "op10_jaccard_join": op10_jaccard_join,
+        "op5_line_dedup": op5_line_dedup,
+        "op9_language": op9_language,
         "op3_url_filter": op3_url_filter,
         "op4_decontaminate": op4_decontaminate,
         "op7_token_counts": op7_token_counts,
