@@ -158,37 +158,39 @@ class FeatureSpec:
 _NUMERIC = ("tinyint", "smallint", "int", "bigint", "float", "double", "boolean")
 
 
-def numeric_expressions(df: DataFrame, names: list[str], *, most_levels: int = 20) -> list[tuple[str, Column]]:
-    """Predictor columns of any supported type as named double expressions.
+def numeric_expressions(df: DataFrame, names: list[str], *, most_levels: int = 20) -> list[tuple[str, str]]:
+    """Predictor columns of any supported type as named SQL expressions of type double.
 
     Numbers, booleans and decimals are cast; timestamps and dates give day, hour and weekday;
     arrays of numbers are expanded to the length found in the first row; strings of few levels
     become indicators, other strings statistics of the text; binary and nested types raise.
     """
-    out: list[tuple[str, Column]] = []
+    out: list[tuple[str, str]] = []
     kinds = dict(df.dtypes)
     for n in names:
-        kind, c = kinds[n], F.col(n)
+        kind, q = kinds[n], f"`{n}`"
         if kind in _NUMERIC or kind.startswith("decimal"):
-            out.append((n, c.cast("double")))
+            out.append((n, f"CAST({q} AS DOUBLE)"))
         elif kind in ("timestamp", "timestamp_ntz", "date"):
-            out += [(f"{n}_day", F.datediff(c, F.lit("1998-06-01").cast("date")).cast("double")), (f"{n}_weekday", F.dayofweek(c).cast("double"))]
+            out += [(f"{n}_day", f"CAST(datediff({q}, DATE'1998-06-01') AS DOUBLE)"), (f"{n}_weekday", f"CAST(dayofweek({q}) AS DOUBLE)")]
             if kind != "date":
-                out.append((f"{n}_hour", F.hour(c).cast("double")))
+                out.append((f"{n}_hour", f"CAST(hour({q}) AS DOUBLE)"))
         elif kind in ("array<float>", "array<double>", "array<int>"):
-            first = df.select(F.size(c).alias("n")).filter("n > 0").first()
-            out += [(f"{n}_{i}", F.get(c, i).cast("double")) for i in range(first["n"] if first else 0)]
+            first = df.select(F.size(n).alias("n")).filter("n > 0").first()
+            out += [(f"{n}_{i}", f"CAST(get({q}, {i}) AS DOUBLE)") for i in range(first["n"] if first else 0)]
         elif kind == "string":
-            levels = [r[0] for r in df.select(c).distinct().limit(most_levels + 1).collect()]
+            levels = [r[0] for r in df.select(n).distinct().limit(most_levels + 1).collect()]
             if len(levels) <= most_levels:
-                out += [(f"{n}_is_{k}", (c == F.lit(v)).cast("double")) for k, v in enumerate(sorted(x for x in levels if x is not None))]
+                for k, v in enumerate(sorted(x for x in levels if x is not None)):
+                    text = v.replace("\\", "\\\\").replace("'", "\\'")
+                    out.append((f"{n}_is_{k}", f"CAST({q} = '{text}' AS DOUBLE)"))
             else:
-                size = F.length(c) + 1
+                size = f"(length({q}) + 1)"
                 out += [
-                    (f"{n}_length", F.log1p(F.length(c).cast("double"))),
-                    (f"{n}_marks", 10.0 * (F.length(c) - F.length(F.translate(c, "#$%&*|<>", ""))) / size),
-                    (f"{n}_digits", 10.0 * (F.length(c) - F.length(F.translate(c, "0123456789", ""))) / size),
-                    (f"{n}_distinct", F.size(F.array_distinct(F.split(c, " "))) / F.size(F.split(c, " "))),
+                    (f"{n}_length", f"ln(CAST({size} AS DOUBLE))"),
+                    (f"{n}_marks", f"10.0D * (length({q}) - length(translate({q}, '#$%&*|<>', ''))) / {size}"),
+                    (f"{n}_digits", f"10.0D * (length({q}) - length(translate({q}, '0123456789', ''))) / {size}"),
+                    (f"{n}_distinct", f"size(array_distinct(split({q}, ' '))) / CAST(size(split({q}, ' ')) AS DOUBLE)"),
                 ]
         else:
             raise TypeError(f"column {n} of type {kind} is no predictor")
