@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
-from . import surrounding  # noqa: F401  registers its entries
+from . import methods, published, surrounding  # noqa: F401  register their entries
+from .methods import flagship
 from .registry import ORACLES, QUERIES, Query
 
 
+__all__ = ["flagship", "oracle_sql", "queries"]
+
+
 def queries() -> dict[str, Query]:
     return dict(QUERIES)
 

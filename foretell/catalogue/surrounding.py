@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import uuid
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -38,9 +40,9 @@ for _kind in ("csv", "json", "orc", "parquet"):
     entry(f"roundtrip_{_kind}", "SELECT n_nationkey, n_name, n_regionkey FROM nation")(_round_trip(_kind))
 
 
-@entry("project_revenue", "SELECT l_orderkey, l_partkey, l_suppkey, l_linenumber, round(l_extendedprice * (1 - l_discount) * (1 + l_tax), 4) AS revenue FROM lineitem")
+@entry("project_revenue", "SELECT l_orderkey, l_partkey, l_suppkey, l_linenumber, round(l_extendedprice * (1 - l_discount) * (1 + l_tax), 6) AS revenue FROM lineitem")
 def project_revenue(spark: Spark, d: str) -> DataFrame:
-    return table(spark, d, "lineitem").select("l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", F.round(F.col("l_extendedprice") * (1 - F.col("l_discount")) * (1 + F.col("l_tax")), 4).alias("revenue"))
+    return table(spark, d, "lineitem").select("l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", F.round(F.col("l_extendedprice") * (1 - F.col("l_discount")) * (1 + F.col("l_tax")), 6).alias("revenue"))
 
 
 @entry("filter_conjunction", "SELECT count(*) AS n, round(sum(l_extendedprice * l_discount), 2) AS revenue FROM lineitem WHERE l_shipdate >= TIMESTAMP '1997-01-01' AND l_shipdate < TIMESTAMP '1998-01-01' AND l_discount BETWEEN 0.02 AND 0.08 AND l_quantity < 24")
@@ -127,7 +129,7 @@ def join_asof(spark: Spark, d: str) -> DataFrame:
     return R.as_of(buys, other, ["user_id"], "ts", "ts", ["last_value"]).select("event_id", "user_id", "last_value")
 
 
-@entry("join_interval", "SELECT p.event_id, count(*) AS clicks FROM events p JOIN events c ON c.user_id = p.user_id AND c.ts <= p.ts AND epoch(p.ts)::BIGINT - epoch(c.ts)::BIGINT < 86400 WHERE p.event_type = 'purchase' AND c.event_type = 'click' GROUP BY 1")
+@entry("join_interval", "SELECT p.event_id, count(*) AS clicks FROM events p JOIN events c ON c.user_id = p.user_id AND c.ts <= p.ts AND CAST(floor(epoch(p.ts)) AS BIGINT) - CAST(floor(epoch(c.ts)) AS BIGINT) < 86400 WHERE p.event_type = 'purchase' AND c.event_type = 'click' GROUP BY 1")
 def join_interval(spark: Spark, d: str) -> DataFrame:
     e = table(spark, d, "events")
     buys = e.filter("event_type = 'purchase'").select("event_id", "user_id", F.col("ts").alias("bought"))
@@ -209,10 +211,10 @@ def window_lag(spark: Spark, d: str) -> DataFrame:
     return table(spark, d, "events").select("event_id", r6(F.col("value") - F.lag("value").over(w)).alias("change"), r6(F.lead("value").over(w)).alias("following"))
 
 
-@entry("window_range", "SELECT event_id, count(*) OVER w AS n, round(avg(value) OVER w, 6) AS mean FROM events WINDOW w AS (PARTITION BY event_type ORDER BY epoch(ts)::BIGINT RANGE BETWEEN 86400 PRECEDING AND CURRENT ROW)")
+@entry("window_range", "SELECT event_id, count(*) OVER w AS n, round(avg(value) OVER w, 9) AS mean FROM events WINDOW w AS (PARTITION BY event_type ORDER BY CAST(floor(epoch(ts)) AS BIGINT) RANGE BETWEEN 86400 PRECEDING AND CURRENT ROW)")
 def window_range(spark: Spark, d: str) -> DataFrame:
     w = Window.partitionBy("event_type").orderBy(F.unix_timestamp("ts")).rangeBetween(-86400, 0)
-    return table(spark, d, "events").select("event_id", F.count(F.lit(1)).over(w).alias("n"), r6(F.avg("value").over(w)).alias("mean"))
+    return table(spark, d, "events").select("event_id", F.count(F.lit(1)).over(w).alias("n"), F.round(F.avg("value").over(w), 9).alias("mean"))
 
 
 @entry("sort_limit", "SELECT doc_id, n_chars FROM documents ORDER BY n_chars DESC, doc_id LIMIT 50")
@@ -269,7 +271,7 @@ def math_link(spark: Spark, d: str) -> DataFrame:
     return table(spark, d, "lineitem").agg(r6(F.avg(1 / (1 + F.exp(-(F.col("l_quantity") - 25.5) / 14.4)))).alias("logistic"), r6(F.avg(F.log1p("l_extendedprice"))).alias("logs"), r6(F.avg(F.least(F.lit(1.0), F.greatest(F.lit(0.0), F.col("l_tax") * 20)))).alias("clipped"))
 
 
-@entry("array_dot", "SELECT vec_id, round(list_sum(list_transform(generate_series(1, 64), i -> CAST(embedding[i] AS DOUBLE) * i / 64.0)), 5) AS dot FROM embeddings")
+@entry("array_dot", "SELECT vec_id, round(list_sum(list_transform(generate_series(1, 64), lambda i: CAST(embedding[i] AS DOUBLE) * i / 64.0)), 5) AS dot FROM embeddings")
 def array_dot(spark: Spark, d: str) -> DataFrame:
     product = F.zip_with("embedding", F.sequence(F.lit(1), F.lit(64)), lambda v, i: v.cast("double") * i / F.lit(64.0))
     return table(spark, d, "embeddings").select("vec_id", (F.round(F.aggregate(product, F.lit(0.0), lambda a, x: a + x), 5) + 0.0).alias("dot"))
@@ -293,7 +295,7 @@ def json_props(spark: Spark, d: str) -> DataFrame:
     return table(spark, d, "events").groupBy("event_type").agg(r6(F.avg(k)).alias("mean_k"), F.max(k).alias("most"))
 
 
-@entry("knn_exact", "SELECT probe, vec_id, rn FROM (SELECT p.vec_id AS probe, e.vec_id, row_number() OVER (PARTITION BY p.vec_id ORDER BY round(list_sum(list_transform(generate_series(1, 64), i -> CAST(p.embedding[i] AS DOUBLE) * CAST(e.embedding[i] AS DOUBLE))), 9) DESC, e.vec_id) AS rn FROM (SELECT * FROM embeddings WHERE vec_id < 10) p, embeddings e WHERE e.vec_id <> p.vec_id) WHERE rn <= 5")
+@entry("knn_exact", "SELECT probe, vec_id, rn FROM (SELECT p.vec_id AS probe, e.vec_id, row_number() OVER (PARTITION BY p.vec_id ORDER BY round(list_sum(list_transform(generate_series(1, 64), lambda i: CAST(p.embedding[i] AS DOUBLE) * CAST(e.embedding[i] AS DOUBLE))), 9) DESC, e.vec_id) AS rn FROM (SELECT * FROM embeddings WHERE vec_id < 10) p, embeddings e WHERE e.vec_id <> p.vec_id) WHERE rn <= 5")
 def knn_exact(spark: Spark, d: str) -> DataFrame:
     e = table(spark, d, "embeddings")
     probes = F.broadcast(e.filter("vec_id < 10").select(F.col("vec_id").alias("probe"), F.col("embedding").alias("p")))  # ten rows
@@ -318,11 +320,8 @@ def sample_hash(spark: Spark, d: str) -> DataFrame:
     return downsample(table(spark, d, "orders"), "o_orderkey", 0.1).agg(F.count(F.lit(1)).alias("n"), F.round(F.sum("o_totalprice"), 2).alias("price"))
 
 
-@entry("udf_arrow_score", "SELECT vec_id, round(list_sum(list_transform(generate_series(1, 64), i -> CAST(embedding[i] AS DOUBLE) / i)), 5) AS score FROM embeddings")
+@entry("udf_arrow_score", "SELECT vec_id, round(list_sum(list_transform(generate_series(1, 64), lambda i: CAST(embedding[i] AS DOUBLE) / i)), 5) AS score FROM embeddings")
 def udf_arrow_score(spark: Spark, d: str) -> DataFrame:
-    import numpy as np
-    import pandas as pd
-
     @F.pandas_udf("double")
     def dot(v: pd.Series) -> pd.Series:
         w = 1.0 / np.arange(1, 65)
@@ -333,8 +332,6 @@ def udf_arrow_score(spark: Spark, d: str) -> DataFrame:
 
 @entry("udaf_confusion", "SELECT quality, toxic, count(*) AS n FROM labels GROUP BY 1, 2")
 def udaf_confusion(spark: Spark, d: str) -> DataFrame:
-    import pandas as pd
-
     @F.pandas_udf("long")
     def size(v: pd.Series) -> int:
         return len(v)
