@@ -2,16 +2,18 @@
 
 A document is the set of its distinct word shingles (64-bit hashes).  Under one global order of
 shingles two sets of similarity t share a shingle among their first ``n - ceil(t n) + 1``; the
-order puts shingles that many documents have behind the others.  What is common is told by a
-filter of fixed size that is built from exact counts: whatever the filter says defines the order,
-so its false positives cost time and never links.
-
-1. Count the shingles of small hash of all documents (packed by hash range, exact counts) and
-   keep two bit filters: shared by two or more, and common.
-2. Take every document's prefix, drop prefix shingles that no other document can share, and
-   collapse documents of identical prefix and size into one group.
-3. Star round: every group meets one leader per shingle and size class; the best leader of a
-   group is verified, so that large families become components without their pairs.
+order is by rarity: shingles of one document only, shingles of few, common ones, and by hash
+inside a class.  The classes are told by two bit filters of bounded size that are built from
+exact counts of all shingles: whatever the filters say defines the order, so their false
+positives cost time and never links.
+
+1. Count the shingles of all documents (packed by hash range) and keep two filters: in two or
+   more documents, and common.
+2. Take every document's prefix and drop its unshared shingles.  Most documents have nothing
+   left and can be similar to none but their copies; the others are collapsed by what is left
+   of the prefix, size and number of unshared shingles into groups.
+3. Star round: at a few of its shingles every group meets one leader per size class; the best
+   leader of a group is verified, so that large families become components without their pairs.
 4. Join round: groups that share a prefix shingle but lie in different components are counted,
    filtered by size and by the number of prefix shingles a similar pair must share, expanded to
    their distinct sets and verified exactly.
@@ -42,11 +44,13 @@ from .components import components
 #: Documents that have a shingle from which it counts as common.
 COMMON = 16
 #: Bits of either filter: per document, and the bounds of the whole.
-FILTER_BITS, LEAST_BITS, MOST_BITS = 128, 1 << 16, 1 << 29
+FILTER_BITS, LEAST_BITS, MOST_BITS = 256, 1 << 16, 1 << 30
 #: Documents per hash range in counting.
 RANGE_DOCS = 2000
 #: Shingle hashes that a task gathers before it packs them.
 PACK = 2_000_000
+#: Prefix shingles at which a group looks for a leader.
+STAR_TOKENS = 6
 #: Hash bytes per shingle in verification.
 SET_BYTES = 6
 
@@ -60,14 +64,6 @@ class Rule:
     def prefix(self, n: int) -> int:
         return n + (-self.num * n // self.den) + 1 if n else 0
 
-    def simple_window(self, n: int) -> int:
-        """Shingles of least hash among which an ordinary document finds its prefix."""
-        return math.ceil(1.25 * self.prefix(n)) + 1
-
-    def scope(self, n: int) -> int:
-        """Shingles of least hash that are counted: whatever a similar document's ordinary prefix can name."""
-        return math.ceil((1 + 1.25 * self.den / self.num) * self.prefix(n)) + 6
-
     def prefix_sql(self, n: str) -> str:
         return f"({n} - cast(ceil({self.num} * {n} / {self.den}.0) as int) + 1)"
 
@@ -77,6 +73,10 @@ class Rule:
     def sizes_fit(self, a: str, b: str) -> Column:
         return F.expr(f"{self.den} * least({a}, {b}) >= {self.num} * greatest({a}, {b})")
 
+    def unshared_fit(self, a: str, b: str, ua: str, ub: str) -> Column:
+        """Neither document has more unshared shingles than the overlap of a similar pair leaves room for."""
+        return F.expr(f"{self.overlap_sql(a, b)} <= least({a} - {ua}, {b} - {ub})")
+
     def shared_fit(self, a: str, b: str, shared: str) -> Column:
         """Prefix shingles that a similar pair must share: of the document whose prefix ends first all but its spare ones."""
         need = self.overlap_sql(a, b)
@@ -112,7 +112,7 @@ def _probes(rest: np.ndarray, slice_bits: int) -> Iterator[np.ndarray]:
         yield ((h >> np.uint64(s)) & np.uint64(slice_bits - 1)).astype(np.int64)
 
 
-def _filters(docs: DataFrame, n: int, rule: Rule, total: int) -> tuple[Bits, Bits]:
+def _filters(docs: DataFrame, n: int, total: int) -> tuple[Bits, Bits]:
     ranges = 1 << max(4, min(16, (total // RANGE_DOCS).bit_length()))
     size = 1 << (min(MOST_BITS, max(LEAST_BITS, total * FILTER_BITS)) - 1).bit_length()
     slice_bits = max(64, size // ranges)
@@ -130,8 +130,8 @@ def _filters(docs: DataFrame, n: int, rule: Rule, total: int) -> tuple[Bits, Bit
         held, size = [], 0
         for batch in batches:
             for s in K.shingle_sets(batch.column("text"), n):
-                held.append(s[: rule.scope(len(s))])
-                size += len(held[-1])
+                held.append(s)
+                size += len(s)
                 if size >= PACK:
                     yield flush(held)
                     held, size = [], 0
@@ -156,31 +156,33 @@ def _filters(docs: DataFrame, n: int, rule: Rule, total: int) -> tuple[Bits, Bit
 
 
 def _signatures(docs: DataFrame, n: int, rule: Rule, filters: tuple[Bits, Bits], id_type: str) -> DataFrame:
-    """id, n, sid (digest of the set), gid (digest of prefix and size), tokens (kept prefix shingles)."""
+    """id, n, sid (digest of the set), u (unshared shingles), gid (digest of the group), tokens
+    (shared prefix shingles) and first (where the common ones among them begin, 0 without any)."""
     shared = docs.sparkSession.sparkContext.broadcast(filters)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         paired, common = shared.value
         for batch in batches:
-            sizes, sids, gids, tokens, ends = [], [], [], [], [0]
+            sizes, sids, gids, alone, tokens, first, ends = [], [], [], [], [], [], [0]
             for s in K.shingle_sets(batch.column("text"), n):
+                p, met = rule.prefix(len(s)), s[paired.has(s)]
+                u = len(s) - len(met)
+                kept, rare = met[:0], 0
+                if u < p:
+                    late = common.has(met)
+                    rare = len(met) - int(late.sum())
+                    kept = np.concatenate((met[~late], met[late]))[: p - u]
+                first.append(rare if rare < len(kept) else 0)
                 sizes.append(len(s))
+                alone.append(u)
                 sids.append(xxhash.xxh3_128_digest(s.tobytes()) if len(s) else None)
-                p, w = rule.prefix(len(s)), rule.simple_window(len(s))
-                near = s[:w]
-                plain = near[~common.has(near)][:p] if len(s) else s
-                if len(plain) == p:
-                    kept = plain[paired.has(plain)]
-                else:
-                    late = common.has(s)
-                    plain = kept = np.concatenate((s[~late][:p], s[late]))[:p]
-                gids.append(xxhash.xxh3_128_digest(plain.tobytes() + len(s).to_bytes(8, "little")) if len(s) else None)
+                gids.append(xxhash.xxh3_128_digest(kept.tobytes() + len(s).to_bytes(8, "little") + u.to_bytes(8, "little")) if len(kept) else None)
                 tokens.append(kept)
                 ends.append(ends[-1] + len(kept))
             flat = np.concatenate([*tokens, np.empty(0, np.uint64)]).view(np.int64)
-            yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(sizes, pa.int32()), pa.array(sids, pa.binary()), pa.array(gids, pa.binary()), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(flat))], ["id", "n", "sid", "gid", "tokens"])
+            yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(sizes, pa.int32()), pa.array(sids, pa.binary()), pa.array(alone, pa.int32()), pa.array(gids, pa.binary()), pa.array(first, pa.int32()), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(flat))], ["id", "n", "sid", "u", "gid", "first", "tokens"])
 
-    return docs.mapInArrow(run, f"id {id_type}, n int, sid binary, gid binary, tokens array<bigint>")
+    return docs.mapInArrow(run, f"id {id_type}, n int, sid binary, u int, gid binary, first int, tokens array<bigint>")
 
 
 def _shared_postings(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -266,37 +268,38 @@ def link(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", n:
     rule, id_type = Rule(num, den), docs.schema[id_col].dataType.simpleString()
     docs = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
     total = docs.count()
-    filters = _filters(docs, n, rule, total)
+    filters = _filters(docs, n, total)
     sig = materialise(_signatures(docs, n, rule, filters, id_type), "jaccard-sig")
-    sets = materialise(sig.filter("n > 0").groupBy("sid").agg(F.min("id").alias("rid"), F.min("gid").alias("gid"), F.min("n").alias("n")), "jaccard-distinct")
-    groups = sig.filter("n > 0 and size(tokens) > 0").dropDuplicates(["gid"]).select("gid", "n", F.explode("tokens").alias("tok"))
+    sets = materialise(sig.filter("n > 0").groupBy("sid").agg(F.min("id").alias("rid"), F.min("gid").alias("gid")), "jaccard-distinct")
+    grouped = sets.filter("gid is not null").select("sid", "gid")
+    groups = sig.filter("gid is not null").dropDuplicates(["gid"]).select("gid", "n", "u", "first", F.posexplode("tokens").alias("pos", "tok"))
+    groups = groups.select("gid", "n", "u", F.col("pos").between(F.col("first"), F.col("first") + STAR_TOKENS - 1).alias("star"), "tok")
     parts = max(1, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    post = materialise(groups.repartition(parts, "tok").sortWithinPartitions("tok").mapInArrow(_shared_postings, "gid binary, n int, tok bigint"), "jaccard-post")
+    post = materialise(groups.repartition(parts, "tok").sortWithinPartitions("tok").mapInArrow(_shared_postings, "gid binary, n int, u int, star boolean, tok bigint"), "jaccard-post")
 
-    # star round
+    # star round: a leader is the member with the fewest unshared shingles, the likeliest original
     step = math.log(den / num)
-    classed = post.withColumn("c", F.floor(F.log(F.col("n").cast("double")) / step).cast("int"))
-    leaders = classed.groupBy("tok", "c").agg(F.min(F.struct("gid", "n")).alias("l"))
-    leaders = leaders.select("tok", F.explode(F.array("c", F.col("c") + 1)).alias("c"), F.col("l.gid").alias("lead"), F.col("l.n").alias("lead_n"))
-    met = classed.join(leaders, ["tok", "c"]).filter("gid <> lead").groupBy("gid", "n", "lead", "lead_n").agg(F.count(F.lit(1)).alias("k"))
-    met = met.filter(rule.sizes_fit("n", "lead_n")).filter(F.expr(f"4 * k >= {rule.prefix_sql('n')}"))
-    best = met.groupBy("gid").agg(F.max_by("lead", F.struct("k", "lead")).alias("lead"))
-    heads = sets.groupBy("gid").agg(F.min("sid").alias("head"))
+    classed = post.filter("star").withColumn("c", F.floor(F.log(F.col("n").cast("double")) / step).cast("int"))
+    leaders = classed.groupBy("tok", "c").agg(F.min(F.struct("u", "gid", "n")).alias("l"))
+    leaders = leaders.select("tok", F.explode(F.array(F.col("c") - 1, "c", F.col("c") + 1)).alias("c"), F.col("l.gid").alias("lead"), F.col("l.n").alias("lead_n"), F.col("l.u").alias("lead_u"))
+    met = classed.join(leaders, ["tok", "c"]).filter("gid <> lead").filter(rule.sizes_fit("n", "lead_n")).filter(rule.unshared_fit("n", "lead_n", "u", "lead_u"))
+    best = met.groupBy("gid", "lead").agg(F.count(F.lit(1)).alias("k")).groupBy("gid").agg(F.max_by("lead", F.struct("k", "lead")).alias("lead"))
+    heads = grouped.groupBy("gid").agg(F.min("sid").alias("head"))
     stars = best.join(heads, "gid").select(F.col("head").alias("a"), "lead").join(heads.select(F.col("gid").alias("lead"), F.col("head").alias("b")), "lead").select("a", "b")
-    inside = sets.join(heads, "gid").filter("sid <> head").select(F.col("sid").alias("a"), F.col("head").alias("b"))
+    inside = grouped.join(heads, "gid").filter("sid <> head").select(F.col("sid").alias("a"), F.col("head").alias("b"))
     first = _verified(docs, sets, materialise(stars.unionByName(inside).distinct(), "jaccard-pairs"), n, rule, id_type)
     found = materialise(components(first), "jaccard-first")
 
     # join round: only across components
-    placed = sets.join(found.withColumnRenamed("node", "sid"), "sid", "left").select("sid", "gid", "n", F.coalesce("component", "sid").alias("comp"))
+    placed = grouped.join(found.withColumnRenamed("node", "sid"), "sid", "left").select("sid", "gid", F.coalesce("component", "sid").alias("comp"))
     placed = materialise(placed, "jaccard-placed")
     nodes = placed.select("gid", "comp").distinct()
     tokens = post.join(nodes, "gid")
     major = tokens.groupBy("tok", "comp").agg(F.count(F.lit(1)).alias("m")).groupBy("tok").agg(F.max_by("comp", F.struct("m", "comp")).alias("major"), F.count(F.lit(1)).alias("comps")).filter("comps > 1").select("tok", "major")
     tokens = materialise(tokens.join(major, "tok"), "jaccard-across")
-    minor = tokens.filter("comp <> major").select("tok", F.col("gid").alias("g1"), F.col("comp").alias("c1"), F.col("n").alias("n1"))
-    other = tokens.select("tok", F.col("gid").alias("g2"), F.col("comp").alias("c2"), F.col("n").alias("n2"), (F.col("comp") == F.col("major")).alias("main"))
-    across = minor.join(other, "tok").filter("c1 <> c2 and (main or c1 < c2)").filter(rule.sizes_fit("n1", "n2"))
+    minor = tokens.filter("comp <> major").select("tok", F.col("gid").alias("g1"), F.col("comp").alias("c1"), F.col("n").alias("n1"), F.col("u").alias("u1"))
+    other = tokens.select("tok", F.col("gid").alias("g2"), F.col("comp").alias("c2"), F.col("n").alias("n2"), F.col("u").alias("u2"), (F.col("comp") == F.col("major")).alias("main"))
+    across = minor.join(other, "tok").filter("c1 <> c2 and (main or c1 < c2)").filter(rule.sizes_fit("n1", "n2")).filter(rule.unshared_fit("n1", "n2", "u1", "u2"))
     across = across.groupBy("g1", "c1", "n1", "g2", "c2", "n2").agg(F.count(F.lit(1)).alias("k")).filter(rule.shared_fit("n1", "n2", "k")).select("g1", "c1", "g2", "c2")
     mixed = nodes.groupBy("gid").agg(F.min("comp").alias("low"), F.max("comp").alias("high")).filter("low <> high").select("gid")
     alike = nodes.join(mixed, "gid")

@@ -15,7 +15,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 
 #: Bytes of text handled at a time (one longer text forms a chunk of its own).
-CHUNK_BYTES = 2 << 20
+CHUNK_BYTES = 512 << 10
 
 _U = np.uint64
 _RADIX = _U(0x9E3779B97F4A7C15 | 1)
@@ -137,7 +137,9 @@ def chunks(column: pa.Array | pa.ChunkedArray, *, lower: bool = False, alnum: bo
     ``alnum`` runs of ASCII letters and digits and non-ASCII characters."""
     if isinstance(column, pa.ChunkedArray):
         column = column.combine_chunks()
-    column = pc.fill_null(column.cast(pa.large_string()), "")
+    column = column.cast(pa.large_string())
+    if column.null_count:
+        column = pc.fill_null(column, "")
     _, offs, body = column.buffers()
     offsets = np.frombuffer(offs, dtype=np.int64)[column.offset : column.offset + len(column) + 1]
     data = np.frombuffer(body, dtype=np.uint8) if body is not None else np.empty(0, np.uint8)
