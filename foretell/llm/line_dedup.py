@@ -25,8 +25,10 @@ from .common import materialise, salted_join
 from .components import components
 
 MAX_EDITS, MIN_CHARS = 1, 30
-#: Letters whose counts (up to 511 each) make a line's signature.
-SIGNATURE = "eantirs"
+#: Letters whose counts (up to 511 each) make a line's two signatures.
+SIGNATURES = ("eantirs", "odhlucg")
+#: Longest step of the search for common beginnings and ends.
+LONGEST_STEP = 1 << 20
 _WORD = r"[^\x20\x09-\x0D]"
 
 
@@ -67,23 +69,43 @@ def probe_keys(edits: int) -> Column:
     return F.array_compact(F.array(*keys))
 
 
-def signature() -> Column:
+def signature(letters: str) -> Column:
     """Counts of a few letters, nine bits each; one edit moves their sum of differences by two at most."""
     out = F.lit(0).cast("long")
-    for k, letter in enumerate(SIGNATURE):
-        n = F.length("line") - F.length(F.translate("line", letter, ""))
+    for k, letter in enumerate(letters):
+        n = F.length("line") - F.length(F.replace(F.col("line"), F.lit(letter), F.lit("")))
         out = out.bitwiseOR(F.shiftleft(F.least(n, F.lit(511)).cast("long"), 9 * k))
     return out
 
 
-def _signatures_fit(a: str, b: str, edits: int) -> Column:
-    parts = [F.abs(F.shiftright(a, 9 * k).bitwiseAND(511) - F.shiftright(b, 9 * k).bitwiseAND(511)) for k in range(len(SIGNATURE))]
-    total = parts[0]
-    for p in parts[1:]:
-        total = total + p
+def _signatures_fit(a: tuple[str, str], b: tuple[str, str], edits: int) -> Column:
+    total = F.lit(0)
+    for x, y, letters in zip(a, b, SIGNATURES, strict=True):
+        for k in range(len(letters)):
+            total = total + F.abs(F.shiftright(x, 9 * k).bitwiseAND(511) - F.shiftright(y, 9 * k).bitwiseAND(511))
     return total <= 2 * edits
 
 
+def _common(a: str, b: str, end: bool) -> Column:
+    """Length of the common beginning (or end) of two string columns, by halving steps."""
+    most = F.least(F.length(a), F.length(b))
+    steps = F.filter(F.array(*[F.lit(1 << k) for k in range(LONGEST_STEP.bit_length() - 1, -1, -1)]), lambda s: s <= most)
+    part = lambda c, at, s: F.substring(F.col(c), (F.length(c) - at - s + 1) if end else at + 1, s)
+
+    def longer(at: Column, s: Column) -> Column:
+        return F.when((at + s <= most) & (part(a, at, s) == part(b, at, s)), at + s).otherwise(at)
+
+    return F.aggregate(steps, F.lit(0), longer)
+
+
+def trimmed(pairs: DataFrame) -> DataFrame:
+    """``pairs`` with x and y without their common beginning and end, which no best alignment touches."""
+    cut = pairs.withColumn("_head", _common("x", "y", False))
+    cut = cut.withColumn("x", F.substring(F.col("x"), F.col("_head") + 1, F.length("x"))).withColumn("y", F.substring(F.col("y"), F.col("_head") + 1, F.length("y"))).drop("_head")
+    cut = cut.withColumn("_tail", _common("x", "y", True))
+    return cut.withColumn("x", F.substring(F.col("x"), F.lit(1), F.length("x") - F.col("_tail"))).withColumn("y", F.substring(F.col("y"), F.lit(1), F.length("y") - F.col("_tail"))).drop("_tail")
+
+
 def banded_distance(a: Column, b: Column, edits: int) -> Column:
     """Edit distance of two strings if at most ``edits`` (else some larger number).
 
@@ -123,16 +145,21 @@ def banded_distance(a: Column, b: Column, edits: int) -> Column:
             state["cols"].alias("cols"),
         )
 
-    start = F.struct(lit(full - ((1 << edits) - 1)).alias("vp"), lit(0).alias("vn"), F.lit(edits).alias("d"), rows.alias("rows"), cols.alias("cols"))
+    start = F.struct(lit(full - ((1 << edits) - 1)).alias("vp"), lit(0).alias("vn"), F.least(F.lit(edits), F.size(rows)).alias("d"), rows.alias("rows"), cols.alias("cols"))
     near = F.abs(F.length(a) - F.length(b)) <= edits
-    return F.when(near, F.aggregate(F.sequence(F.lit(1), F.length(b)), start, step, lambda s: s["d"])).otherwise(F.lit(edits + 1))
-
-
-def _verified(long_lines: DataFrame, pairs: DataFrame, edits: int) -> DataFrame:
-    """Those of ``pairs`` (a, b: line numbers) within ``edits``; only lines in pairs move."""
-    wanted = pairs.select(F.col("a").alias("line_id")).unionByName(pairs.select(F.col("b").alias("line_id"))).distinct()
-    texts = materialise(long_lines.join(wanted, "line_id").groupBy("line_id").agg(F.min("line").alias("line")), "line-texts")
-    both = pairs.join(texts.select(F.col("line_id").alias("a"), F.col("line").alias("x")), "a").join(texts.select(F.col("line_id").alias("b"), F.col("line").alias("y")), "b")
+    steps = F.sequence(F.lit(1), F.greatest(F.lit(1), F.length(b)))
+    banded = F.when(F.length(b) == 0, F.length(a)).otherwise(F.aggregate(steps, start, step, lambda s: s["d"]))
+    return F.when(near, banded).otherwise(F.lit(edits + 1))
+
+
+def _verified(texts: DataFrame, pairs: DataFrame, edits: int) -> DataFrame:
+    """Those of ``pairs`` (a, b: line numbers) within ``edits``.  A rest whose ends differ and that
+    is longer than one character has two edits at least."""
+    lines = texts.select("line_id", "line")
+    both = pairs.join(lines.withColumnsRenamed({"line_id": "a", "line": "x"}), "a").join(lines.withColumnsRenamed({"line_id": "b", "line": "y"}), "b")
+    both = trimmed(both)
+    if edits == 1:
+        both = both.filter(F.greatest(F.length("x"), F.length("y")) <= 1)
     return materialise(both.filter(banded_distance(F.col("x"), F.col("y"), edits) <= edits).select("a", "b"), "line-links")
 
 
@@ -144,27 +171,31 @@ def line_classes(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "te
     long_lines = identified.filter(F.length("line") >= min_chars)
     # one row per different line: its keys
     distinct = long_lines.groupBy("line_id").agg(F.min("line").alias("line"))
-    keyed = materialise(distinct.select("line_id", signature().alias("sig"), index_keys(max_edits).alias("own"), probe_keys(max_edits).alias("near")), "line-keys")
-    rows = keyed.select("line_id", "sig", F.lit(True).alias("own"), F.explode("own").alias("key")).unionByName(keyed.select("line_id", "sig", F.lit(False).alias("own"), F.explode("near").alias("key")))
+    keyed = materialise(distinct.select("line_id", index_keys(max_edits).alias("own"), probe_keys(max_edits).alias("near")), "line-keys")
+    rows = keyed.select("line_id", F.lit(True).alias("own"), F.explode("own").alias("key")).unionByName(keyed.select("line_id", F.lit(False).alias("own"), F.explode("near").alias("key")))
     met = rows.groupBy("key").agg(F.min("line_id").alias("low"), F.max("line_id").alias("high"), F.bool_or("own").alias("i"), F.bool_or(~F.col("own")).alias("p")).filter("low <> high and i and p").select("key")
     rows = materialise(rows.join(met, "key").distinct(), "line-shared")
+    # only lines that share a key move with their text, once
+    texts = long_lines.join(rows.select("line_id").distinct(), "line_id").groupBy("line_id").agg(F.min("line").alias("line"))
+    texts = materialise(texts.withColumn("sig", signature(SIGNATURES[0])).withColumn("sig2", signature(SIGNATURES[1])), "line-texts")
+    rows = rows.join(texts.select("line_id", "sig", "sig2"), "line_id")
 
     # star round: one leader per key
-    leaders = rows.filter("own").groupBy("key").agg(F.min(F.struct("line_id", "sig")).alias("l")).select("key", F.col("l.line_id").alias("b"), F.col("l.sig").alias("sig_b"))
-    stars = rows.join(leaders, "key").filter((F.col("line_id") != F.col("b")) & _signatures_fit("sig", "sig_b", max_edits))
+    leaders = rows.filter("own").groupBy("key").agg(F.min(F.struct("line_id", "sig", "sig2")).alias("l")).select("key", F.col("l.line_id").alias("b"), F.col("l.sig").alias("sig_b"), F.col("l.sig2").alias("sig2_b"))
+    stars = rows.join(leaders, "key").filter((F.col("line_id") != F.col("b")) & _signatures_fit(("sig", "sig2"), ("sig_b", "sig2_b"), max_edits))
     stars = materialise(stars.select(F.col("line_id").alias("a"), "b").distinct(), "line-pairs")
-    found = materialise(components(_verified(long_lines, stars, max_edits)), "line-first")
+    found = materialise(components(_verified(texts, stars, max_edits)), "line-first")
 
     # join round: only across components
     placed = rows.join(found.withColumnRenamed("node", "line_id"), "line_id", "left").withColumn("comp", F.coalesce("component", "line_id")).drop("component")
     placed = materialise(placed, "line-placed")
     major = placed.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("m")).groupBy("key").agg(F.max_by("comp", F.struct("m", "comp")).alias("major"), F.count(F.lit(1)).alias("comps")).filter("comps > 1").select("key", "major")
     across = placed.join(major, "key")
-    minor = across.filter("comp <> major").select("key", F.col("line_id").alias("a"), F.col("comp").alias("ca"), F.col("sig").alias("sig_a"), F.col("own").alias("own_a"))
-    other = across.select("key", F.col("line_id").alias("b"), F.col("comp").alias("cb"), F.col("sig").alias("sig_b"), F.col("own").alias("own_b"))
-    pairs = minor.join(other, (minor["key"] == other["key"]) & (F.col("ca") != F.col("cb")) & (F.col("own_a") | F.col("own_b")) & _signatures_fit("sig_a", "sig_b", max_edits))
+    minor = across.filter("comp <> major").select("key", F.col("line_id").alias("a"), F.col("comp").alias("ca"), F.col("sig").alias("sig_a"), F.col("sig2").alias("sig2_a"), F.col("own").alias("own_a"))
+    other = across.select("key", F.col("line_id").alias("b"), F.col("comp").alias("cb"), F.col("sig").alias("sig_b"), F.col("sig2").alias("sig2_b"), F.col("own").alias("own_b"))
+    pairs = minor.join(other, (minor["key"] == other["key"]) & (F.col("ca") != F.col("cb")) & (F.col("own_a") | F.col("own_b")) & _signatures_fit(("sig_a", "sig2_a"), ("sig_b", "sig2_b"), max_edits))
     pairs = materialise(pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "line-pairs")
-    second = _verified(long_lines, pairs, max_edits)
+    second = _verified(texts, pairs, max_edits)
     links = found.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(second)
     final = components(links).select(F.col("node").alias("line_id"), "component")
     out = identified.select("id", "no", "line_id").join(final, "line_id", "left")
