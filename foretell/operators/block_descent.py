@@ -14,6 +14,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
+from ..functions.blas import single_thread
 from ..plans.blocks import matrix
 from .random_features import Projection
 
@@ -46,7 +47,9 @@ class BlockDescent:
         l2s, classes, hinge, full = self.l2s, self.classes, self.loss == "squared_hinge", self.block
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            single_thread()
             projection, weights = shared.value
+            drawn: dict[int, tuple[np.ndarray, np.ndarray]] = {}
             own = projection.matrix(first, count) if count else None
             gram, rhs, n = np.zeros((count, count)), {v: 0.0 for v in l2s}, 0
             wrong, objective, seen = {v: np.zeros(2) for v in l2s}, {v: 0.0 for v in l2s}, np.zeros(2)
@@ -59,7 +62,9 @@ class BlockDescent:
                     margins = {v: np.zeros((len(y), weights[v].shape[1])) for v in l2s}
                     for a in range(0, projection.size, full):
                         if any(weights[v][a : a + full].any() for v in l2s):
-                            z = projection.apply(x, *projection.matrix(a, min(full, projection.size - a)))
+                            if a not in drawn:
+                                drawn[a] = projection.matrix(a, min(full, projection.size - a))
+                            z = projection.apply(x, *drawn[a])
                             for v in l2s:
                                 margins[v] += z @ weights[v][a : a + full]
                     t = targets(y, classes)
@@ -115,6 +120,7 @@ class BlockDescent:
         count = min(self.block, self.projection.size - first)
         s = self._sums(blocks, first, count)
         gram, n = s["gram"].reshape(count, count), s["n"][0]
+        single_thread()
         self.passes += 1
         if not n:
             return

@@ -8,6 +8,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 
+from ..functions.blas import single_thread
 from . import shared_scan
 
 #: Bytes of blocks that may be broadcast.
@@ -25,6 +26,7 @@ def local_fanout(blocks: DataFrame, columns: Sequence[shared_scan.Column], itera
     data, models = spark.sparkContext.broadcast(rows), list(columns)
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        single_thread()
         for frame in frames:
             for i in frame["id"]:
                 c = models[int(i)]

@@ -16,6 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.blas import single_thread
 from ..plans.blocks import matrix
 from .random_features import Projection
 
@@ -139,6 +140,7 @@ def scan(blocks: DataFrame, columns: Sequence[Column], classes: int = 1, *, kern
     total = sum(int(np.prod(s)) for s in shapes)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        single_thread()
         task = Task(shared.value, classes, kernel)
         for batch in batches:
             splits = batch.column("split").to_pylist()

@@ -75,8 +75,9 @@ class Plan:
         names = [F.lit(c).cast(self.label_type) for c in self.classes]
         if len(margins) == 1:
             return F.when(margins[0] > 0, names[1]).otherwise(names[0])
-        best = F.array(*margins)
-        return F.element_at(F.array(*names), F.array_position(best, F.array_max(best)).cast("int"))
+        # the margins stand once in the expression
+        place = F.transform(F.array(F.array(*margins)), lambda m: F.array_position(m, F.array_max(m)))
+        return F.element_at(F.array(*names), F.element_at(place, 1).cast("int"))
 
     def _arrow(self) -> Column:
         w, p, regression = np.asarray(self.weights), Projection(**self.projection) if self.projection else None, self.task == "regression"

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import numpy as np
 
+from ...functions.blas import single_thread
 from .base import register
 from .surrogate import Surrogate
 
@@ -26,6 +27,7 @@ def _fit(x: np.ndarray, z: np.ndarray, scales: np.ndarray) -> tuple[float, np.nd
 
 class GaussianProcess(Surrogate):
     def model(self, x, y, candidates, rng):
+        single_thread()
         x, y = x[-MOST:], y[-MOST:]
         centre, spread = y.mean(), y.std() or 1.0
         z = (y - centre) / spread
