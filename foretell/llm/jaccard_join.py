@@ -14,9 +14,9 @@ positives cost time and never links.
    of the prefix, size and number of unshared shingles into groups.
 3. Star round: at a few of its shingles every group meets one leader per size class; the best
    leader of a group is verified, so that large families become components without their pairs.
-4. Join round: groups that share a prefix shingle but lie in different components are counted,
-   filtered by size and by the number of prefix shingles a similar pair must share, expanded to
-   their distinct sets and verified exactly.
+4. Join round: groups that share a prefix shingle but lie in different components are
+   filtered by size and by the places of what they share, expanded to their distinct sets and
+   verified exactly.
 
 Links inside one component that are not needed for it are left out; no link between documents
 of different components is.
@@ -77,10 +77,9 @@ class Rule:
         """Neither document has more unshared shingles than the overlap of a similar pair leaves room for."""
         return F.expr(f"{self.overlap_sql(a, b)} <= least({a} - {ua}, {b} - {ub})")
 
-    def shared_fit(self, a: str, b: str, shared: str) -> Column:
-        """Prefix shingles that a similar pair must share: of the document whose prefix ends first all but its spare ones."""
-        need = self.overlap_sql(a, b)
-        return F.expr(f"{shared} >= least({self.prefix_sql(a)} - ({a} - {need}), {self.prefix_sql(b)} - ({b} - {need}))")
+    def places_fit(self, a: str, b: str, pa_: str, pb: str) -> Column:
+        """A first shared shingle at these places (from 0) leaves enough shingles for the overlap of a similar pair."""
+        return F.expr(f"{self.overlap_sql(a, b)} <= least({a} - {pa_}, {b} - {pb})")
 
 
 class Bits:
@@ -157,7 +156,7 @@ def _filters(docs: DataFrame, n: int, total: int) -> tuple[Bits, Bits]:
 
 def _signatures(docs: DataFrame, n: int, rule: Rule, filters: tuple[Bits, Bits], id_type: str) -> DataFrame:
     """id, n, sid (digest of the set), u (unshared shingles), gid (digest of the group), tokens
-    (shared prefix shingles) and first (where the common ones among them begin, 0 without any)."""
+    (shared prefix shingles) and first (where the common ones among them begin)."""
     shared = docs.sparkSession.sparkContext.broadcast(filters)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -172,7 +171,7 @@ def _signatures(docs: DataFrame, n: int, rule: Rule, filters: tuple[Bits, Bits],
                     late = common.has(met)
                     rare = len(met) - int(late.sum())
                     kept = np.concatenate((met[~late], met[late]))[: p - u]
-                first.append(rare if rare < len(kept) else 0)
+                first.append(min(rare, len(kept)))
                 sizes.append(len(s))
                 alone.append(u)
                 sids.append(xxhash.xxh3_128_digest(s.tobytes()) if len(s) else None)
@@ -272,18 +271,23 @@ def link(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", n:
     sig = materialise(_signatures(docs, n, rule, filters, id_type), "jaccard-sig")
     sets = materialise(sig.filter("n > 0").groupBy("sid").agg(F.min("id").alias("rid"), F.min("gid").alias("gid")), "jaccard-distinct")
     grouped = sets.filter("gid is not null").select("sid", "gid")
-    groups = sig.filter("gid is not null").dropDuplicates(["gid"]).select("gid", "n", "u", "first", F.posexplode("tokens").alias("pos", "tok"))
-    groups = groups.select("gid", "n", "u", F.col("pos").between(F.col("first"), F.col("first") + STAR_TOKENS - 1).alias("star"), "tok")
+    groups = sig.filter("gid is not null").dropDuplicates(["gid"])
+    begin = F.when(F.col("first") < F.size("tokens"), F.col("first")).otherwise(F.lit(0))
+    lead = F.get("tokens", F.col("first"))  # the first common shingle, if any
+    groups = groups.select("gid", "n", "u", (F.col("u") + F.col("first")).alias("rare"), begin.alias("begin"), "first", lead.alias("fc"), F.posexplode("tokens").alias("at", "tok"))
+    groups = groups.select("gid", "n", "u", "rare", "fc", (F.col("u") + F.col("at")).alias("pos"), (F.col("at") > F.col("first")).alias("late"), F.col("at").between(F.col("begin"), F.col("begin") + STAR_TOKENS - 1).alias("star"), "tok")
     parts = max(1, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    post = materialise(groups.repartition(parts, "tok").sortWithinPartitions("tok").mapInArrow(_shared_postings, "gid binary, n int, u int, star boolean, tok bigint"), "jaccard-post")
+    post = groups.repartition(parts, "tok").sortWithinPartitions("tok").mapInArrow(_shared_postings, "gid binary, n int, u int, rare int, fc bigint, pos int, late boolean, star boolean, tok bigint")
+    post = materialise(post, "jaccard-post")
 
-    # star round: a leader is the member with the fewest unshared shingles, the likeliest original
+    # star round: a leader is the member with the fewest rare shingles, the likeliest original
     step = math.log(den / num)
     classed = post.filter("star").withColumn("c", F.floor(F.log(F.col("n").cast("double")) / step).cast("int"))
-    leaders = classed.groupBy("tok", "c").agg(F.min(F.struct("u", "gid", "n")).alias("l"))
-    leaders = leaders.select("tok", F.explode(F.array(F.col("c") - 1, "c", F.col("c") + 1)).alias("c"), F.col("l.gid").alias("lead"), F.col("l.n").alias("lead_n"), F.col("l.u").alias("lead_u"))
+    leaders = classed.groupBy("tok", "c").agg(F.min(F.struct("rare", "gid", "n", "u")).alias("l"))
+    leaders = leaders.select("tok", F.explode(F.array(F.col("c") - 1, "c", F.col("c") + 1)).alias("c"), F.col("l.gid").alias("lead"), F.col("l.n").alias("lead_n"), F.col("l.u").alias("lead_u"), F.col("l.rare").alias("lead_rare"))
     met = classed.join(leaders, ["tok", "c"]).filter("gid <> lead").filter(rule.sizes_fit("n", "lead_n")).filter(rule.unshared_fit("n", "lead_n", "u", "lead_u"))
-    best = met.groupBy("gid", "lead").agg(F.count(F.lit(1)).alias("k")).groupBy("gid").agg(F.max_by("lead", F.struct("k", "lead")).alias("lead"))
+    best = met.groupBy("gid", "n", "lead", "lead_n", "lead_rare").agg(F.count(F.lit(1)).alias("k"))
+    best = best.groupBy("gid").agg(F.max_by("lead", F.struct("k", (-F.abs(F.col("n") - F.col("lead_n"))).alias("d"), (-F.col("lead_rare")).alias("r"), "lead")).alias("lead"))
     heads = grouped.groupBy("gid").agg(F.min("sid").alias("head"))
     stars = best.join(heads, "gid").select(F.col("head").alias("a"), "lead").join(heads.select(F.col("gid").alias("lead"), F.col("head").alias("b")), "lead").select("a", "b")
     inside = grouped.join(heads, "gid").filter("sid <> head").select(F.col("sid").alias("a"), F.col("head").alias("b"))
@@ -297,10 +301,13 @@ def link(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", n:
     tokens = post.join(nodes, "gid")
     major = tokens.groupBy("tok", "comp").agg(F.count(F.lit(1)).alias("m")).groupBy("tok").agg(F.max_by("comp", F.struct("m", "comp")).alias("major"), F.count(F.lit(1)).alias("comps")).filter("comps > 1").select("tok", "major")
     tokens = materialise(tokens.join(major, "tok"), "jaccard-across")
-    minor = tokens.filter("comp <> major").select("tok", F.col("gid").alias("g1"), F.col("comp").alias("c1"), F.col("n").alias("n1"), F.col("u").alias("u1"))
-    other = tokens.select("tok", F.col("gid").alias("g2"), F.col("comp").alias("c2"), F.col("n").alias("n2"), F.col("u").alias("u2"), (F.col("comp") == F.col("major")).alias("main"))
-    across = minor.join(other, "tok").filter("c1 <> c2 and (main or c1 < c2)").filter(rule.sizes_fit("n1", "n2")).filter(rule.unshared_fit("n1", "n2", "u1", "u2"))
-    across = across.groupBy("g1", "c1", "n1", "g2", "c2", "n2").agg(F.count(F.lit(1)).alias("k")).filter(rule.shared_fit("n1", "n2", "k")).select("g1", "c1", "g2", "c2")
+    side = lambda k: [F.col("gid").alias(f"g{k}"), F.col("comp").alias(f"c{k}"), F.col("n").alias(f"n{k}"), F.col("pos").alias(f"p{k}"), F.col("fc").alias(f"fc{k}"), F.col("late").alias(f"late{k}")]
+    minor = tokens.filter("comp <> major").select("tok", *side(1))
+    other = tokens.select("tok", *side(2), (F.col("comp") == F.col("major")).alias("main"))
+    # what two documents share first stands early in both; and two that have one first common
+    # shingle meet there, not again at later ones
+    across = minor.join(other, "tok").filter("c1 <> c2 and (main or c1 < c2)").filter(rule.sizes_fit("n1", "n2")).filter(rule.places_fit("n1", "n2", "p1", "p2")).filter("not coalesce(late1 and late2 and fc1 = fc2, false)")
+    across = across.select("g1", "c1", "g2", "c2").distinct()
     mixed = nodes.groupBy("gid").agg(F.min("comp").alias("low"), F.max("comp").alias("high")).filter("low <> high").select("gid")
     alike = nodes.join(mixed, "gid")
     alike = alike.select(F.col("gid").alias("g1"), F.col("comp").alias("c1")).join(alike.select(F.col("gid").alias("g2"), F.col("comp").alias("c2")), (F.col("g1") == F.col("g2")) & (F.col("c1") < F.col("c2")))
