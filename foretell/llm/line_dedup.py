@@ -27,6 +27,8 @@ from .components import components
 MAX_EDITS, MIN_CHARS = 1, 30
 #: Letters whose counts (up to 511 each) make a line's two signatures.
 SIGNATURES = ("eantirs", "odhlucg")
+#: Line numbers (8 bytes each) up to which those that share a key are broadcast; beyond, they join by shuffle.
+MAX_BROADCAST_LINES = 2_000_000
 #: Longest step of the search for common beginnings and ends.
 LONGEST_STEP = 1 << 20
 _WORD = r"[^\x20\x09-\x0D]"
@@ -50,14 +52,15 @@ def _key(i: int, length: Column, start: Column, size: Column) -> Column:
 
 
 def index_keys(edits: int) -> Column:
-    """Keys of a line's own segments."""
-    n = F.length("line")
+    """Keys of a line's own segments; ``n`` is the line's length."""
+    n = F.col("n")
     return F.array(*[_key(i, n, *_segment(n, i, edits)) for i in range(edits + 1)])
 
 
 def probe_keys(edits: int) -> Column:
-    """Keys of the substrings at which a segment of a line of equal or smaller length may stand."""
-    n = F.length("line")
+    """Keys of the substrings at which a segment of a line of equal or smaller length may stand
+    (null where there is no such place)."""
+    n = F.col("n")
     keys = []
     for shorter in range(edits + 1):
         length = n - shorter
@@ -66,7 +69,7 @@ def probe_keys(edits: int) -> Column:
             for move in range(max(-i, shorter - (edits - i)), min(i, shorter + (edits - i)) + 1):
                 at = start + move
                 keys.append(F.when((at >= 0) & (at + size <= n), _key(i, length, at, size)))
-    return F.array_compact(F.array(*keys))
+    return F.array(*keys)
 
 
 def signature(letters: str) -> Column:
@@ -100,9 +103,11 @@ def _common(a: str, b: str, end: bool) -> Column:
 
 def trimmed(pairs: DataFrame) -> DataFrame:
     """``pairs`` with x and y without their common beginning and end, which no best alignment touches."""
-    cut = pairs.withColumn("_head", _common("x", "y", False))
+    # written between the steps: an expression would be evaluated again wherever it is named
+    cut = materialise(pairs.withColumn("_head", _common("x", "y", False)), "line-heads")
     cut = cut.withColumn("x", F.substring(F.col("x"), F.col("_head") + 1, F.length("x"))).withColumn("y", F.substring(F.col("y"), F.col("_head") + 1, F.length("y"))).drop("_head")
-    cut = cut.withColumn("_tail", _common("x", "y", True))
+    cut = materialise(cut, "line-cut")
+    cut = materialise(cut.withColumn("_tail", _common("x", "y", True)), "line-tails")
     return cut.withColumn("x", F.substring(F.col("x"), F.lit(1), F.length("x") - F.col("_tail"))).withColumn("y", F.substring(F.col("y"), F.lit(1), F.length("y") - F.col("_tail"))).drop("_tail")
 
 
@@ -157,7 +162,7 @@ def _verified(texts: DataFrame, pairs: DataFrame, edits: int) -> DataFrame:
     is longer than one character has two edits at least."""
     lines = texts.select("line_id", "line")
     both = pairs.join(lines.withColumnsRenamed({"line_id": "a", "line": "x"}), "a").join(lines.withColumnsRenamed({"line_id": "b", "line": "y"}), "b")
-    both = trimmed(both)
+    both = materialise(trimmed(both), "line-rests")
     if edits == 1:
         both = both.filter(F.greatest(F.length("x"), F.length("y")) <= 1)
     return materialise(both.filter(banded_distance(F.col("x"), F.col("y"), edits) <= edits).select("a", "b"), "line-links")
@@ -170,13 +175,15 @@ def line_classes(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "te
     identified = lines_of(docs, id_col, text_col).withColumn("line_id", F.xxhash64("line", F.length("line")))
     long_lines = identified.filter(F.length("line") >= min_chars)
     # one row per different line: its keys
-    distinct = long_lines.groupBy("line_id").agg(F.min("line").alias("line"))
+    distinct = long_lines.groupBy("line_id").agg(F.min("line").alias("line")).withColumn("n", F.length("line"))
     keyed = materialise(distinct.select("line_id", index_keys(max_edits).alias("own"), probe_keys(max_edits).alias("near")), "line-keys")
-    rows = keyed.select("line_id", F.lit(True).alias("own"), F.explode("own").alias("key")).unionByName(keyed.select("line_id", F.lit(False).alias("own"), F.explode("near").alias("key")))
+    rows = keyed.select("line_id", F.lit(True).alias("own"), F.explode("own").alias("key")).unionByName(keyed.select("line_id", F.lit(False).alias("own"), F.explode("near").alias("key")).filter("key is not null"))
     met = rows.groupBy("key").agg(F.min("line_id").alias("low"), F.max("line_id").alias("high"), F.bool_or("own").alias("i"), F.bool_or(~F.col("own")).alias("p")).filter("low <> high and i and p").select("key")
     rows = materialise(rows.join(met, "key").distinct(), "line-shared")
     # only lines that share a key move with their text, once
-    texts = long_lines.join(rows.select("line_id").distinct(), "line_id").groupBy("line_id").agg(F.min("line").alias("line"))
+    wanted = materialise(rows.select("line_id").distinct(), "line-wanted")
+    wanted = F.broadcast(wanted) if wanted.count() <= MAX_BROADCAST_LINES else wanted
+    texts = long_lines.join(wanted, "line_id").groupBy("line_id").agg(F.min("line").alias("line"))
     texts = materialise(texts.withColumn("sig", signature(SIGNATURES[0])).withColumn("sig2", signature(SIGNATURES[1])), "line-texts")
     rows = rows.join(texts.select("line_id", "sig", "sig2"), "line_id")
 
