@@ -12,8 +12,8 @@ positives cost time and never links.
 2. Take every document's prefix and drop its unshared shingles.  Most documents have nothing
    left and can be similar to none but their copies; the others are collapsed by what is left
    of the prefix, size and number of unshared shingles into groups.
-3. Star round: at a few of its shingles every group meets one leader per size class; the best
-   leader of a group is verified, so that large families become components without their pairs.
+3. Star round: at a few of its shingles every group meets two leaders per size class; the best
+   leaders of a group are verified, so that large families become components without their pairs.
 4. Join round: groups that share a prefix shingle but lie in different components are
    filtered by size and by the places of what they share, expanded to their distinct sets and
    verified exactly.
@@ -49,8 +49,8 @@ FILTER_BITS, LEAST_BITS, MOST_BITS = 256, 1 << 16, 1 << 30
 RANGE_DOCS = 2000
 #: Shingle hashes that a task gathers before it packs them.
 PACK = 2_000_000
-#: Prefix shingles at which a group looks for a leader.
-STAR_TOKENS = 6
+#: Prefix shingles at which a group looks for leaders, and leaders it is verified against.
+STAR_TOKENS, STAR_LEADERS = 6, 4
 #: Hash bytes per shingle in verification.
 SET_BYTES = 6
 
@@ -283,11 +283,15 @@ def link(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", n:
     # star round: a leader is the member with the fewest rare shingles, the likeliest original
     step = math.log(den / num)
     classed = post.filter("star").withColumn("c", F.floor(F.log(F.col("n").cast("double")) / step).cast("int"))
-    leaders = classed.groupBy("tok", "c").agg(F.min(F.struct("rare", "gid", "n", "u")).alias("l"))
+    one = F.struct("rare", "gid", "n", "u")
+    leaders = classed.groupBy("tok", "c").agg(F.min(one).alias("l"), F.min_by(one, F.xxhash64("gid")).alias("m"))
+    leaders = leaders.select("tok", "c", F.explode(F.array_distinct(F.array("l", "m"))).alias("l"))
     leaders = leaders.select("tok", F.explode(F.array(F.col("c") - 1, "c", F.col("c") + 1)).alias("c"), F.col("l.gid").alias("lead"), F.col("l.n").alias("lead_n"), F.col("l.u").alias("lead_u"), F.col("l.rare").alias("lead_rare"))
     met = classed.join(leaders, ["tok", "c"]).filter("gid <> lead").filter(rule.sizes_fit("n", "lead_n")).filter(rule.unshared_fit("n", "lead_n", "u", "lead_u"))
     best = met.groupBy("gid", "n", "lead", "lead_n", "lead_rare").agg(F.count(F.lit(1)).alias("k"))
-    best = best.groupBy("gid").agg(F.max_by("lead", F.struct("k", (-F.abs(F.col("n") - F.col("lead_n"))).alias("d"), (-F.col("lead_rare")).alias("r"), "lead")).alias("lead"))
+    # a group meets at most 6 * STAR_TOKENS leaders
+    rank = F.struct((-F.col("k")).alias("k"), F.abs(F.col("n") - F.col("lead_n")).alias("d"), F.col("lead_rare").alias("r"), "lead")
+    best = best.groupBy("gid").agg(F.slice(F.array_sort(F.collect_list(rank)), 1, STAR_LEADERS).alias("l")).select("gid", F.explode("l.lead").alias("lead"))
     heads = grouped.groupBy("gid").agg(F.min("sid").alias("head"))
     stars = best.join(heads, "gid").select(F.col("head").alias("a"), "lead").join(heads.select(F.col("gid").alias("lead"), F.col("head").alias("b")), "lead").select("a", "b")
     inside = grouped.join(heads, "gid").filter("sid <> head").select(F.col("sid").alias("a"), F.col("head").alias("b"))
