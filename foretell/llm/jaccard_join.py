@@ -14,8 +14,9 @@ positives cost time and never links.
    of the prefix, size and number of unshared shingles into groups.
 3. Star round: at a few of its shingles every group meets two leaders per size class; the best
    leaders of a group are verified, so that large families become components without their pairs.
-4. Join round: groups that share a prefix shingle but lie in different components are
-   filtered by size and by the places of what they share, expanded to their distinct sets and
+4. Partner round: groups that share a prefix shingle but lie in different components are each
+   verified against a few partners.
+5. Join round: groups that still lie in different components are filtered by size and by the places of what they share, expanded to their distinct sets and
    verified exactly.
 
 Links inside one component that are not needed for it are left out; no link between documents
@@ -262,6 +263,23 @@ def _unpack(data: pa.Buffer) -> np.ndarray:
     return whole.view(">u8").ravel().astype(np.uint64)
 
 
+def _across(post: DataFrame, grouped: DataFrame, found: DataFrame, rule: Rule) -> tuple[DataFrame, DataFrame]:
+    """(sid, gid, comp) of all groups' sets, and the meetings (g1, c1, g2, c2) of groups of different
+    components at a shingle.  At every shingle the largest component meets the others, never itself."""
+    placed = grouped.join(found.withColumnRenamed("node", "sid"), "sid", "left").select("sid", "gid", F.coalesce("component", "sid").alias("comp"))
+    placed = materialise(placed, "jaccard-placed")
+    tokens = post.join(placed.select("gid", "comp").distinct(), "gid")
+    major = tokens.groupBy("tok", "comp").agg(F.count(F.lit(1)).alias("m")).groupBy("tok").agg(F.max_by("comp", F.struct("m", "comp")).alias("major"), F.count(F.lit(1)).alias("comps")).filter("comps > 1").select("tok", "major")
+    tokens = materialise(tokens.join(major, "tok"), "jaccard-across")
+    side = lambda k: [F.col("gid").alias(f"g{k}"), F.col("comp").alias(f"c{k}"), F.col("n").alias(f"n{k}"), F.col("pos").alias(f"p{k}"), F.col("fc").alias(f"fc{k}"), F.col("late").alias(f"late{k}")]
+    minor = tokens.filter("comp <> major").select("tok", *side(1))
+    other = tokens.select("tok", *side(2), (F.col("comp") == F.col("major")).alias("main"))
+    # what two documents share first stands early in both; and two that have one first common
+    # shingle meet there, not again at later ones
+    met = minor.join(other, "tok").filter("c1 <> c2 and (main or c1 < c2)").filter(rule.sizes_fit("n1", "n2")).filter(rule.places_fit("n1", "n2", "p1", "p2")).filter("not coalesce(late1 and late2 and fc1 = fc2, false)")
+    return placed, met.select("g1", "c1", "g2", "c2", "p2")
+
+
 def link(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", n: int = 4, num: int = 85, den: int = 100) -> DataFrame:
     """One row per document row: id, n_shingles, component_id (least id of its component)."""
     rule, id_type = Rule(num, den), docs.schema[id_col].dataType.simpleString()
@@ -294,24 +312,27 @@ def link(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", n:
     best = best.groupBy("gid").agg(F.slice(F.array_sort(F.collect_list(rank)), 1, STAR_LEADERS).alias("l")).select("gid", F.explode("l.lead").alias("lead"))
     heads = grouped.groupBy("gid").agg(F.min("sid").alias("head"))
     stars = best.join(heads, "gid").select(F.col("head").alias("a"), "lead").join(heads.select(F.col("gid").alias("lead"), F.col("head").alias("b")), "lead").select("a", "b")
-    inside = grouped.join(heads, "gid").filter("sid <> head").select(F.col("sid").alias("a"), F.col("head").alias("b"))
+    chosen = grouped.groupBy("gid").agg(F.array_distinct(F.array(F.min("sid"), *[F.min_by("sid", F.xxhash64(F.lit(k), F.col("sid"))) for k in range(1, STAR_LEADERS)])).alias("l"))
+    inside = grouped.join(chosen.select("gid", F.explode("l").alias("head")), "gid").filter("sid <> head").select(F.col("sid").alias("a"), F.col("head").alias("b"))
     first = _verified(docs, sets, materialise(stars.unionByName(inside).distinct(), "jaccard-pairs"), n, rule, id_type)
     found = materialise(components(first), "jaccard-first")
 
-    # join round: only across components
-    placed = grouped.join(found.withColumnRenamed("node", "sid"), "sid", "left").select("sid", "gid", F.coalesce("component", "sid").alias("comp"))
-    placed = materialise(placed, "jaccard-placed")
-    nodes = placed.select("gid", "comp").distinct()
-    tokens = post.join(nodes, "gid")
-    major = tokens.groupBy("tok", "comp").agg(F.count(F.lit(1)).alias("m")).groupBy("tok").agg(F.max_by("comp", F.struct("m", "comp")).alias("major"), F.count(F.lit(1)).alias("comps")).filter("comps > 1").select("tok", "major")
-    tokens = materialise(tokens.join(major, "tok"), "jaccard-across")
-    side = lambda k: [F.col("gid").alias(f"g{k}"), F.col("comp").alias(f"c{k}"), F.col("n").alias(f"n{k}"), F.col("pos").alias(f"p{k}"), F.col("fc").alias(f"fc{k}"), F.col("late").alias(f"late{k}")]
-    minor = tokens.filter("comp <> major").select("tok", *side(1))
-    other = tokens.select("tok", *side(2), (F.col("comp") == F.col("major")).alias("main"))
-    # what two documents share first stands early in both; and two that have one first common
-    # shingle meet there, not again at later ones
-    across = minor.join(other, "tok").filter("c1 <> c2 and (main or c1 < c2)").filter(rule.sizes_fit("n1", "n2")).filter(rule.places_fit("n1", "n2", "p1", "p2")).filter("not coalesce(late1 and late2 and fc1 = fc2, false)")
+    # partner round: of what still meets across components, each group is verified against a few partners
+    placed, across = _across(post, grouped, found, rule)
+    heads = placed.groupBy("gid", "comp").agg(F.min("sid").alias("head"))
+    # partners where the shared shingle stands earliest have the fewest rare ones, so the best chance
+    partner = F.struct("g2", "c2")
+    order = lambda k: F.struct("p2", F.xxhash64(F.lit(k), F.col("g1"), F.col("c1"), F.col("g2"), F.col("c2")))
+    picks = across.groupBy("g1", "c1").agg(F.array_distinct(F.array(*[F.min_by(partner, order(k)) for k in range(2 * STAR_LEADERS)])).alias("l"))
+    picks = picks.select("g1", "c1", F.explode("l").alias("p")).select("g1", "c1", "p.g2", "p.c2")
+    near = picks.join(heads.select(F.col("gid").alias("g1"), F.col("comp").alias("c1"), F.col("head").alias("a")), ["g1", "c1"]).join(heads.select(F.col("gid").alias("g2"), F.col("comp").alias("c2"), F.col("head").alias("b")), ["g2", "c2"]).select("a", "b").distinct()
+    more = _verified(docs, sets, materialise(near, "jaccard-pairs"), n, rule, id_type)
+    found = materialise(components(found.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(more)), "jaccard-first")
+
+    # join round: whatever is left across components
+    placed, across = _across(post, grouped, found, rule)
     across = across.select("g1", "c1", "g2", "c2").distinct()
+    nodes = placed.select("gid", "comp").distinct()
     mixed = nodes.groupBy("gid").agg(F.min("comp").alias("low"), F.max("comp").alias("high")).filter("low <> high").select("gid")
     alike = nodes.join(mixed, "gid")
     alike = alike.select(F.col("gid").alias("g1"), F.col("comp").alias("c1")).join(alike.select(F.col("gid").alias("g2"), F.col("comp").alias("c2")), (F.col("g1") == F.col("g2")) & (F.col("c1") < F.col("c2")))
