@@ -92,11 +92,14 @@ def _learn(x: linear.Sparse, y: np.ndarray, dense: np.ndarray) -> tuple[np.ndarr
     chi = n * (a * d - b * c) ** 2 / np.maximum(1e-9, (a + b) * (c + d) * (a + c) * (b + d))
     ratio = np.log((one + 0.5) / (n1 + 1)) - np.log((zero + 0.5) / (n0 + 1))
     picked = (chi >= LEVEL) & (both >= LEAST) & (ratio > TOWARDS)
+    ids = np.flatnonzero(picked)
     own = x.only(picked)
-    start = np.where(picked, ratio, 0.0)
-    start *= max(0.0, linear.platt(own.dot(start), y)[0])
-    w, bias, v = linear.fit(own, y, dim, start=start, dense=dense, l2=1e-4, rate=0.1, steps=100)
-    return np.where(picked, w, 0.0), bias, v
+    own.cols = np.searchsorted(ids, own.cols)  # few features are left: fit in their own numbering
+    start = ratio[ids] * max(0.0, linear.platt(own.dot(ratio[ids]), y)[0])
+    w, bias, v = linear.fit(own, y, len(ids), start=start, dense=dense, l2=1e-4, rate=0.1, steps=100)
+    out = np.zeros(dim)
+    out[ids] = w
+    return out, bias, v
 
 
 def train(docs: DataFrame, labels: DataFrame, categories: Sequence[str], *, id_col: str = "doc_id", text_col: str = "text", most: int = linear.MAX_SAMPLE) -> Chain | None:
