@@ -1,11 +1,12 @@
 """Sharding by balanced label propagation, in DataFrame operations only.
 
-Links are given as memberships (document, hub): documents of one hub belong together, so a
-group of any size costs one row per member and never its pairs.  Documents start at a hashed
-shard; in each round a hub counts its members by shard (one aggregation), every member sums the
-counts of its hubs (one join), and wants the shard with most of its neighbours.  Moves into a
-shard are let in up to its free capacity: the driver sees the demand as a table of shards by
-buckets (of fixed size) and answers with thresholds.  Documents without links fill what is left,
+Links are given as memberships (node, hub): nodes of one hub belong together, so a group of any
+size costs one row per member and never its pairs.  A node is a document row, or with given links
+a document id and all its rows.  Nodes start at a hashed shard; in each round a hub counts its
+rows by shard (one aggregation), every member sums the counts of its hubs (one join), and wants
+the shard with most of its neighbours.  Moves into a shard are let in up to its free capacity and
+what leaves it: the driver sees the demand as a table of shards by shards by buckets (of fixed
+size) and answers with thresholds.  Documents without links fill what is left,
 so that at the end the numbers of rows differ by one at most.
 
 Defined results: a null text has size 1, checksum 0 and no links; empty texts are a group of
@@ -16,14 +17,15 @@ spread over as few shards as have room.
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import materialise, pick, release, salted_join
 
 ROUNDS = 5
-#: Buckets in which demand is told to the driver.
-BUCKETS = 256
+#: Buckets in which demand is told to the driver, and parts of the bucket at the threshold.
+BUCKETS, PARTS = 256, 4096
 #: Rows a ranking bucket is aimed at, and the number of such buckets at most.
 RANK_ROWS, MAX_RANK_BUCKETS = 20_000, 1 << 16
 
@@ -40,62 +42,89 @@ def digest(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     )
 
 
-def propagate(rows: DataFrame, links: DataFrame, n_shards: int, *, rounds: int = ROUNDS) -> DataFrame | None:
-    """(id, shard) of linked documents.  ``rows``: id, one row per document row; ``links``: id, hub."""
-    total = rows.count()
-    members = links.filter(F.col("hub").isNotNull() & F.col("id").isNotNull()).dropDuplicates(["id", "hub"])
-    weight = rows.filter(F.col("id").isNotNull()).groupBy("id").agg(F.count(F.lit(1)).alias("n"))
-    sizes = members.groupBy("hub").agg(F.count(F.lit(1)).alias("m")).filter("m > 1")
-    linked = materialise(salted_join(members, sizes, ["hub"], "m", total).join(weight, "id").select("id", "hub", "n"), "shard-links")
-    nodes = linked.groupBy("id").agg(F.max("n").alias("n"), F.min("hub").alias("first_hub")).withColumn("shard", F.pmod(F.xxhash64("id"), F.lit(n_shards)).cast("int"))
+def _memberships(rows: DataFrame, total: int) -> DataFrame:
+    """(node, hub, n) of rows: rows of equal text have a hub, and so have rows of one id that are not all of one text."""
+    texts = rows.filter("hub is not null").select(F.col("row_no").alias("node"), "hub")
+    known = rows.filter("id is not null")
+    ids = known.groupBy("id").agg(F.count(F.lit(1)).alias("m"), F.count("hub").alias("_texts"), F.min("hub").alias("_low"), F.max("hub").alias("_high"))
+    ids = ids.filter("_texts > 0 and (_texts < m or _low <> _high)").select("id", "m")
+    parts = salted_join(known, ids, ["id"], "m", total).select(F.col("row_no").alias("node"), F.concat(F.lit("id "), F.col("id").cast("string")).alias("hub"))
+    return texts.unionByName(parts).withColumn("n", F.lit(1).cast("long"))
+
+
+def _admitted(demand: np.ndarray, load: list[int], cap: list[int]) -> tuple[list[int], list[int]]:
+    """For each shard the number of leading buckets let in, and the rows of room left then.
+
+    ``demand[k, w, b]``: rows in shard k that want shard w, in bucket b.  What leaves makes room for
+    what comes; from all demand, buckets are taken back until no shard is over its capacity by them.
+    """
+    n_shards, buckets = len(cap), demand.shape[2]
+    until = [buckets] * n_shards
+    came = np.concatenate([np.zeros((n_shards, 1), np.int64), demand.sum(axis=0).cumsum(axis=1)], axis=1)  # (want, buckets let in)
+    gone = np.concatenate([np.zeros((n_shards, n_shards, 1), np.int64), demand.cumsum(axis=2)], axis=2)
+    while True:
+        before = list(until)
+        room = []
+        for k in range(n_shards):
+            free = cap[k] - load[k] + sum(int(gone[k, w, until[w]]) for w in range(n_shards))
+            until[k] = min(until[k], max(0, int(np.searchsorted(came[k], free, side="right")) - 1))
+            room.append(free - int(came[k, until[k]]))
+        if until == before:
+            return until, room
+
+
+def propagate(links: DataFrame, total: int, n_shards: int, *, rounds: int = ROUNDS) -> DataFrame | None:
+    """(node, shard) of linked nodes.  ``links``: node, hub, n (rows that the node stands for), no
+    membership twice; ``total``: rows in all."""
+    sizes = links.groupBy("hub").agg(F.count(F.lit(1)).alias("m"), F.sum("n").alias("_rows")).filter("_rows > 1").select("hub", "m")
+    linked = materialise(salted_join(links, sizes, ["hub"], "m", total).select("node", "hub", "n"), "shard-links")
+    nodes = linked.groupBy("node").agg(F.max("n").alias("n"), F.min("hub").alias("first_hub")).withColumn("shard", F.pmod(F.xxhash64("node"), F.lit(n_shards)).cast("int"))
     nodes = materialise(nodes, "shard-nodes")
     count = linked.count()
     if not count:
         return None
     cap = [total // n_shards + (k < total % n_shards) for k in range(n_shards)]
     here = [f"s{k}" for k in range(n_shards)]
+    full = [False] * n_shards
     for r in range(rounds):
-        load = dict(nodes.groupBy("shard").agg(F.sum("n")).collect())
-        free = [cap[k] - load.get(k, 0) for k in range(n_shards)]
-        roomy = [f > cap[k] // 200 for k, f in enumerate(free)]
-        placed = linked.join(nodes.select("id", "shard"), "id")
+        held = dict(nodes.groupBy("shard").agg(F.sum("n")).collect())
+        load = [held.get(k, 0) for k in range(n_shards)]
+        # a shard that has turned nodes away is wanted again only when it has room
+        roomy = [not full[k] or cap[k] - load[k] > cap[k] // 200 for k in range(n_shards)]
+        placed = linked.join(nodes.select("node", "shard"), "node")
         counts = placed.groupBy("hub").agg(F.count(F.lit(1)).alias("m"), *[F.sum(F.when(F.col("shard") == k, F.col("n")).otherwise(0)).alias(c) for k, c in enumerate(here)])
-        votes = salted_join(placed.select("id", "hub"), counts, ["hub"], "m", count).groupBy("id").agg(*[F.sum(c).alias(c) for c in here])
+        votes = salted_join(placed.select("node", "hub"), counts, ["hub"], "m", count).groupBy("node").agg(*[F.sum(c).alias(c) for c in here])
         turn = F.xxhash64("first_hub")
         score = F.array(*[F.when(F.lit(roomy[k]) | (F.col("shard") == k), F.col(c) * 16 + F.pmod(turn + k, F.lit(n_shards))).otherwise(F.lit(-1)) for k, c in enumerate(here)])
-        wanting = nodes.join(votes, "id").withColumn("want", (F.array_position(score, F.array_max(score)) - 1).cast("int"))
-        wanting = wanting.withColumn("bucket", F.pmod(F.xxhash64("first_hub", F.lit(r)), F.lit(BUCKETS)).cast("int"))
-        wanting = materialise(wanting.select("id", "n", "first_hub", "shard", "want", "bucket"), "shard-wants")
-        demand: dict[int, list[tuple[int, int]]] = {k: [] for k in range(n_shards)}
-        for want, bucket, n in wanting.filter("want <> shard").groupBy("want", "bucket").agg(F.sum("n")).collect():
-            demand[want].append((bucket, n))
-        if not any(demand.values()):
+        wanting = nodes.join(votes, "node").withColumn("want", (F.array_position(score, F.array_max(score)) - 1).cast("int"))
+        wanting = wanting.withColumn("bucket", F.pmod(F.xxhash64("first_hub", F.lit(r)), F.lit(BUCKETS)).cast("int")).withColumn("part", F.pmod(F.xxhash64("node", F.lit(r)), F.lit(PARTS)).cast("int"))
+        wanting = materialise(wanting.select("node", "n", "first_hub", "shard", "want", "bucket", "part"), "shard-wants")
+        moving = wanting.filter("want <> shard")
+        demand = np.zeros((n_shards, n_shards, BUCKETS), np.int64)
+        for shard, want, bucket, n in moving.groupBy("shard", "want", "bucket").agg(F.sum("n")).collect():
+            demand[shard, want, bucket] = n
+        if not demand.any():
             release(wanting)
             break
-        whole, share = [], []
-        for k in range(n_shards):
-            room, until, part = free[k], 0, 0.0
-            for bucket, n in sorted(demand[k]):
-                if n > room:
-                    part = max(0.0, 0.98 * room / n)
-                    break
-                room, until = room - n, bucket + 1
-            else:
-                until = BUCKETS
-            whole.append(until)
-            share.append(int(part * 1_000_000))
-        edge = (F.col("bucket") == pick(whole, F.col("want"))) & (F.pmod(F.xxhash64("id", F.lit(r)), F.lit(1_000_000)) < pick(share, F.col("want")))
-        moves = (F.col("bucket") < pick(whole, F.col("want"))) | edge
-        moved = materialise(wanting.withColumn("shard", F.when(moves, F.col("want")).otherwise(F.col("shard"))).select("id", "n", "first_hub", "shard"), "shard-nodes")
+        until, room = _admitted(demand, load, cap)
+        full = [full[k] or until[k] < BUCKETS for k in range(n_shards)]
+        # of the first bucket that does not fit whole, as many parts as fit
+        parts = np.zeros((n_shards, PARTS), np.int64)
+        for want, part, n in moving.filter(F.col("bucket") == pick(until, F.col("want"))).groupBy("want", "part").agg(F.sum("n")).collect():
+            parts[want, part] = n
+        share = [int(np.searchsorted(parts[k].cumsum(), room[k], side="right")) if until[k] < BUCKETS else 0 for k in range(n_shards)]
+        edge = (F.col("bucket") == pick(until, F.col("want"))) & (F.col("part") < pick(share, F.col("want")))
+        moves = (F.col("bucket") < pick(until, F.col("want"))) | edge
+        moved = materialise(wanting.withColumn("shard", F.when(moves, F.col("want")).otherwise(F.col("shard"))).select("node", "n", "first_hub", "shard"), "shard-nodes")
         release(nodes, wanting)
         nodes = moved
-    return nodes.select("id", "shard")
+    return nodes.select("node", "shard")
 
 
 def _even(rows: DataFrame, labels: DataFrame | None, n_shards: int) -> DataFrame:
-    """Every row to a shard and slot with exactly even counts; ``labels`` are kept where they fit."""
+    """Every row to a shard and slot with exactly even counts; ``labels`` (node, shard) are kept where they fit."""
     group = F.coalesce(F.col("shard"), F.lit(n_shards))
-    rows = rows.join(labels, "id", "left") if labels is not None else rows.withColumn("shard", F.lit(None).cast("int"))
+    rows = rows.join(labels, "node", "left") if labels is not None else rows.withColumn("shard", F.lit(None).cast("int"))
     total = rows.count()
     buckets = min(MAX_RANK_BUCKETS, max(16, total // RANK_ROWS))
     rows = rows.withColumn("_group", group).drop("shard").withColumn("_bucket", F.pmod(F.xxhash64("row_no"), F.lit(buckets)).cast("int"))
@@ -129,12 +158,19 @@ def _even(rows: DataFrame, labels: DataFrame | None, n_shards: int) -> DataFrame
 def shard_documents(docs: DataFrame, n_shards: int = 8, *, id_col: str = "doc_id", text_col: str = "text", links: DataFrame | None = None, rounds: int = ROUNDS) -> DataFrame:
     """One row per document row: id, size, text_crc32, hub, shard, slot.
 
-    ``links``: memberships (id, hub) of documents; by default equal texts are linked.
+    ``links``: memberships (id, hub) of documents; by default rows of equal text are linked, also
+    those of one id or of none, and rows of one id.
     """
     rows = materialise(digest(docs, id_col, text_col), "shard-digest")
-    given = rows.select("id", "hub") if links is None else links.select("id", "hub")
-    labels = propagate(rows.select("id"), given, n_shards, rounds=rounds)
-    return _even(rows, labels, n_shards).drop("row_no").withColumnRenamed("id", id_col)
+    total = rows.count()
+    if links is None:
+        rows, given = rows.withColumn("node", F.col("row_no")), _memberships(rows, total)
+    else:
+        rows = rows.withColumn("node", F.col("id"))
+        weight = rows.filter("node is not null").groupBy("node").agg(F.count(F.lit(1)).alias("n"))
+        given = links.select(F.col("id").alias("node"), "hub").dropna().distinct().join(weight, "node")
+    labels = propagate(given, total, n_shards, rounds=rounds)
+    return _even(rows, labels, n_shards).drop("row_no", "node").withColumnRenamed("id", id_col)
 
 
 def cut_links(assigned: DataFrame, hub_col: str = "hub", shard_col: str = "shard") -> DataFrame:

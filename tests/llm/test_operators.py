@@ -260,6 +260,29 @@ def test_sharding_is_even_and_keeps_copies_together(spark):
     assert cut["cut_pairs"] < 0.8 * cut["pairs"]
 
 
+def test_sharding_keeps_copies_of_one_id_and_of_no_id_together(spark):
+    rows = [(i % 150, f"text {i % 150}") for i in range(300)] + [(None, f"nameless {i % 40}") for i in range(80)] + [(1000 + i % 20, f"part {i}") for i in range(40)] + [(3000 + i, f"single {i}") for i in range(60)]
+    out = sharding.shard_documents(frame(spark, rows)).collect()
+    count, groups = Counter(r["shard"] for r in out), {}
+    for r in out:
+        groups.setdefault(r["doc_id"] if r["doc_id"] is not None else r["text_crc32"], []).append(r["shard"])
+    assert len(out) == len(rows) and max(count.values()) - min(count.values()) <= 1
+    pairs = [g for g in groups.values() if len(g) == 2]
+    assert len(pairs) == 210 and sum(len(set(g)) > 1 for g in pairs) <= 10
+
+
+def test_sharding_by_given_links(spark):
+    rows = [(i, f"text {i}") for i in range(200)] + [(i, f"other {i}") for i in range(40)] + [(None, "x")]
+    links = spark.createDataFrame([(i, f"h{i % 50}") for i in range(100)] + [(None, "h1"), (7, None)], "id long, hub string")
+    out = sharding.shard_documents(frame(spark, rows), 4, links=links).collect()
+    count, groups = Counter(r["shard"] for r in out), {}
+    for r in out:
+        if r["doc_id"] is not None and r["doc_id"] < 100:
+            groups.setdefault(r["doc_id"] % 50, set()).add(r["shard"])
+    assert len(out) == len(rows) and max(count.values()) - min(count.values()) <= 1
+    assert sum(len(g) > 1 for g in groups.values()) <= 4
+
+
 def test_language_fusion(spark):
     rng = random.Random(3)
     sounds = {"xx": ["ba", "bo", "bu"], "yy": ["ki", "ke", "ku"]}
