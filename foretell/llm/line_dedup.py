@@ -29,8 +29,8 @@ MAX_EDITS, MIN_CHARS = 1, 30
 SIGNATURES = ("eantirs", "odhlucg")
 #: Line numbers (8 bytes each) up to which those that share a key are broadcast; beyond, they join by shuffle.
 MAX_BROADCAST_LINES = 2_000_000
-#: Longest step of the search for common beginnings and ends.
-LONGEST_STEP = 1 << 20
+#: Longest step of the search for common beginnings and ends; with the smaller ones it covers any string Spark can hold.
+LONGEST_STEP = 1 << 30
 _WORD = r"[^\x20\x09-\x0D]"
 
 
@@ -96,7 +96,7 @@ def _common(a: str, b: str, end: bool) -> Column:
     part = lambda c, at, s: F.substring(F.col(c), (F.length(c) - at - s + 1) if end else at + 1, s)
 
     def longer(at: Column, s: Column) -> Column:
-        return F.when((at + s <= most) & (part(a, at, s) == part(b, at, s)), at + s).otherwise(at)
+        return F.when((s <= most - at) & (part(a, at, s) == part(b, at, s)), at + s).otherwise(at)
 
     return F.aggregate(steps, F.lit(0), longer)
 

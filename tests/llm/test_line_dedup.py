@@ -104,3 +104,12 @@ def test_cleaned_texts_keep_other_columns(spark):
     got = {r["doc_id"]: (r["text"], r["no"]) for r in L.without_repeated(df).collect()}
     assert got == {1: ("alpha line that is long enough to count\nkeep", 7), 2: ("more", 8)}
     assert L.repeated_lines(df.filter("false")).count() == 0
+
+
+def test_common_ends_of_very_long_lines(spark):
+    tail = "0123456789" * 220_000
+    rows = [("é" + tail, "x" + tail), (tail + "é", tail + "x"), (tail + "é" + tail, tail + tail)]
+    df = spark.createDataFrame(rows, "x string, y string")
+    assert sorted((r["x"], r["y"]) for r in L.trimmed(df).collect()) == [("é", ""), ("é", "x"), ("é", "x")]
+    docs = spark.createDataFrame([(1, "é" + tail), (2, "x" + tail)], "doc_id long, text string")
+    assert {r["doc_id"]: r["removed_lines"] for r in L.repeated_lines(docs, max_edits=1).collect()} == {1: [], 2: [0]}
