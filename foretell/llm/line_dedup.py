@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 from .common import materialise, salted_join
 from .components import components
 
-MAX_EDITS, MIN_CHARS = 1, 30
+MAX_EDITS, MIN_CHARS = 3, 30
 #: Letters whose counts (up to 511 each) make a line's two signatures.
 SIGNATURES = ("eantirs", "odhlucg")
 #: Line numbers (8 bytes each) up to which those that share a key are broadcast; beyond, they join by shuffle.
@@ -158,13 +158,10 @@ def banded_distance(a: Column, b: Column, edits: int) -> Column:
 
 
 def _verified(texts: DataFrame, pairs: DataFrame, edits: int) -> DataFrame:
-    """Those of ``pairs`` (a, b: line numbers) within ``edits``.  A rest whose ends differ and that
-    is longer than one character has two edits at least."""
+    """Those of ``pairs`` (a, b: line numbers) within ``edits``, by the banded distance of what trimming leaves."""
     lines = texts.select("line_id", "line")
     both = pairs.join(lines.withColumnsRenamed({"line_id": "a", "line": "x"}), "a").join(lines.withColumnsRenamed({"line_id": "b", "line": "y"}), "b")
     both = materialise(trimmed(both), "line-rests")
-    if edits == 1:
-        both = both.filter(F.greatest(F.length("x"), F.length("y")) <= 1)
     return materialise(both.filter(banded_distance(F.col("x"), F.col("y"), edits) <= edits).select("a", "b"), "line-links")
 
 

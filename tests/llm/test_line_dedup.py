@@ -113,3 +113,30 @@ def test_common_ends_of_very_long_lines(spark):
     assert sorted((r["x"], r["y"]) for r in L.trimmed(df).collect()) == [("é", ""), ("é", "x"), ("é", "x")]
     docs = spark.createDataFrame([(1, "é" + tail), (2, "x" + tail)], "doc_id long, text string")
     assert {r["doc_id"]: r["removed_lines"] for r in L.repeated_lines(docs, max_edits=1).collect()} == {1: [], 2: [0]}
+
+
+def test_registered_setting_links_lines_of_three_edits(spark, tmp_path):
+    from foretell.llm.queries import op5_line_dedup
+
+    licence = "Copyright 2019 the authors; redistribution and use in source and binary forms are permitted"
+    docs = [
+        (1, licence),
+        (2, licence.replace("2019", "2021")),
+        (3, licence.replace("2019", "2187")),
+        (4, licence.replace("2019", "3456")),
+        (5, licence.replace("authors", "writer")),
+        (6, "a" + licence[:40] + licence[41:80] + "~" + licence[80:]),
+    ]
+    spark.createDataFrame(docs, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r["doc_id"]: r["removed_lines"] for r in op5_line_dedup(spark, str(tmp_path)).collect()}
+    assert distance(docs[0][1], docs[2][1]) == 3 and distance(docs[0][1], docs[5][1]) == 3
+    assert min(distance(docs[k][1], docs[4][1]) for k in (0, 1, 2, 3, 5)) > 3
+    assert min(distance(docs[k][1], docs[3][1]) for k in (0, 1, 2, 4, 5)) > 3
+    assert got == {1: [], 2: [0], 3: [0], 4: [], 5: [], 6: [0]}
+
+
+def test_three_edits_against_brute_force(spark):
+    rng = random.Random(11)
+    base = ["".join(rng.choice("abcdef ") for _ in range(rng.randint(30, 60))) for _ in range(10)]
+    docs = [(d, "\n".join(edited(rng, rng.choice(base), rng.randint(0, 4)) for _ in range(rng.randint(1, 4)))) for d in range(30)]
+    check(spark, docs, 3, 30)
