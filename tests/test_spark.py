@@ -2,6 +2,11 @@
 
 from __future__ import annotations
 
+import os
+import shutil
+import subprocess
+import sys
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -129,3 +134,17 @@ def test_entry_and_registry(spark):
 
 def test_table_helper(spark, small):
     assert table(spark, small, "nation").count() == 25
+
+
+def test_registry_without_the_training_data_operators(tmp_path):
+    """With the operators' folder gone the rest still registers, though the pipeline's file is there."""
+
+    from conftest import ROOT
+
+    shutil.copytree(f"{ROOT}/foretell", tmp_path / "foretell", ignore=shutil.ignore_patterns("llm", "__pycache__"))
+    for name in ("__spark_entry__.py", "corpus_pipeline.py"):
+        if os.path.exists(f"{ROOT}/{name}"):
+            shutil.copy(f"{ROOT}/{name}", tmp_path / name)
+    code = "import __spark_entry__ as e; q = e.queries(); assert 'score_linear_sql' in q and 'pipeline' not in q and set(e.oracle_sql()) <= set(q)"
+    env = {k: v for k, v in os.environ.items() if k != "PYTHONPATH"}
+    subprocess.run([sys.executable, "-c", code], cwd=tmp_path, env=env, check=True)
