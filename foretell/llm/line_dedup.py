@@ -1,11 +1,15 @@
 """Line deduplication by a segment-partition edit join, in DataFrame operations only.
 
-Two lines are linked when their edit distance (in code points) is at most ``max_edits``; lines
-shorter than ``min_chars`` are linked only when equal.  A line is cut into ``max_edits + 1`` even
-segments: of two linked lines one segment of the shorter stands unchanged in the longer, at a
-place that the lengths confine.  Segments are indexed by (length, number, content), the longer
-line probes the few substrings that can match, and what meets is verified with a banded
-bit-parallel edit distance that keeps one word of 2 * max_edits + 1 diagonals per step.
+Two lines are linked when their edit distance (in code points) is at most ``max_edits`` and at most
+one per ``chars_per_edit`` characters of the shorter line: one rule for lines of every length.
+
+Lines are indexed by ranges of length.  A line that may have t edits is cut into t + 1 segments of
+a size that the range fixes, the first half of them counted from the line's beginning, the others
+from its end.  t edits cannot spoil all: some segment with i others outside it stands unchanged,
+moved by i places at most, seen from its own end of the line.  So a line probes each range that its
+partner's length may be in with 2 i + 1 substrings for that segment, (t + 1)^2 / 2 in all, whatever
+the difference of the lengths.  What meets is verified with a banded bit-parallel edit distance
+that keeps one word of 2 * max_edits + 1 diagonals per step.
 
 A key that many lines share costs no pairs: first every line meets one leader per key and the
 verified links become components; then only lines of different components meet, and a count of
@@ -13,7 +17,8 @@ letters turns most of them away inside the join.
 
 Defined results: null texts have no lines; lines without a word are kept and never linked; of
 each class the first line in (id, line number) order stays; repeated rows are judged alike;
-lines of any length are compared whole.
+lines of any length are compared whole.  Lines count as equal when two independent 64-bit hashes
+and thus 128 bits agree.
 """
 
 from __future__ import annotations
@@ -24,7 +29,11 @@ from pyspark.sql import functions as F
 from .common import materialise, salted_join
 from .components import components
 
-MAX_EDITS, MIN_CHARS = 3, 30
+MAX_EDITS, CHARS_PER_EDIT = 3, 10
+#: Lengths in one range of the index (shorter lines: one range per number of edits).
+RANGE = 16
+#: Comparisons (of letter counts) that one part of a key's pairs is aimed at.
+PART_PAIRS = 4_000_000
 #: Letters whose counts (up to 511 each) make a line's two signatures.
 SIGNATURES = ("eantirs", "odhlucg")
 #: Line numbers (8 bytes each) up to which those that share a key are broadcast; beyond, they join by shuffle.
@@ -40,36 +49,49 @@ def lines_of(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     return docs.select(F.col(id_col).alias("id"), each).filter(F.regexp_instr("line", F.lit(_WORD)) > 0)
 
 
-def _segment(length: Column, i: int, edits: int) -> tuple[Column, Column]:
-    """Start (from 0) and size of segment ``i`` of a line of ``length``."""
-    base = F.floor(length / (edits + 1)).cast("int")
-    short = (edits + 1) - (length % (edits + 1))
-    return (base * i + F.greatest(F.lit(0), F.lit(i) - short)).cast("int"), (base + F.when(short <= i, 1).otherwise(0)).cast("int")
+def allowed_edits(n: Column, edits: int, per: int) -> Column:
+    """Edits that a pair may have whose shorter line has ``n`` characters."""
+    return F.least(F.lit(edits), F.floor(n / per)).cast("int")
+
+
+def _range(n: Column, edits: int, per: int) -> Column:
+    """Number of the range of lengths; up to ``edits`` it is the number of edits allowed."""
+    return F.when(n < edits * per, F.floor(n / per)).otherwise(edits + F.floor((n - edits * per) / RANGE)).cast("int")
+
+
+def _segment_size(number: Column, edits: int, per: int) -> Column:
+    least = F.when(number < edits, number * per).otherwise(edits * per + (number - edits) * RANGE)
+    return F.floor(least / (F.least(number, F.lit(edits)) + 1)).cast("int")
 
 
-def _key(i: int, length: Column, start: Column, size: Column) -> Column:
-    return F.xxhash64(F.lit(i), length.cast("int"), F.substring(F.col("line"), start + 1, size))
+def _keys(number: Column, edits: int, per: int) -> dict[tuple[bool, int, int], Column]:
+    """By (from the end, segment, move): the key of the substring of ``line`` (of length ``n``) where
+    that segment of a line in range ``number`` may stand; null where there is no such place."""
+    n, size, allowed = F.col("n"), _segment_size(number, edits, per), F.least(number, F.lit(edits))
+    out = {}
+    for end in (False, True):
+        for i in range((edits + 1) // 2 if end else edits // 2 + 1):
+            # from the beginning there are half the segments rounded up, from the end the others
+            used = allowed >= (2 * i + 1 if end else 2 * i) if i or end else allowed >= 1
+            for move in range(-i, i + 1):
+                at = (n - (i + 1) * size if end else i * size) + move
+                key = F.xxhash64(F.lit(2 * i + end), number, F.substring("line", at + 1, size))
+                out[end, i, move] = F.when(used & (at >= 0) & (at + size <= n), key)
+    return out
 
 
-def index_keys(edits: int) -> Column:
-    """Keys of a line's own segments; ``n`` is the line's length."""
-    n = F.col("n")
-    return F.array(*[_key(i, n, *_segment(n, i, edits)) for i in range(edits + 1)])
+def index_keys(edits: int, per: int) -> Column:
+    """Keys of a line's own segments; they also probe at the places where lines of equal length have them."""
+    own = _keys(_range(F.col("n"), edits, per), edits, per)
+    return F.array_compact(F.array(*[k for (_, _, move), k in own.items() if move == 0]))
 
 
-def probe_keys(edits: int) -> Column:
-    """Keys of the substrings at which a segment of a line of equal or smaller length may stand
-    (null where there is no such place)."""
-    n = F.col("n")
-    keys = []
-    for shorter in range(edits + 1):
-        length = n - shorter
-        for i in range(edits + 1):
-            start, size = _segment(length, i, edits)
-            for move in range(max(-i, shorter - (edits - i)), min(i, shorter + (edits - i)) + 1):
-                at = start + move
-                keys.append(F.when((at >= 0) & (at + size <= n), _key(i, length, at, size)))
-    return F.array(*keys)
+def probe_keys(edits: int, per: int) -> Column:
+    """Keys of the other substrings at which a segment of a line of equal or smaller length may stand."""
+    here, below = _range(F.col("n"), edits, per), _range(F.greatest(F.col("n") - edits, F.lit(0)), edits, per)
+    moved = [k for (_, _, move), k in _keys(here, edits, per).items() if move]
+    lower = F.when(below < here, F.array(*_keys(below, edits, per).values())).otherwise(F.array().cast("array<bigint>"))
+    return F.array_compact(F.concat(F.array(*moved) if moved else F.array().cast("array<bigint>"), lower))
 
 
 def signature(letters: str) -> Column:
@@ -157,71 +179,86 @@ def banded_distance(a: Column, b: Column, edits: int) -> Column:
     return F.when(near, banded).otherwise(F.lit(edits + 1))
 
 
-def _verified(texts: DataFrame, pairs: DataFrame, edits: int) -> DataFrame:
-    """Those of ``pairs`` (a, b: line numbers) within ``edits``, by the banded distance of what trimming leaves."""
+def _verified(texts: DataFrame, pairs: DataFrame, edits: int, per: int) -> DataFrame:
+    """Those of ``pairs`` (a, b: line numbers) within the rule, by the banded distance of what trimming leaves."""
     lines = texts.select("line_id", "line")
     both = pairs.join(lines.withColumnsRenamed({"line_id": "a", "line": "x"}), "a").join(lines.withColumnsRenamed({"line_id": "b", "line": "y"}), "b")
+    both = both.withColumn("allowed", allowed_edits(F.least(F.length("x"), F.length("y")), edits, per)).filter(F.abs(F.length("x") - F.length("y")) <= F.col("allowed"))
     both = materialise(trimmed(both), "line-rests")
-    return materialise(both.filter(banded_distance(F.col("x"), F.col("y"), edits) <= edits).select("a", "b"), "line-links")
-
-
-def line_classes(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", max_edits: int = MAX_EDITS, min_chars: int = MIN_CHARS) -> DataFrame:
-    """id, no, line_id, class_id of every line with a word; equal class ids mean one class."""
-    if max_edits < 1 or min_chars < 4 * (max_edits + 1):
-        raise ValueError("at least one edit, and lines of four characters per segment")
-    identified = lines_of(docs, id_col, text_col).withColumn("line_id", F.xxhash64("line", F.length("line")))
-    long_lines = identified.filter(F.length("line") >= min_chars)
-    # one row per different line: its keys
-    distinct = long_lines.groupBy("line_id").agg(F.min("line").alias("line")).withColumn("n", F.length("line"))
-    keyed = materialise(distinct.select("line_id", index_keys(max_edits).alias("own"), probe_keys(max_edits).alias("near")), "line-keys")
-    rows = keyed.select("line_id", F.lit(True).alias("own"), F.explode("own").alias("key")).unionByName(keyed.select("line_id", F.lit(False).alias("own"), F.explode("near").alias("key")).filter("key is not null"))
-    met = rows.groupBy("key").agg(F.min("line_id").alias("low"), F.max("line_id").alias("high"), F.bool_or("own").alias("i"), F.bool_or(~F.col("own")).alias("p")).filter("low <> high and i and p").select("key")
-    rows = materialise(rows.join(met, "key").distinct(), "line-shared")
+    return materialise(both.filter(banded_distance(F.col("x"), F.col("y"), edits) <= F.col("allowed")).select("a", "b"), "line-links")
+
+
+def _pairs_across(placed: DataFrame, edits: int) -> DataFrame:
+    """(a, b) of lines of different components that share a key and whose letter counts fit.
+
+    At every key the largest component meets the others, never itself.  A key with many pairs is
+    cut into parts of the smaller side, which the other side meets one by one, so no task has more
+    than about ``PART_PAIRS`` comparisons of one key.
+    """
+    per = placed.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("m"))
+    per = per.groupBy("key").agg(F.max_by("comp", F.struct("m", "comp")).alias("major"), F.count(F.lit(1)).alias("comps"), F.sum("m").alias("m"), F.max("m").alias("most"))
+    per = per.filter("comps > 1").withColumn("parts", F.least(F.col("m") - F.col("most"), F.ceil((F.col("m") - F.col("most")) * F.col("m") / PART_PAIRS)).cast("int"))
+    across = materialise(salted_join(placed, per.select("key", "major", "m", "parts"), ["key"], "m", placed.count()), "line-across")
+    side = lambda k: [F.col("line_id").alias(k), F.col("comp").alias(f"c{k}"), F.col("sig").alias(f"sig_{k}"), F.col("sig2").alias(f"sig2_{k}"), F.col("own").alias(f"own_{k}")]
+    minor = across.filter("comp <> major").select("key", F.pmod(F.xxhash64("line_id"), F.col("parts")).cast("int").alias("part"), *side("a"))
+    other = across.select("key", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), (F.col("comp") == F.col("major")).alias("main"), *side("b"))
+    pairs = minor.join(other, ["key", "part"]).filter("ca <> cb and (main or ca < cb) and (own_a or own_b)").filter(_signatures_fit(("sig_a", "sig2_a"), ("sig_b", "sig2_b"), edits))
+    return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+
+
+def line_classes(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", max_edits: int = MAX_EDITS, chars_per_edit: int = CHARS_PER_EDIT) -> DataFrame:
+    """id, no, class_id, class_check of every line with a word; lines are of one class when both are equal."""
+    if max_edits < 1 or chars_per_edit < 2 * (max_edits + 1):
+        raise ValueError("at least one edit, and two characters per edit and segment")
+    identified = lines_of(docs, id_col, text_col).withColumn("line_id", F.xxhash64("line", F.length("line"))).withColumn("check", F.xxhash64(F.lit(1), "line"))
+    long_lines = identified.filter(F.length("line") >= chars_per_edit).withColumn("n", F.length("line"))
+    # one row per different line: its keys.  Texts stay where they are
+    keyed = materialise(long_lines.select("line_id", index_keys(max_edits, chars_per_edit).alias("own"), probe_keys(max_edits, chars_per_edit).alias("near")).distinct(), "line-keys")
+    rows = keyed.select("line_id", F.lit(True).alias("own"), F.explode("own").alias("key")).unionByName(keyed.select("line_id", F.lit(False).alias("own"), F.explode("near").alias("key")))
+    # a key is of use when some line has it as its own and it stands twice
+    times = rows.groupBy("key").agg(F.sum(F.when(F.col("own"), F.lit(1 << 40)).otherwise(F.lit(0)) + 1).alias("t"))
+    met = times.filter((F.col("t") > 1 << 40) & (F.col("t").bitwiseAND((1 << 40) - 1) > 1)).select("key")
+    rows = materialise(rows.join(met, "key").groupBy("key", "line_id").agg(F.max("own").alias("own")), "line-shared")
     # only lines that share a key move with their text, once
     wanted = materialise(rows.select("line_id").distinct(), "line-wanted")
     wanted = F.broadcast(wanted) if wanted.count() <= MAX_BROADCAST_LINES else wanted
-    texts = long_lines.join(wanted, "line_id").groupBy("line_id").agg(F.min("line").alias("line"))
+    texts = long_lines.join(wanted, "line_id").groupBy("line_id").agg(F.min(F.struct("line", "check")).alias("l")).select("line_id", "l.*")
     texts = materialise(texts.withColumn("sig", signature(SIGNATURES[0])).withColumn("sig2", signature(SIGNATURES[1])), "line-texts")
-    rows = rows.join(texts.select("line_id", "sig", "sig2"), "line_id")
+    rows = materialise(rows.join(texts.select("line_id", "sig", "sig2"), "line_id"), "line-signed")
 
     # star round: one leader per key
-    leaders = rows.filter("own").groupBy("key").agg(F.min(F.struct("line_id", "sig", "sig2")).alias("l")).select("key", F.col("l.line_id").alias("b"), F.col("l.sig").alias("sig_b"), F.col("l.sig2").alias("sig2_b"))
-    stars = rows.join(leaders, "key").filter((F.col("line_id") != F.col("b")) & _signatures_fit(("sig", "sig2"), ("sig_b", "sig2_b"), max_edits))
-    stars = materialise(stars.select(F.col("line_id").alias("a"), "b").distinct(), "line-pairs")
-    found = materialise(components(_verified(texts, stars, max_edits)), "line-first")
+    leaders = rows.groupBy("key").agg(F.min(F.when(F.col("own"), F.struct("line_id", "sig", "sig2"))).alias("l"), F.count(F.lit(1)).alias("m")).filter("m > 1").select("key", "m", F.col("l.line_id").alias("b"), F.col("l.sig").alias("sig_b"), F.col("l.sig2").alias("sig2_b"))
+    stars = salted_join(rows, leaders, ["key"], "m", rows.count()).filter((F.col("line_id") != F.col("b")) & _signatures_fit(("sig", "sig2"), ("sig_b", "sig2_b"), max_edits))
+    stars = materialise(stars.select(F.least("line_id", "b").alias("a"), F.greatest("line_id", "b").alias("b")).distinct(), "line-pairs")
+    found = materialise(components(_verified(texts, stars, max_edits, chars_per_edit)), "line-first")
 
     # join round: only across components
     placed = rows.join(found.withColumnRenamed("node", "line_id"), "line_id", "left").withColumn("comp", F.coalesce("component", "line_id")).drop("component")
-    placed = materialise(placed, "line-placed")
-    major = placed.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("m")).groupBy("key").agg(F.max_by("comp", F.struct("m", "comp")).alias("major"), F.count(F.lit(1)).alias("comps")).filter("comps > 1").select("key", "major")
-    across = placed.join(major, "key")
-    minor = across.filter("comp <> major").select("key", F.col("line_id").alias("a"), F.col("comp").alias("ca"), F.col("sig").alias("sig_a"), F.col("sig2").alias("sig2_a"), F.col("own").alias("own_a"))
-    other = across.select("key", F.col("line_id").alias("b"), F.col("comp").alias("cb"), F.col("sig").alias("sig_b"), F.col("sig2").alias("sig2_b"), F.col("own").alias("own_b"))
-    pairs = minor.join(other, (minor["key"] == other["key"]) & (F.col("ca") != F.col("cb")) & (F.col("own_a") | F.col("own_b")) & _signatures_fit(("sig_a", "sig2_a"), ("sig_b", "sig2_b"), max_edits))
-    pairs = materialise(pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "line-pairs")
-    second = _verified(texts, pairs, max_edits)
+    pairs = materialise(_pairs_across(materialise(placed, "line-placed"), max_edits), "line-pairs")
+    second = _verified(texts, pairs, max_edits, chars_per_edit)
     links = found.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(second)
-    final = components(links).select(F.col("node").alias("line_id"), "component")
-    out = identified.select("id", "no", "line_id").join(final, "line_id", "left")
-    return out.select("id", "no", "line_id", F.coalesce("component", "line_id").alias("class_id"))
+    checks = texts.select("line_id", "check")
+    final = components(links).join(checks.withColumnsRenamed({"line_id": "component", "check": "class_check"}), "component").join(checks.withColumnRenamed("line_id", "node"), "node")
+    out = identified.select("id", "no", "line_id", "check").join(final.withColumnRenamed("node", "line_id"), ["line_id", "check"], "left")
+    return out.select("id", "no", F.coalesce("component", "line_id").alias("class_id"), F.coalesce("class_check", "check").alias("class_check"))
 
 
-def repeated_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", max_edits: int = MAX_EDITS, min_chars: int = MIN_CHARS) -> DataFrame:
+def repeated_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", max_edits: int = MAX_EDITS, chars_per_edit: int = CHARS_PER_EDIT) -> DataFrame:
     """One row per document row: id, n_lines (with a word), removed_lines (numbers from 0, sorted)
-    of lines that repeat an earlier line of the corpus or differ from one by ``max_edits`` at most."""
-    lines = materialise(line_classes(docs, id_col=id_col, text_col=text_col, max_edits=max_edits, min_chars=min_chars).select("id", "no", "class_id"), "line-classes")
+    of lines that repeat an earlier line of the corpus or are linked with one."""
+    lines = materialise(line_classes(docs, id_col=id_col, text_col=text_col, max_edits=max_edits, chars_per_edit=chars_per_edit).select("id", "no", "class_id", "class_check"), "line-classes")
     total = lines.count()
-    first = lines.groupBy("class_id").agg(F.min(F.struct("id", "no")).alias("first"), F.count(F.lit(1)).alias("m")).filter("m > 1")
-    again = salted_join(lines, first, ["class_id"], "m", total).filter(~F.struct("id", "no").eqNullSafe(F.col("first")))
+    first = lines.groupBy("class_id", "class_check").agg(F.min(F.struct("id", "no")).alias("first"), F.count(F.lit(1)).alias("m")).filter("m > 1")
+    again = salted_join(lines, first, ["class_id", "class_check"], "m", total).filter(~F.struct("id", "no").eqNullSafe(F.col("first")))
     removed = again.select("id", "no").distinct().groupBy("id").agg(F.array_sort(F.collect_list("no")).alias("removed_lines"))
     counted = docs.select(F.col(id_col).alias("id"), F.size(F.filter(F.split(F.coalesce(F.col(text_col), F.lit("")), "\n"), lambda x: F.regexp_instr(x, F.lit(_WORD)) > 0)).alias("n_lines"))
     out = counted.join(removed.withColumnRenamed("id", "_id"), F.col("id").eqNullSafe(F.col("_id")), "left")
     return out.select(F.col("id").alias(id_col), F.col("n_lines").cast("long").alias("n_lines"), F.coalesce("removed_lines", F.array().cast("array<int>")).alias("removed_lines"))
 
 
-def without_repeated(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", max_edits: int = MAX_EDITS, min_chars: int = MIN_CHARS) -> DataFrame:
+def without_repeated(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", max_edits: int = MAX_EDITS, chars_per_edit: int = CHARS_PER_EDIT) -> DataFrame:
     """``docs`` with the repeated lines taken out of the texts; other columns as they are."""
-    judged = repeated_lines(docs, id_col=id_col, text_col=text_col, max_edits=max_edits, min_chars=min_chars)
+    judged = repeated_lines(docs, id_col=id_col, text_col=text_col, max_edits=max_edits, chars_per_edit=chars_per_edit)
     judged = judged.select(F.col(id_col).alias("_id"), "removed_lines").filter(F.size("removed_lines") > 0).dropDuplicates(["_id"])
     row = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row"), F.col(id_col).alias("_own"))
     joined = row.join(judged, F.col("_own").eqNullSafe(F.col("_id")), "left")

@@ -44,7 +44,7 @@ def test_banded_distance_with_and_without_trimming(spark):
             assert min(r["d"], edits + 1) == min(distance(r["a"], r["b"]), edits + 1), (r["a"], r["b"], edits)
 
 
-def classes_by_brute_force(lines: list[str], edits: int, min_chars: int) -> list[int]:
+def classes_by_brute_force(lines: list[str], edits: int, per: int) -> list[int]:
     parent = list(range(len(lines)))
 
     def find(i: int) -> int:
@@ -54,14 +54,14 @@ def classes_by_brute_force(lines: list[str], edits: int, min_chars: int) -> list
 
     for i in range(len(lines)):
         for j in range(i):
-            long = min(len(lines[i]), len(lines[j])) >= min_chars
-            if lines[i] == lines[j] or (long and abs(len(lines[i]) - len(lines[j])) <= edits and distance(lines[i], lines[j]) <= edits):
+            most = min(edits, min(len(lines[i]), len(lines[j])) // per)
+            if lines[i] == lines[j] or (abs(len(lines[i]) - len(lines[j])) <= most and distance(lines[i], lines[j]) <= most):
                 a, b = find(i), find(j)
                 parent[max(a, b)] = min(a, b)
     return [find(i) for i in range(len(lines))]
 
 
-def check(spark, docs: list[tuple[int, str | None]], edits: int, min_chars: int) -> None:
+def check(spark, docs: list[tuple[int, str | None]], edits: int, per: int) -> None:
     lines, where = [], []
     for doc_id, text in docs:
         for no, line in enumerate((text or "").split("\n")):
@@ -70,13 +70,13 @@ def check(spark, docs: list[tuple[int, str | None]], edits: int, min_chars: int)
                 where.append((doc_id, no))
     order = sorted(range(len(lines)), key=lambda i: where[i])
     lines, where = [lines[i] for i in order], [where[i] for i in order]
-    classes = classes_by_brute_force(lines, edits, min_chars)
+    classes = classes_by_brute_force(lines, edits, per)
     expected: dict[int, list[int]] = {d: [] for d, _ in docs}
     for i, c in enumerate(classes):
         if c != i and where[i] != where[c]:
             expected[where[i][0]].append(where[i][1])
     df = spark.createDataFrame(docs, "doc_id long, text string").repartition(3)
-    got = {r["doc_id"]: r["removed_lines"] for r in L.repeated_lines(df, max_edits=edits, min_chars=min_chars).collect()}
+    got = {r["doc_id"]: r["removed_lines"] for r in L.repeated_lines(df, max_edits=edits, chars_per_edit=per).collect()}
     assert got == {d: sorted(v) for d, v in expected.items()}
 
 
@@ -88,15 +88,15 @@ def test_against_brute_force(spark):
         parts = [edited(rng, rng.choice(base), rng.randint(0, 3)) for _ in range(rng.randint(0, 5))]
         docs.append((d, "\n".join([*parts, "short", " \t", "shorx"])))
     docs += [(100, None), (101, ""), (102, "\n\n")]
-    check(spark, docs, 1, 20)
-    check(spark, docs, 2, 20)
+    check(spark, docs, 1, 10)
+    check(spark, docs, 2, 10)
 
 
 def test_chain_of_near_lines_and_a_large_family(spark):
     a = "the quick brown fox jumps over the lazy dog again and again"
     chain = [a[:i] + "#" * 0 + a[i:].replace("again", "again" + "x" * i, 1) for i in range(6)]
     family = [a[:i] + "~" + a[i + 1 :] for i in range(len(a))]
-    check(spark, [(i, t) for i, t in enumerate([*chain, *family])], 1, 20)
+    check(spark, [(i, t) for i, t in enumerate([*chain, *family])], 1, 10)
 
 
 def test_cleaned_texts_keep_other_columns(spark):
@@ -139,4 +139,20 @@ def test_three_edits_against_brute_force(spark):
     rng = random.Random(11)
     base = ["".join(rng.choice("abcdef ") for _ in range(rng.randint(30, 60))) for _ in range(10)]
     docs = [(d, "\n".join(edited(rng, rng.choice(base), rng.randint(0, 4)) for _ in range(rng.randint(1, 4)))) for d in range(30)]
-    check(spark, docs, 3, 30)
+    check(spark, docs, 3, 10)
+
+
+def test_short_lines_and_limits_of_ranges_against_brute_force(spark):
+    rng = random.Random(12)
+    base = ["".join(rng.choice("abc") for _ in range(n)) for n in (7, 9, 10, 11, 12, 19, 20, 21, 22, 29, 30, 31, 33, 45, 46, 47, 48, 61, 62, 63)]
+    docs = [(d, "\n".join(edited(rng, rng.choice(base), rng.randint(0, 4)) for _ in range(rng.randint(1, 5)))) for d in range(60)]
+    check(spark, docs, 3, 10)
+    check(spark, docs, 2, 8)
+
+
+def test_parts_of_a_shared_key_lose_no_pair(spark, monkeypatch):
+    monkeypatch.setattr(L, "PART_PAIRS", 7)
+    head = "every line of this table begins with the same words and "
+    rng = random.Random(13)
+    words = ["".join(rng.choice("abcdefgh") for _ in range(12)) for _ in range(25)]
+    check(spark, [(d, head + edited(rng, rng.choice(words), rng.randint(0, 3))) for d in range(70)], 3, 10)
