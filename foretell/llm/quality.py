@@ -1,9 +1,9 @@
 """Quality rules: base statistics and a calibrated hashed n-gram classifier.
 
-The classifier is a logistic regression on the shares of hashed word 1- and 2-grams and byte
-3- and 4-grams, fitted on a bounded sample of labelled rows (``linear.MAX_SAMPLE``), calibrated
-by a sigmoid on out-of-fold scores and compared with a fixed threshold.  Statistics and scores
-come from one pass over the whole texts in Arrow batches.
+The classifier is a logistic regression on the shares of hashed word 1- and 2-grams and character
+3- and 4-grams (of code points), fitted on a bounded sample of labelled rows (``most``),
+calibrated by a sigmoid on out-of-fold scores and compared with a fixed threshold.  Statistics and
+scores come from one pass over the whole texts in Arrow batches.
 
 Defined results: a null or empty text has statistics 0, fails the base rule and is not kept;
 without usable labels the classifier says 1 for every text, so only the base rule decides;
@@ -22,7 +22,7 @@ from . import linear
 from . import textkernel as K
 
 BITS = 18
-WORD_GRAMS, BYTE_GRAMS = (1, 2), (3, 4)
+WORD_GRAMS, CHARACTER_GRAMS = (1, 2), (3, 4)
 #: Share of a text's n-grams times this is a feature's value (keeps values near 1).
 SCALE = 20.0
 #: Probability of good quality from which a text is kept (fixed).
@@ -43,9 +43,10 @@ def _groups(c: K.Chunk) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
     for n in WORD_GRAMS:
         first, stop = c.word_offsets[:-1], np.maximum(c.word_offsets[:-1], c.word_offsets[1:] - n + 1)
         yield _slots(K.ngram_hashes(words, n), n), first, stop
-    for n in BYTE_GRAMS:
-        first, stop = c.offsets[:-1], np.maximum(c.offsets[:-1], c.offsets[1:] - n + 1)
-        yield _slots(c.gram_hashes(n), 16 + n), first, stop
+    places, owner = c.characters()
+    for n in CHARACTER_GRAMS:
+        first, stop = owner[:-1], np.maximum(owner[:-1], owner[1:] - n + 1)
+        yield _slots(c.character_gram_hashes(n, places), 16 + n), first, stop
 
 
 def features(column: pa.Array) -> Iterator[tuple[np.ndarray, np.ndarray]]:

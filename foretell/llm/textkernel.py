@@ -103,6 +103,16 @@ class Chunk:
         at = np.arange(max(0, len(self.data) - n + 1))
         return self.span_hashes(at, at + n)
 
+    def characters(self) -> tuple[np.ndarray, np.ndarray]:
+        """Byte offsets of all characters and, last, of the end; and the numbers of each text's first
+        character and, last, of all characters."""
+        starts = np.flatnonzero((self.data & 0xC0) != 0x80)
+        return np.append(starts, len(self.data)), np.searchsorted(starts, self.offsets)
+
+    def character_gram_hashes(self, n: int, places: np.ndarray) -> np.ndarray:
+        """Hash of the ``n`` characters from each character on (the last n - 1 of the chunk left out)."""
+        return self.span_hashes(places[: len(places) - n], places[n:]) if len(places) > n else np.empty(0, np.uint64)
+
     def per_text(self, flags: np.ndarray) -> np.ndarray:
         """Sum of a per-byte array over each text."""
         sums = np.concatenate((np.zeros(1, np.float64 if flags.dtype.kind == "f" else np.int64), np.cumsum(flags)))
