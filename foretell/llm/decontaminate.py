@@ -6,6 +6,11 @@ without words none.  The automaton runs over word numbers rather than characters
 scanned once and every match already ends on a word; word numbers map back to the byte offsets
 of the original text.
 
+The automaton does not hold every window.  An item is cut into even blocks of half a window, and
+those are its patterns: every window has one of them whole inside it.  Where a block is met in a
+text, the agreement of text and item is followed to both sides; when it is a window long, all its
+words are hit.  So an automaton has about one node a word of the benchmark.
+
 Defined results: a null or empty text has no words and no hits; null item texts and items
 without words never match; repeated items count apart (by ``item_id``); repeated documents
 give repeated rows; an empty benchmark leaves every document clean.
@@ -13,25 +18,28 @@ give repeated rows; an empty benchmark leaves every document clean.
 
 from __future__ import annotations
 
-import hashlib
+import uuid
 from collections.abc import Iterator
 
 import ahocorasick
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from . import textkernel as K
 
 WINDOW = 10
-#: Benchmark text that one automaton may hold; a larger benchmark is scanned for in several passes.
-MAX_AUTOMATON_BYTES = 32 << 20
+#: Words of the benchmark that one automaton is aimed at (about 200 bytes each); a larger benchmark is
+#: scanned for in several passes, and the driver holds the items of one of them at a time.
+MAX_AUTOMATON_WORDS = 1 << 20
 
+_WORD = r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
 SPANS = "array<struct<first_word:int,last_word:int,start:long,stop:long>>"
 
 
 class Automaton:
-    """Windows of a bounded set of items, as word-number sequences."""
+    """Blocks of a bounded set of items, as word-number sequences."""
 
     def __init__(self, items: list[tuple[object, str]], window: int):
         column = pa.array([t for _, t in items], pa.large_string())
@@ -40,37 +48,55 @@ class Automaton:
             h = c.word_hashes()
             seqs += [h[c.word_offsets[i] : c.word_offsets[i + 1]] for i in range(c.n)]
         self.vocabulary = np.unique(np.concatenate([*seqs, np.empty(0, np.uint64)]))
-        self.items = [str(i) for i, _ in items]
-        owners: dict[tuple[int, ...], set[int]] = {}
-        for k, s in enumerate(seqs):
-            ids = tuple((np.searchsorted(self.vocabulary, s) + 1).tolist())
-            size = min(window, len(ids))
-            for a in range(len(ids) - size + 1 if size else 0):
-                owners.setdefault(ids[a : a + size], set()).add(k)
+        self.items, self.window = [str(i) for i, _ in items], window
+        self.words = [(np.searchsorted(self.vocabulary, s) + 1).astype(np.int32) for s in seqs]
+        size = max(1, window // 2)
+        places: dict[tuple[int, ...], list[tuple[int, int]]] = {}
+        for k, w in enumerate(self.words):
+            ids = tuple(w.tolist())
+            for a in range(0, len(ids) - size + 1, size) if len(ids) >= size else range(min(1, len(ids))):
+                places.setdefault(ids[a : a + size], []).append((k, a))
         self.trie = ahocorasick.Automaton(ahocorasick.STORE_ANY, ahocorasick.KEY_SEQUENCE)
-        for w, who in owners.items():
-            self.trie.add_word(w, (len(w), tuple(sorted(who))))
-        self.empty = not owners
+        for block, where in places.items():
+            self.trie.add_word(block, (len(block), where))
+        self.empty = not places
         if not self.empty:
             self.trie.make_automaton()
 
     def numbers(self, hashes: np.ndarray) -> np.ndarray:
         """1 + place in the vocabulary, 0 for other words."""
         if not len(self.vocabulary) or not len(hashes):
-            return np.zeros(len(hashes), np.int64)
+            return np.zeros(len(hashes), np.int32)
         at = np.minimum(np.searchsorted(self.vocabulary, hashes), len(self.vocabulary) - 1)
-        return np.where(self.vocabulary[at] == hashes, at + 1, 0)
+        return np.where(self.vocabulary[at] == hashes, at + 1, 0).astype(np.int32)
 
     def scan(self, numbers: np.ndarray) -> tuple[np.ndarray, set[int]]:
         """Which words of one text are hit, and the items whose windows occur in it."""
-        hit = np.zeros(len(numbers) + 1, np.int64)
+        hit = np.zeros(len(numbers), bool)
         found: set[int] = set()
         if not self.empty and numbers.any():
-            for end, (size, who) in self.trie.iter(tuple(numbers.tolist())):
-                hit[end - size + 1] += 1
-                hit[end + 1] -= 1
-                found.update(who)
-        return np.cumsum(hit[:-1]) > 0, found
+            reached: dict[tuple[int, int], int] = {}
+            for end, (size, where) in self.trie.iter(tuple(numbers.tolist())):
+                first = end - size + 1
+                for k, a in where:
+                    # blocks of one agreement lie on one diagonal; it is followed once
+                    if reached.get((k, first - a), -1) >= end:
+                        continue
+                    item = self.words[k]
+                    left = _agreement(numbers[max(0, first - a) : first][::-1], item[max(0, a - first) : a][::-1])
+                    right = _agreement(numbers[end + 1 : end + 1 + len(item) - a - size], item[a + size :][: len(numbers) - end - 1])
+                    reached[k, first - a] = end + right
+                    if left + size + right >= min(self.window, len(item)):
+                        hit[first - left : end + right + 1] = True
+                        found.add(k)
+        return hit, found
+
+
+def _agreement(a: np.ndarray, b: np.ndarray) -> int:
+    """How many leading elements of two arrays of one length are equal."""
+    same = a == b
+    stop = int(same.argmin()) if len(same) else 0
+    return len(same) if len(same) and same[stop] else stop
 
 
 def _runs(hit: np.ndarray) -> np.ndarray:
@@ -79,39 +105,40 @@ def _runs(hit: np.ndarray) -> np.ndarray:
     return np.stack((np.flatnonzero(edge == 1), np.flatnonzero(edge == -1) - 1), axis=1)
 
 
-def _parts(benchmark: DataFrame, item_col: str, text_col: str, max_bytes: int) -> list[list[tuple[object, str]]]:
-    """The benchmark in lists of at most ``max_bytes`` of text (one longer item alone)."""
-    out: list[list[tuple[object, str]]] = [[]]
-    room = max_bytes
-    rows = benchmark.select(item_col, text_col).where(f"`{text_col}` is not null").toLocalIterator()
-    for item, text in sorted(rows, key=lambda r: (str(r[0]), r[1])) if max_bytes >= (1 << 62) else rows:
-        size = len(text.encode())
-        if size > room and out[-1]:
-            out.append([])
-            room = max_bytes
-        out[-1].append((item, text))
-        room -= size
-    return out
+def _items(benchmark: DataFrame, item_col: str, text_col: str) -> DataFrame:
+    return benchmark.select(F.col(item_col).alias("item"), F.col(text_col).alias("text")).where("text is not null")
+
+
+def _part_count(items: DataFrame, most: int) -> int:
+    """Parts of about half of ``most`` words, or one when all words fit."""
+    words = items.agg(F.sum(F.regexp_count("text", F.lit(_WORD))).alias("s")).first()["s"] or 0
+    return 1 if words <= most else -(-2 * int(words) // most)
+
+
+def _part(items: DataFrame, k: int, count: int) -> list[tuple[object, str]]:
+    """The items of part ``k``, which their texts decide; nothing else is held on the driver."""
+    own = items if count == 1 else items.filter(F.pmod(F.xxhash64("text"), F.lit(count)) == k)
+    return [(r["item"], r["text"]) for r in own.collect()]
 
 
 _cache: dict[object, Automaton] = {}
 
 
-def scan(docs: DataFrame, benchmark: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", window: int = WINDOW, max_bytes: int = MAX_AUTOMATON_BYTES) -> DataFrame:
+def scan(docs: DataFrame, benchmark: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", window: int = WINDOW, max_words: int = MAX_AUTOMATON_WORDS) -> DataFrame:
     """One row per document row: id, n_words, n_hit, items (sorted strings), spans.
 
     ``spans`` are the maximal runs of hit words with the byte offsets of the original text.
-    The documents are not shuffled.  Each pass has one automaton of at most ``max_bytes`` of
+    The documents are not shuffled.  Each pass has one automaton of about ``max_words`` words of
     items; when the benchmark is larger, further passes carry the hits on in the same rows.
     """
-    parts = _parts(benchmark, item_col, item_text_col, max_bytes)
+    given = _items(benchmark, item_col, item_text_col)
+    count = _part_count(given, max_words)
     spark = docs.sparkSession
     id_type = docs.schema[id_col].dataType.simpleString()
     frame = docs.selectExpr(f"`{id_col}` as id", f"`{text_col}` as text", f"cast(null as {SPANS}) as spans", "cast(null as array<string>) as items")
-    for k, part in enumerate(parts):
-        last = k == len(parts) - 1
-        shared = spark.sparkContext.broadcast(part)
-        key = hashlib.sha256(repr((part, window)).encode()).hexdigest()
+    for k in range(count):
+        last = k == count - 1
+        shared, key = spark.sparkContext.broadcast(_part(given, k, count)), uuid.uuid4().hex
         schema = f"id {id_type}, text string, spans {SPANS}, items array<string>, n_words long, n_hit long"
 
         def run(batches: Iterator[pa.RecordBatch], shared=shared, key=key, last=last) -> Iterator[pa.RecordBatch]:
@@ -145,16 +172,17 @@ def scan(docs: DataFrame, benchmark: DataFrame, *, id_col: str = "doc_id", text_
 _SPANS_ARROW = pa.list_(pa.struct([("first_word", pa.int32()), ("last_word", pa.int32()), ("start", pa.int64()), ("stop", pa.int64())]))
 
 
-def clean_documents(docs: DataFrame, benchmark: DataFrame, *, text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", window: int = WINDOW, max_bytes: int = MAX_AUTOMATON_BYTES) -> DataFrame:
+def clean_documents(docs: DataFrame, benchmark: DataFrame, *, text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", window: int = WINDOW, max_words: int = MAX_AUTOMATON_WORDS) -> DataFrame:
     """The rows of ``docs`` (all their columns) in which no window of the benchmark occurs.
 
     Whole record batches are filtered, so columns of any name and repeated rows pass through.
     """
     spark = docs.sparkSession
     frame = docs
-    for part in _parts(benchmark, item_col, item_text_col, max_bytes):
-        shared = spark.sparkContext.broadcast(part)
-        key = hashlib.sha256(repr((part, window)).encode()).hexdigest()
+    given = _items(benchmark, item_col, item_text_col)
+    count = _part_count(given, max_words)
+    for k in range(count):
+        shared, key = spark.sparkContext.broadcast(_part(given, k, count)), uuid.uuid4().hex
 
         def run(batches: Iterator[pa.RecordBatch], shared=shared, key=key) -> Iterator[pa.RecordBatch]:
             if key not in _cache:

@@ -93,8 +93,8 @@ def test_decontamination_against_brute_force(spark):
         docs.append((d, " -- ".join([*parts, words(rng, 5)])))
     docs += [(90, None), (91, ""), (92, "ünï ONE. Ünï one"), (0, docs[0][1])]
     spans = {}
-    for max_bytes in (10**6, 200):
-        out = decontaminate.scan(frame(spark, docs), spark.createDataFrame(items, "item_id long, text string"), max_bytes=max_bytes).collect()
+    for max_words in (10**6, 40):
+        out = decontaminate.scan(frame(spark, docs), spark.createDataFrame(items, "item_id long, text string"), max_words=max_words).collect()
         assert len(out) == len(docs)
         for r in out:
             text = dict(docs)[r["doc_id"]]
@@ -116,6 +116,29 @@ def test_decontamination_against_brute_force(spark):
     assert decontaminate.scan(frame(spark, docs), spark.createDataFrame([], "item_id long, text string")).filter("n_hit > 0").count() == 0
 
 
+def test_decontamination_of_repeating_and_common_passages_against_brute_force(spark):
+    rng = random.Random(14)
+    shared = words(rng, 9)
+    items = [(i, f"{shared} {words(rng, 6)} {shared}") for i in range(6)] + [(7, "a " * 30), (8, "a b " * 12), (9, " ".join("ab"[k % 3 == 0] for k in range(40))), (10, "one two three four"), (11, words(rng, 9))]
+    docs = [(d, " ".join(rng.choice([shared, "a " * rng.randint(3, 15), "a b " * rng.randint(2, 8), items[rng.randrange(11)][1], "one two three four", words(rng, 4)]) for _ in range(4))) for d in range(40)]
+    docs.append((99, ("b a a " * 20000) + shared))
+    out = {r["doc_id"]: (r["n_hit"], r["items"]) for r in decontaminate.scan(frame(spark, docs), spark.createDataFrame(items, "item_id long, text string")).collect()}
+    windows = {}
+    for item, t in items:
+        v = t.split()
+        for a in range(len(v) - min(10, len(v)) + 1):
+            windows.setdefault(tuple(v[a : a + min(10, len(v))]), set()).add(str(item))
+    for d, t in docs:
+        w, hit, found = t.split(), set(), set()
+        for size in {len(k) for k in windows}:
+            for i in range(len(w) - size + 1):
+                who = windows.get(tuple(w[i : i + size]))
+                if who:
+                    hit |= set(range(i, i + size))
+                    found |= who
+        assert out[d] == (len(hit), sorted(found)), d
+
+
 def test_token_counts_equal_the_library(spark):
     from tokenizers import Tokenizer
 
