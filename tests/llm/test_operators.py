@@ -325,6 +325,35 @@ def test_language_fusion(spark):
     assert language.identify(spark.createDataFrame(pages, "page_id long, url string, html string"), None).filter("lang is not null").count() == 0
 
 
+def test_pages_are_read_in_linear_time_and_as_the_patterns_say():
+    import html as entities
+    import time
+
+    hidden = re.compile(r"(?is)<(script|style)\b.*?</\1\s*>|<!--.*?-->|<[^>]*>")
+    declared = re.compile(r"(?is)<html\b[^>]*?\blang\s*=\s*[\"']?\s*([a-z]{2,3})\b")
+    rng = random.Random(6)
+    bits = ["<script>", "</script >", "<SCRIPT x>", "<style>", "</style>", "<!--", "-->", "<b>", "</b", ">", "<", "text", "é", " ", "<html lang='DE'>", "<html", " lang = en", "<scripty>", "</scriptx>", "&eacute;"]
+    for _ in range(3000):
+        page = "".join(rng.choice(bits) for _ in range(rng.randint(0, 12)))
+        assert language.visible_text(page).split() == entities.unescape(hidden.sub(" ", page)).split(), page
+        m = declared.search(page)
+        assert language.declared_language(page) == (m.group(1).lower() if m else None), page
+    for bit in bits:
+        began = time.time()
+        language.visible_text(bit * 100_000)
+        language.declared_language(bit * 100_000)
+        assert time.time() - began < 5, bit
+
+
+def test_every_language_with_documents_is_found(spark):
+    rng = random.Random(8)
+    names = [f"{a}{b}" for a in "abcdefghij" for b in "klmnopq"]
+    say = lambda k: " ".join(chr(0x4E00 + 5 * k + rng.randrange(5)) + chr(0x4E00 + 5 * k + rng.randrange(5)) for _ in range(30))
+    docs = spark.createDataFrame([(i, say(i % 70), names[i % 70]) for i in range(140)] + [(1000 + i, say(0), names[0]) for i in range(500)], "doc_id long, text string, lang string")
+    pages = spark.createDataFrame([(k, f"http://h{k}.site/", f"<p>{say(k)}</p>") for k in range(70)], "page_id long, url string, html string")
+    assert {r["page_id"]: r["lang"] for r in language.identify(pages, language.train(docs, most=50)).collect()} == dict(enumerate(names))
+
+
 def test_pipeline_stages_keep_columns(spark, small):
     import corpus_pipeline as P
 
