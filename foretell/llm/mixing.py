@@ -28,7 +28,9 @@ from . import textkernel as K
 from .common import materialise
 
 #: Documents per block aimed at, and blocks of one source at most (larger sources get larger blocks).
-BLOCK_ROWS, MAX_BLOCKS = 2000, 4096
+BLOCK_ROWS, MAX_BLOCKS = 2000, 1 << 16
+#: Rows that a part of an output shard is aimed at.
+PART_ROWS = 100_000
 #: Sources up to which the plan's table (one row each) is broadcast; beyond, it is joined by shuffle.
 MAX_BROADCAST_SOURCES = 50_000
 
@@ -60,7 +62,8 @@ def targets(sizes: Sequence[int], weights: Sequence[float], cap: float) -> list[
         for i in above:
             out[i] = float(cap * sizes[i])
         left -= sum(out[i] for i in above)
-        open_ = [i for i in open_ if i not in set(above)]
+        shut = set(above)
+        open_ = [i for i in open_ if i not in shut]
     return out
 
 
@@ -88,9 +91,9 @@ def splitting_tree(draws: Sequence[int], n_shards: int, seed: int) -> np.ndarray
 class Plan:
     """What was decided for the sources: one row each, to be joined to documents."""
 
-    def __init__(self, table: DataFrame, blocks: DataFrame, n_sources: int, seed: int):
+    def __init__(self, table: DataFrame, blocks: DataFrame, n_sources: int, n_blocks: int, rows: int, seed: int):
         self.table = F.broadcast(table) if n_sources <= MAX_BROADCAST_SOURCES else table
-        self.blocks, self.seed = blocks, seed
+        self.blocks, self.n_blocks, self.rows, self.seed = blocks, n_blocks, rows, seed
 
 
 def _document_hash(id_col: str, text_col: str, seed: int) -> Column:
@@ -145,7 +148,7 @@ def make_plan(digest: DataFrame, *, weights: Sequence[float] = (5, 2, 1), cap: i
         e = edge.get(k)
         rows.append((k, r.source, sizes[k], float(target[k]), n_blocks[k], full[k], e["order"] if e else None, e["block"] if e else None, e["hash"] if e else None, int(e["left"]) // int(e["n"]) if e else None, [int(x) for x in np.cumsum(quotas[k])]))
     table = spark.createDataFrame(rows, "_no int, _source string, _source_size long, _target double, _blocks int, _full int, _edge_order long, _edge_block int, _edge_hash long, _edge_words long, _bounds array<long>")
-    return Plan(table, blocks.select("_no", "block", *(f"rank{e}" for e in range(cap + 1))), len(found), seed)
+    return Plan(table, blocks.select("_no", "block", *(f"rank{e}" for e in range(cap + 1))), len(found), sum(n_blocks), sum(int(r.rows) for r in found), seed)
 
 
 def _decide(frame: DataFrame, plan: Plan, source: str, doc_hash: str) -> DataFrame:
@@ -158,6 +161,13 @@ def _decide(frame: DataFrame, plan: Plan, source: str, doc_hash: str) -> DataFra
     return joined.withColumn("_part", F.when(whole, 2).when(edge, 1).otherwise(0))
 
 
+def _shards(plan: Plan, cap: int) -> Column:
+    """The shard of each of a row's ``_copies``: that of its block's draw in each round."""
+    ranks = F.array(*(F.col(f"rank{e}") for e in range(cap + 1)))
+    places = F.transform(F.slice(ranks, 1, F.col("_copies")), lambda r, e: e * F.col("_blocks") + r)
+    return F.transform(places, lambda p: F.size(F.filter(F.col("_bounds"), lambda b: b <= p)))
+
+
 def _digest(docs: DataFrame, id_col: str, text_col: str, source_col: str, seed: int, *more: Column) -> DataFrame:
     slim = docs.select(F.col(source_col).cast("string").alias("source"), _document_hash(id_col, text_col, seed).alias("hash"), *more, F.col(text_col).alias("text"))
     return word_sizes(slim, "text", "size")
@@ -173,9 +183,7 @@ def mix(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", sour
     extra = F.when(F.col("_part") == 2, F.col("size")).when(F.col("_part") == 1, F.least("size", "_edge_words")).otherwise(0)
     blocks = plan.blocks.withColumnsRenamed({"_no": "_b_no", "block": "_b_block"})
     out = out.join(blocks, (F.col("_no") == F.col("_b_no")) & (F.col("_block") == F.col("_b_block")), "left")
-    ranks = F.array(*(F.col(f"rank{e}") for e in range(cap + 1)))
-    copies = (F.col("_full") + F.when(F.col("_part") > 0, 1).otherwise(0)).cast("int")
-    places = F.transform(F.slice(ranks, 1, copies), lambda r, e: e * F.col("_blocks") + r)
+    out = out.withColumn("_copies", (F.col("_full") + F.when(F.col("_part") > 0, 1).otherwise(0)).cast("int"))
     return out.select(
         F.col("id").alias(id_col),
         F.col("source").alias(source_col) if source_col != id_col else F.col("source"),
@@ -183,21 +191,31 @@ def mix(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", sour
         F.col("_source_size").alias("source_size"),
         F.col("_target").alias("target"),
         (F.col("_full") * F.col("size") + extra).cast("long").alias("taken"),
-        copies.alias("copies"),
-        F.transform(places, lambda p: F.size(F.filter(F.col("_bounds"), lambda b: b <= p))).alias("shards"),
+        F.col("_copies").alias("copies"),
+        _shards(plan, cap).alias("shards"),
         F.xxhash64(F.lit(seed + 1), F.col("hash")).alias("shuffle_key"),
     )
 
 
 def mixed_documents(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: Sequence[float] = (5, 2, 1), cap: int = 3, n_shards: int = 8, seed: int = 20) -> DataFrame:
-    """The mix itself: each row of ``docs`` as often as it is taken (the edge document whole when
-    at least half of it is), with the columns of ``docs`` and no others.  Texts do not move: the
-    decisions are joined as one broadcast row per source."""
+    """The mix itself: each row of ``docs`` as often as it is taken (the edge document whole when any
+    of it is), with the columns of ``docs`` and no others.
+
+    Every copy goes to the output shard that the splitting tree gave its block's draw, and stands
+    there in the order of its shuffle key: the rows are dealt by shard and part of a shard (partition
+    ``shard * parts + part`` of the result), and sorted inside.  A shard has about one part in ``PART_ROWS`` rows, so no task holds a shard.
+    """
     digest = materialise(_digest(docs, id_col, text_col, source_col, seed), "mix-digest")
     plan = make_plan(digest, weights=weights, cap=cap, n_shards=n_shards, seed=seed)
     inner = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row"), F.col(source_col).cast("string").alias("_doc_source"), _document_hash(id_col, text_col, seed).alias("_hash"))
     out = _decide(inner, plan, "_doc_source", "_hash")
-    copies = F.col("_full") + F.when(F.col("_part") == 2, 1).when(F.col("_part") == 1, F.when(F.col("_edge_words") > 0, 1).otherwise(0)).otherwise(0)
-    out = out.withColumn("_copy", F.explode(F.sequence(F.lit(0), copies))).filter("_copy > 0")
-    return out.select("_row.*")
-
+    taken = F.when(F.col("_part") == 2, 1).when((F.col("_part") == 1) & (F.col("_edge_words") > 0), 1).otherwise(0)
+    out = out.withColumn("_copies", (F.col("_full") + taken).cast("int")).filter("_copies > 0")
+    blocks = plan.blocks.withColumnsRenamed({"_no": "_b_no", "block": "_b_block"})
+    out = out.join(F.broadcast(blocks) if plan.n_blocks <= MAX_BROADCAST_SOURCES else blocks, (F.col("_no") == F.col("_b_no")) & (F.col("_block") == F.col("_b_block")), "left")
+    out = out.withColumn("_shards", _shards(plan, cap)).select("_row", F.posexplode("_shards").alias("_round", "_shard"), F.col("_hash"))
+    out = out.withColumn("_shuffle", F.xxhash64(F.lit(seed + 1), "_hash", "_round"))
+    parts = max(1, -(-plan.rows * cap // (n_shards * PART_ROWS)))
+    out = out.withColumn("_piece", F.pmod(F.col("_shuffle"), F.lit(parts)))
+    place = (F.col("_shard") * parts + F.col("_piece")).cast("int")
+    return out.repartitionById(n_shards * parts, place).sortWithinPartitions("_shuffle").select("_row.*")

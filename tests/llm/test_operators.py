@@ -261,7 +261,44 @@ def test_mixing_targets_and_exactness(spark):
     assert sorted(map(str, mixing.mix(docs.repartition(5)).collect())) == sorted(map(str, out))
     drawn = mixing.mixed_documents(docs)
     assert drawn.columns == docs.columns and abs(drawn.count() - sum(r["copies"] for r in out)) <= 4
-    assert mixing.mix(docs.filter("false")).count() == 0
+    assert mixing.mix(docs.filter("false")).count() == 0 and mixing.mixed_documents(docs.filter("false")).count() == 0
+
+
+def test_mixing_against_one_walk_over_the_blocks(spark, monkeypatch):
+    """The words taken and the shards of all copies, found by walking each source's rounds in order."""
+    monkeypatch.setattr(mixing, "PART_ROWS", 50)
+    rng = random.Random(10)
+    rows = [(i, words(rng, rng.randint(0, 25)), rng.choice("aaaaaabbc"), i) for i in range(300)]
+    docs = frame(spark, rows, "doc_id long, text string, source string, size long")
+    got = {r["doc_id"]: r for r in mixing.mix(docs, n_shards=4).collect()}
+    hashed = docs.select("doc_id", "source", mixing._document_hash("doc_id", "text", 20).alias("h"), F.size(F.split("text", " ")).alias("n"), F.col("text")).collect()
+    placed = Counter()
+    for no, source in enumerate("abc"):
+        own = [(r["h"], r["doc_id"], len(r["text"].split())) for r in hashed if r["source"] == source]
+        total, blocks = sum(n for *_, n in own), min(64, len(own))
+        whole = sum(len(r["text"].split()) for r in hashed)
+        target = mixing.targets([sum(len(r["text"].split()) for r in hashed if r["source"] == s) for s in "abc"], [5, 2, 1], 3)[no]
+        assert whole and got[own[0][1]]["target"] == pytest.approx(target)
+        rounds = int(target // total) if total else 0
+        order = spark.range(blocks).selectExpr("cast(id as int) as block", *[f"xxhash64(20, {no}, cast(id as int), {e}) as o{e}" for e in range(4)]).collect()
+        taken = {d: rounds * n for _, d, n in own}
+        left = round(target - rounds * total) if rounds < 3 else 0
+        for b in sorted(order, key=lambda r: (r[f"o{rounds}"], r["block"])):
+            for h, d, n in sorted((h, d, n) for h, d, n in own if h % blocks == b["block"]):
+                use = min(n, left)
+                taken[d] += use
+                left -= use
+        assert all(got[d]["taken"] == taken[d] for _, d, _ in own)
+        for d in (d for _, d, _ in own):
+            placed.update(got[d]["shards"])
+    assert max(placed.values()) - min(placed.values()) <= 0.5 * max(placed.values())
+    drawn = mixing.mixed_documents(docs, n_shards=4)
+    parts = drawn.rdd.getNumPartitions() // 4
+    assert parts > 1 and drawn.columns == docs.columns
+    seen = Counter((r["doc_id"], r["p"] // parts) for r in drawn.select("doc_id", F.spark_partition_id().alias("p")).collect())
+    wanted = Counter((d, s) for d, r in got.items() for s in r["shards"])
+    edges = sum((wanted - seen).values()) + sum((seen - wanted).values())
+    assert edges <= 3  # an edge document of which no word was left
 
 
 def test_sharding_is_even_and_keeps_copies_together(spark):
