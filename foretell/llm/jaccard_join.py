@@ -52,8 +52,6 @@ RANGE_DOCS = 2000
 PACK = 2_000_000
 #: Prefix shingles at which a group looks for leaders, and leaders it is verified against.
 STAR_TOKENS, STAR_LEADERS = 6, 4
-#: Hash bytes per shingle in verification.
-SET_BYTES = 6
 
 
 class Rule:
@@ -86,12 +84,13 @@ class Rule:
 class Bits:
     """A bit filter cut into one slice per hash range."""
 
-    def __init__(self, ranges: int, slice_bits: int, rows: list[tuple[int, bytes]]):
+    def __init__(self, ranges: int, slice_bits: int):
         self.shift, self.slice_bits = 64 - (ranges.bit_length() - 1), slice_bits
-        self.bits = np.zeros((ranges, slice_bits // 8), np.uint8)
-        for r, data in rows:
-            self.bits[r] = np.frombuffer(data, np.uint8)
-        self.bits = self.bits.ravel()
+        self.bits = np.zeros(ranges * (slice_bits // 8), np.uint8)
+
+    def put(self, at: int, data: bytes) -> None:
+        size = self.slice_bits // 8
+        self.bits[at * size : (at + 1) * size] = np.frombuffer(data, np.uint8)
 
     def has(self, tokens: np.ndarray) -> np.ndarray:
         base = (tokens >> np.uint64(self.shift)).astype(np.int64) * self.slice_bits if self.shift < 64 else np.zeros(len(tokens), np.int64)
@@ -113,7 +112,7 @@ def _probes(rest: np.ndarray, slice_bits: int) -> Iterator[np.ndarray]:
 
 
 def _filters(docs: DataFrame, n: int, total: int) -> tuple[Bits, Bits]:
-    ranges = 1 << max(4, min(16, (total // RANGE_DOCS).bit_length()))
+    ranges = 1 << max(4, min(20, (total // RANGE_DOCS).bit_length()))
     size = 1 << (min(MOST_BITS, max(LEAST_BITS, total * FILTER_BITS)) - 1).bit_length()
     slice_bits = max(64, size // ranges)
     shift = 64 - (ranges.bit_length() - 1)
@@ -121,6 +120,8 @@ def _filters(docs: DataFrame, n: int, total: int) -> tuple[Bits, Bits]:
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def flush(held: list[np.ndarray]) -> pa.RecordBatch:
             tokens = np.sort(np.concatenate(held))
+            # a shingle of most documents is told once more than makes it common, not each time
+            tokens = tokens[np.concatenate((np.ones(min(len(tokens), COMMON + 1), bool), tokens[COMMON + 1 :] != tokens[: -COMMON - 1]))]
             cut = np.searchsorted(tokens, np.arange(ranges, dtype=np.uint64) << np.uint64(shift))
             rest = _remainder(tokens, shift)
             stop = [*cut[1:].tolist(), len(tokens)]
@@ -150,9 +151,12 @@ def _filters(docs: DataFrame, n: int, total: int) -> tuple[Bits, Bits]:
         return pa.table({"range": pa.array([group.column("range")[0].as_py()], pa.int32()), "shared": pa.array([out[0]], pa.binary()), "common": pa.array([out[1]], pa.binary())})
 
     packed = docs.select("text").mapInArrow(pack, "range int, tokens binary")
-    # two slices per range: twice MOST_BITS bits in all at most
-    rows = packed.groupBy("range").applyInArrow(count, "range int, shared binary, common binary").toArrow().to_pydict()
-    return tuple(Bits(ranges, slice_bits, list(zip(rows["range"], rows[k], strict=True))) for k in ("shared", "common"))
+    # two slices per range: twice MOST_BITS bits in all at most, which the driver takes one partition at a time
+    out = (Bits(ranges, slice_bits), Bits(ranges, slice_bits))
+    for row in packed.groupBy("range").applyInArrow(count, "range int, shared binary, common binary").toLocalIterator():
+        out[0].put(row["range"], row["shared"])
+        out[1].put(row["range"], row["common"])
+    return out
 
 
 def _signatures(docs: DataFrame, n: int, rule: Rule, filters: tuple[Bits, Bits], id_type: str) -> DataFrame:
@@ -233,7 +237,7 @@ def _verified(docs: DataFrame, sets: DataFrame, pairs: DataFrame, n: int, rule:
             sids, data = [], []
             for s in K.shingle_sets(some.column("text"), n):
                 sids.append(xxhash.xxh3_128_digest(s.tobytes()) if len(s) else None)
-                data.append(s.astype(">u8").view(np.uint8).reshape(-1, 8)[:, :SET_BYTES].tobytes())
+                data.append(s.tobytes())
             yield pa.RecordBatch.from_arrays([some.column("id"), pa.array(sids, pa.binary()), pa.array(data, pa.binary())], ["id", "sid", "data"])
 
     texts = docs.select("id", "text", F.xxhash64("id").alias("h")).mapInArrow(run, f"id {id_type}, sid binary, data binary")
@@ -246,7 +250,7 @@ def _verified(docs: DataFrame, sets: DataFrame, pairs: DataFrame, n: int, rule:
         for batch in batches:
             keep = []
             for x, y in zip(batch.column("x"), batch.column("y"), strict=True):
-                u, v = (_unpack(z.as_buffer()) for z in (x, y))
+                u, v = (np.frombuffer(z.as_buffer(), np.uint64) for z in (x, y))
                 common = len(u) + len(v) - len(np.unique(np.concatenate((u, v))))
                 keep.append(rule.den * common >= rule.num * (len(u) + len(v) - common))
             yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
@@ -256,13 +260,6 @@ def _verified(docs: DataFrame, sets: DataFrame, pairs: DataFrame, n: int, rule:
     return out
 
 
-def _unpack(data: pa.Buffer) -> np.ndarray:
-    part = np.frombuffer(data, np.uint8).reshape(-1, SET_BYTES)
-    whole = np.zeros((len(part), 8), np.uint8)
-    whole[:, :SET_BYTES] = part
-    return whole.view(">u8").ravel().astype(np.uint64)
-
-
 def _across(post: DataFrame, grouped: DataFrame, found: DataFrame, rule: Rule) -> tuple[DataFrame, DataFrame]:
     """(sid, gid, comp) of all groups' sets, and the meetings (g1, c1, g2, c2) of groups of different
     components at a shingle.  At every shingle the largest component meets the others, never itself."""

@@ -126,7 +126,7 @@ def _even(rows: DataFrame, labels: DataFrame | None, n_shards: int) -> DataFrame
     group = F.coalesce(F.col("shard"), F.lit(n_shards))
     rows = rows.join(labels, "node", "left") if labels is not None else rows.withColumn("shard", F.lit(None).cast("int"))
     total = rows.count()
-    buckets = min(MAX_RANK_BUCKETS, max(16, total // RANK_ROWS))
+    buckets = min(MAX_RANK_BUCKETS, max(256, total // RANK_ROWS))
     rows = rows.withColumn("_group", group).drop("shard").withColumn("_bucket", F.pmod(F.xxhash64("row_no"), F.lit(buckets)).cast("int"))
     rows = materialise(rows, "shard-rows")
     # at most (n_shards + 1) * MAX_RANK_BUCKETS rows
