@@ -3,7 +3,8 @@
 A pass takes one block of features: every task draws the block's projection again, adds up the
 Gram matrix of the block and its product with what is left to explain, and the driver solves the
 regularised normal equations for all classes and all ridge values that share the projection.
-Margins are recomputed from all weights in the same task, so nothing of the size of the data is kept.
+Several projections take one pass together.  Margins are recomputed from all weights in the same
+task, so nothing of the size of the data is kept.
 """
 
 from __future__ import annotations
@@ -12,11 +13,16 @@ from collections.abc import Iterator, Sequence
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
 from ..functions.blas import single_thread
 from ..plans.blocks import matrix
 from .random_features import Projection
+from .tree_sum import SCHEMA, batch as rows_of, gather, pieces, tree_sum
+
+#: Doubles of one range of a Gram matrix.
+RANGE = 1 << 16
 
 
 def targets(y: np.ndarray, classes: int) -> np.ndarray:
@@ -26,6 +32,82 @@ def targets(y: np.ndarray, classes: int) -> np.ndarray:
     return np.where(y[:, None] == np.arange(classes)[None, :], 1.0, -1.0)
 
 
+class _Sums:
+    """What one task adds up for one projection and one block of its features."""
+
+    def __init__(self, job: tuple):
+        self.projection, self.weights, self.l2s, self.classes, self.hinge, self.full, self.first, self.count = job
+        self.own = self.projection.matrix(self.first, self.count) if self.count else None
+        self.drawn: dict[int, tuple[np.ndarray, np.ndarray]] = {}
+        self.gram, self.rhs, self.n = np.zeros((self.count, self.count)), {v: 0.0 for v in self.l2s}, 0
+        self.wrong, self.objective, self.seen = {v: np.zeros(3) for v in self.l2s}, {v: 0.0 for v in self.l2s}, np.zeros(3)
+
+    def add(self, split: str, x: np.ndarray, y: np.ndarray) -> None:
+        margins = {v: np.zeros((len(y), self.weights[v].shape[1])) for v in self.l2s}
+        for a in range(0, self.projection.size, self.full):
+            if any(self.weights[v][a : a + self.full].any() for v in self.l2s):
+                if a not in self.drawn:
+                    self.drawn[a] = self.projection.matrix(a, min(self.full, self.projection.size - a))
+                z = self.projection.apply(x, *self.drawn[a])
+                for v in self.l2s:
+                    margins[v] += z @ self.weights[v][a : a + self.full]
+        t, place = targets(y, self.classes), ("train", "valid", "test").index(split)
+        for v in self.l2s:
+            guess = (margins[v][:, 0] > 0).astype(int) if t.shape[1] == 1 else margins[v].argmax(axis=1)
+            self.wrong[v][place] += (guess != y).sum()
+        self.seen[place] += len(y)
+        if split != "train":
+            return
+        self.n += len(y)
+        z = self.projection.apply(x, *self.own) if self.count else None
+        for v in self.l2s:
+            left = t - margins[v]
+            if self.hinge:
+                active = (t * margins[v] < 1)[:, 0]
+                self.objective[v] += float((np.maximum(0.0, 1 - t * margins[v]) ** 2).sum())
+                if self.count:
+                    self.gram += z[active].T @ z[active]
+                    self.rhs[v] = self.rhs[v] + z[active].T @ left[active]
+            else:
+                self.objective[v] += float((left**2).sum())
+                if self.count:
+                    self.rhs[v] = self.rhs[v] + z.T @ left
+        if self.count and not self.hinge:
+            self.gram += z.T @ z
+
+    def rows(self, at: int) -> list[tuple[str, int, bytes]]:
+        out = pieces(f"{at}/n", np.asarray([float(self.n)]), RANGE) + pieces(f"{at}/seen", self.seen, RANGE)
+        if self.count:
+            out += pieces(f"{at}/gram", self.gram, RANGE)
+        for k, v in enumerate(self.l2s):
+            if self.count:
+                rhs = self.rhs[v] if np.ndim(self.rhs[v]) else np.zeros((self.count, self.weights[v].shape[1]))
+                out += pieces(f"{at}/rhs/{k}", rhs, RANGE)
+            out += pieces(f"{at}/wrong/{k}", self.wrong[v], RANGE) + pieces(f"{at}/objective/{k}", np.asarray([self.objective[v]]), RANGE)
+        return out
+
+
+def _pass(blocks: DataFrame, jobs: Sequence[tuple], tasks: int | None = None) -> list[dict[str, np.ndarray]]:
+    """One pass over ``blocks`` for all jobs, its sums added in levels of bounded groups."""
+    shared = blocks.sparkSession.sparkContext.broadcast(list(jobs))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        single_thread()
+        sums = [_Sums(job) for job in shared.value]
+        for batch in batches:
+            for i in range(batch.num_rows):
+                x, y = matrix(batch, i)
+                for s in sums:
+                    s.add(batch.column("split")[i].as_py(), x, y)
+        if sums and sums[0].seen.sum():
+            yield rows_of(TaskContext.get().partitionId(), [r for k, s in enumerate(sums) for r in s.rows(k)])
+
+    out = blocks.select("split", "n", "x", "y").mapInArrow(run, SCHEMA)
+    got = gather(tree_sum(out, blocks.rdd.getNumPartitions() if tasks is None else tasks).collect(), RANGE)
+    shared.destroy()
+    return [{kind.split("/", 1)[1]: v for kind, v in got.items() if kind.split("/", 1)[0] == str(k)} for k in range(len(jobs))]
+
+
 class BlockDescent:
     """Weights W[l2]: (size, classes) of one projection, for several ridge values at once.
 
@@ -39,91 +121,33 @@ class BlockDescent:
         self.columns = 1 if classes <= 2 else classes
         self.weights = {l2: np.zeros((projection.size, self.columns)) for l2 in l2s}
         self.passes = 0
-        self.rows = 0
-
-    def _sums(self, blocks: DataFrame, first: int, count: int) -> dict[str, np.ndarray]:
-        spark = blocks.sparkSession
-        shared = spark.sparkContext.broadcast((self.projection, self.weights))
-        l2s, classes, hinge, full = self.l2s, self.classes, self.loss == "squared_hinge", self.block
-
-        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            single_thread()
-            projection, weights = shared.value
-            drawn: dict[int, tuple[np.ndarray, np.ndarray]] = {}
-            own = projection.matrix(first, count) if count else None
-            gram, rhs, n = np.zeros((count, count)), {v: 0.0 for v in l2s}, 0
-            wrong, objective, seen = {v: np.zeros(2) for v in l2s}, {v: 0.0 for v in l2s}, np.zeros(2)
-            for batch in batches:
-                for i in range(batch.num_rows):
-                    split = batch.column("split")[i].as_py()
-                    if split == "test":
-                        continue
-                    x, y = matrix(batch, i)
-                    margins = {v: np.zeros((len(y), weights[v].shape[1])) for v in l2s}
-                    for a in range(0, projection.size, full):
-                        if any(weights[v][a : a + full].any() for v in l2s):
-                            if a not in drawn:
-                                drawn[a] = projection.matrix(a, min(full, projection.size - a))
-                            z = projection.apply(x, *drawn[a])
-                            for v in l2s:
-                                margins[v] += z @ weights[v][a : a + full]
-                    t = targets(y, classes)
-                    for v in l2s:
-                        guess = (margins[v][:, 0] > 0).astype(int) if t.shape[1] == 1 else margins[v].argmax(axis=1)
-                        wrong[v][int(split == "valid")] += (guess != y).sum()
-                    seen[int(split == "valid")] += len(y)
-                    if split != "train":
-                        continue
-                    n += len(y)
-                    z = projection.apply(x, *own) if count else None
-                    for v in l2s:
-                        left = t - margins[v]
-                        if hinge:
-                            active = (t * margins[v] < 1)[:, 0]
-                            objective[v] += float((np.maximum(0.0, 1 - t * margins[v]) ** 2).sum())
-                            if count:
-                                gram += z[active].T @ z[active]
-                                rhs[v] = rhs[v] + z[active].T @ left[active]
-                        else:
-                            objective[v] += float((left**2).sum())
-                            if count:
-                                rhs[v] = rhs[v] + z.T @ left
-                    if count and not hinge:
-                        gram += z.T @ z
-            if not seen.sum():
-                return
-            out = [("gram", gram.ravel()), ("n", np.asarray([float(n)])), ("seen", seen)]
-            for k, v in enumerate(l2s):
-                if count and n:
-                    out.append((f"rhs/{k}", np.asarray(rhs[v]).ravel() if np.ndim(rhs[v]) else np.zeros(count * weights[v].shape[1])))
-                out += [(f"wrong/{k}", wrong[v]), (f"objective/{k}", np.asarray([objective[v]]))]
-            yield pa.RecordBatch.from_arrays([pa.array([k for k, _ in out]), pa.array([v.tobytes() for _, v in out], pa.binary())], ["kind", "payload"])
-
-        def add_up(group: pa.Table) -> pa.Table:
-            parts = [np.frombuffer(p.as_py(), np.float64) for p in group.column("payload")]
-            return pa.table({"kind": [group.column("kind")[0].as_py()], "payload": pa.array([np.sum(parts, axis=0).tobytes()], pa.binary())})
-
-        out = blocks.select("split", "n", "x", "y").mapInArrow(run, "kind string, payload binary").groupBy("kind").applyInArrow(add_up, "kind string, payload binary")
-        got = {r["kind"]: np.frombuffer(bytes(r["payload"]), np.float64) for r in out.collect()}
-        shared.destroy()
-        return got
+
+    def job(self, first: int = 0, count: int = 0) -> tuple:
+        return (self.projection, self.weights, self.l2s, self.classes, self.loss == "squared_hinge", self.block, first, count)
+
+    def _next(self) -> tuple[int, int]:
+        first = (self.passes * self.block) % self.projection.size
+        return first, min(self.block, self.projection.size - first)
+
+    def _read(self, s: dict[str, np.ndarray]) -> dict[float, dict[str, float]]:
+        if not s:
+            return {v: {"objective": float("nan"), "train_error": float("nan"), "valid_error": float("nan"), "test_error": float("nan")} for v in self.l2s}
+        n, share = max(1.0, s["n"][0]), lambda k, i: float(s[f"wrong/{k}"][i] / s["seen"][i]) if s["seen"][i] else float("nan")
+        return {v: {"objective": float(s[f"objective/{k}"][0] / n + v * (self.weights[v] ** 2).sum()), "train_error": share(k, 0), "valid_error": share(k, 1), "test_error": share(k, 2)} for k, v in enumerate(self.l2s)}
 
     def state(self, blocks: DataFrame) -> dict[float, dict[str, float]]:
-        """Objective per training row, and training and validation error, of every ridge value."""
-        s = self._sums(blocks, 0, 0)
-        n = max(1.0, s["n"][0])
-        return {v: {"objective": float(s[f"objective/{k}"][0] / n + v * (self.weights[v] ** 2).sum()), "train_error": float(s[f"wrong/{k}"][0] / max(1, s["seen"][0])), "valid_error": float(s[f"wrong/{k}"][1] / max(1, s["seen"][1]))} for k, v in enumerate(self.l2s)}
+        """Objective per training row, and the error of every split, of every ridge value."""
+        return states(blocks, [self])[0]
 
     def step(self, blocks: DataFrame) -> None:
         """One pass: solve the next block of features with the others fixed."""
-        first = (self.passes * self.block) % self.projection.size
-        count = min(self.block, self.projection.size - first)
-        s = self._sums(blocks, first, count)
-        gram, n = s["gram"].reshape(count, count), s["n"][0]
-        single_thread()
+        step_all(blocks, [self])
+
+    def solve(self, blocks: DataFrame, s: dict[str, np.ndarray], first: int, count: int) -> None:
         self.passes += 1
-        if not n:
+        if not s or not s["n"][0]:
             return
+        gram, n = s["gram"].reshape(count, count), s["n"][0]
         for k, v in enumerate(self.l2s):
             w = self.weights[v][first : first + count]
             rhs = s[f"rhs/{k}"].reshape(count, -1) - v * n * w
@@ -143,3 +167,49 @@ class BlockDescent:
         for _ in range(cycles * -(-self.projection.size // self.block)):
             self.step(blocks)
         return self.state(blocks)
+
+
+def states(blocks: DataFrame, descents: Sequence[BlockDescent], tasks: int | None = None) -> list[dict[float, dict[str, float]]]:
+    """``BlockDescent.state`` of several projections in one pass."""
+    return [d._read(s) for d, s in zip(descents, _pass(blocks, [d.job() for d in descents], tasks), strict=True)]
+
+
+def step_all(blocks: DataFrame, descents: Sequence[BlockDescent], tasks: int | None = None) -> list[dict[float, dict[str, float]]]:
+    """One pass for several projections: each solves its next block.  Returns the states before it."""
+    single_thread()
+    at = [d._next() for d in descents]
+    sums = _pass(blocks.filter("split <> 'test'"), [d.job(*a) for d, a in zip(descents, at, strict=True)], tasks)
+    before = [d._read(s) for d, s in zip(descents, sums, strict=True)]
+    for d, s, a in zip(descents, sums, at, strict=True):
+        d.solve(blocks, s, *a)
+    return before
+
+
+def moments(blocks: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    """Mean and covariance of the training features, in one pass."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        single_thread()
+        gram, total, n = 0.0, 0.0, 0
+        for batch in batches:
+            for i in range(batch.num_rows):
+                x, _ = matrix(batch, i)
+                gram, total, n = gram + x.T @ x, total + x.sum(axis=0), n + len(x)
+        if n:
+            yield rows_of(TaskContext.get().partitionId(), pieces("gram", gram, RANGE) + pieces("sum", total, RANGE) + pieces("n", np.asarray([float(n)]), RANGE))
+
+    own = blocks.filter("split = 'train'")
+    got = gather(tree_sum(own.select("n", "x", "y").mapInArrow(run, SCHEMA), own.rdd.getNumPartitions()).collect(), RANGE)
+    if not got:
+        return np.zeros(0), np.zeros((0, 0))
+    mean = got["sum"] / got["n"][0]
+    return mean, got["gram"].reshape(len(mean), -1) / got["n"][0] - np.outer(mean, mean)
+
+
+def principal(blocks: DataFrame) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Mean, components (columns, by falling variance) and variances of the training features."""
+    mean, cov = moments(blocks)
+    single_thread()
+    values, vectors = np.linalg.eigh(cov)
+    signs = np.where(vectors.sum(axis=0) < 0, -1.0, 1.0)
+    return mean, (vectors * signs)[:, ::-1], values[::-1]

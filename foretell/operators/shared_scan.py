@@ -13,12 +13,14 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.blas import single_thread
 from ..plans.blocks import matrix
 from .random_features import Projection
+from .tree_sum import SCHEMA, batch as rows_of, gather, pieces, tree_sum
 
 #: Bytes of all partial gradients from which they are added up in the cluster first.
 REDUCE_BYTES = 64 << 20
@@ -132,8 +134,12 @@ class Pass:
         return float(self.wrong[split][k] / n) if n else float("nan")
 
 
-def scan(blocks: DataFrame, columns: Sequence[Column], classes: int = 1, *, kernel: str = "gemm") -> Pass:
-    """One pass over ``blocks`` with the weights of all ``columns``."""
+def scan(blocks: DataFrame, columns: Sequence[Column], classes: int = 1, *, kernel: str = "gemm", tasks: int | None = None) -> Pass:
+    """One pass over ``blocks`` with the weights of all ``columns``.
+
+    ``tasks``: partitions of ``blocks``, where the caller knows them.  Partial sums go to the driver
+    while they are small; from ``REDUCE_BYTES`` on they are added up in the cluster, by ranges of
+    features and in levels of at most ``tree_sum.FAN_IN`` parts."""
     spark = blocks.sparkSession
     shared = spark.sparkContext.broadcast(list(columns))
     shapes = [c.weights.shape for c in columns]
@@ -148,39 +154,24 @@ def scan(blocks: DataFrame, columns: Sequence[Column], classes: int = 1, *, kern
                 task.add(splits[i], *matrix(batch, i))
         if not task.rows:
             return
-        flat = np.concatenate([g.ravel() for g in task.grads])
-        out = [("grad", a // RANGE, flat[a : a + RANGE].tobytes()) for a in range(0, len(flat), RANGE)]
-        out.append(("loss", 0, task.loss.tobytes()))
+        out = pieces("grad", np.concatenate([g.ravel() for g in task.grads]), RANGE) + pieces("loss", task.loss, RANGE)
         for s, n in task.rows.items():
-            out.append((f"rows/{s}", 0, np.asarray([float(n)]).tobytes()))
-            out.append((f"wrong/{s}", 0, task.wrong[s].tobytes()))
-        yield pa.RecordBatch.from_arrays([pa.array([o[0] for o in out]), pa.array([o[1] for o in out], pa.int64()), pa.array([o[2] for o in out], pa.binary())], ["kind", "part", "payload"])
-
-    def add_up(group: pa.Table) -> pa.Table:
-        parts = [np.frombuffer(p.as_py(), np.float64) for p in group.column("payload")]
-        return pa.table({"kind": [group.column("kind")[0].as_py()], "part": pa.array([group.column("part")[0].as_py()], pa.int64()), "payload": pa.array([np.sum(parts, axis=0).tobytes()], pa.binary())})
-
-    out = blocks.select("split", "n", "x", "y").mapInArrow(run, "kind string, part bigint, payload binary")
-    if 8 * total * max(1, blocks.rdd.getNumPartitions()) > REDUCE_BYTES:
-        out = out.groupBy("kind", "part").applyInArrow(add_up, "kind string, part bigint, payload binary")
-    flat, loss, rows, wrong = np.zeros(total), np.zeros(len(columns)), {}, {}
-    for kind, part, payload in sorted(map(tuple, out.collect()), key=lambda r: (r[0], r[1], r[2])):
-        v = np.frombuffer(bytes(payload), np.float64)
-        if kind == "grad":
-            flat[part * RANGE : part * RANGE + len(v)] += v
-        elif kind == "loss":
-            loss += v
-        elif kind.startswith("rows/"):
-            rows[kind[5:]] = rows.get(kind[5:], 0) + int(v[0])
-        else:
-            wrong[kind[6:]] = wrong.get(kind[6:], 0) + v
+            out += pieces(f"rows/{s}", np.asarray([float(n)]), RANGE) + pieces(f"wrong/{s}", task.wrong[s], RANGE)
+        yield rows_of(TaskContext.get().partitionId(), out)
+
+    out = blocks.select("split", "n", "x", "y").mapInArrow(run, SCHEMA)
+    tasks = blocks.rdd.getNumPartitions() if tasks is None else tasks
+    if 8 * total * max(1, tasks) > REDUCE_BYTES:
+        out = tree_sum(out, tasks)
+    got = gather(out.select("kind", "part", "payload").collect(), RANGE)
     shared.destroy()
-    grads, at = [], 0
+    flat, grads, at = got.get("grad", np.zeros(total)), [], 0
     for s in shapes:
         n = int(np.prod(s))
         grads.append(flat[at : at + n].reshape(s))
         at += n
-    return Pass(grads, loss, rows, wrong)
+    named = lambda kind: {k[len(kind) :]: v for k, v in got.items() if k.startswith(kind)}
+    return Pass(grads, got.get("loss", np.zeros(len(columns))), {k: int(v[0]) for k, v in named("rows/").items()}, named("wrong/"))
 
 
 def update(c: Column, grad: np.ndarray, rows: int, *, step: str = "plain", scale: str = "mean") -> None:
@@ -211,11 +202,12 @@ def start(c: Column, d: int, classes: int = 1) -> Column:
 def train(blocks: DataFrame, columns: Sequence[Column], iterations: int, *, classes: int = 1, kernel: str = "gemm", step: str = "plain", minibatches: int = 1) -> Pass:
     """``iterations`` scans of a batch.  With ``minibatches`` each scan is dealt in that many
     updates over contiguous blocks."""
+    tasks = blocks.rdd.getNumPartitions()
     for _ in range(iterations):
         for m in range(minibatches):
             own = blocks if minibatches == 1 else blocks.filter(F.pmod("block_id", F.lit(minibatches)) == m)
-            p = scan(own, columns, classes, kernel=kernel)
+            p = scan(own, columns, classes, kernel=kernel, tasks=tasks)
             if p.rows.get("train"):
                 for k, c in enumerate(columns):
                     update(c, p.grads[k], p.rows["train"], step=step)
-    return scan(blocks, columns, classes, kernel=kernel)
+    return scan(blocks, columns, classes, kernel=kernel, tasks=tasks)

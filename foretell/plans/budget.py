@@ -8,26 +8,34 @@ from dataclasses import dataclass, field
 
 @dataclass
 class Ledger:
-    """models proposed, model-iterations, scans of the data, round trips, seconds."""
+    """models proposed, model-iterations, scans of the training data, round trips, passes over held-out
+    data, the training data read (in whole tables), seconds."""
 
     models: int = 0
     model_iterations: int = 0
     scans: int = 0
     round_trips: int = 0
-    bytes: int = 0
+    held_out_scans: int = 0
+    tables_read: float = 0.0
     started: float = field(default_factory=time.monotonic)
 
     @property
     def seconds(self) -> float:
         return time.monotonic() - self.started
 
-    def charge(self, model_iterations: int, scans: int) -> None:
+    def charge(self, model_iterations: int, scans: int, share: float = 1.0) -> None:
+        """``share``: of the training data that each of the scans has read."""
         self.model_iterations += model_iterations
         self.scans += scans
         self.round_trips += 2 * scans
+        self.tables_read += scans * share
+
+    def charge_held_out(self, scans: int = 1) -> None:
+        self.held_out_scans += scans
+        self.round_trips += 2 * scans
 
     def as_dict(self) -> dict[str, float]:
-        return {"models": self.models, "model_iterations": self.model_iterations, "scans": self.scans, "round_trips": self.round_trips, "seconds": self.seconds}
+        return {"models": self.models, "model_iterations": self.model_iterations, "scans": self.scans, "round_trips": self.round_trips, "held_out_scans": self.held_out_scans, "tables_read": self.tables_read, "seconds": self.seconds}
 
 
 @dataclass(frozen=True)

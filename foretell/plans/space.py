@@ -144,5 +144,11 @@ def kernel_svm() -> ModelSpace:
     return ModelSpace((Family("gaussian", dict(own)), Family("cauchy", dict(own))))
 
 
+def component_pipeline(d: int) -> ModelSpace:
+    """Two stages searched as one: the number of leading principal components, and the model on them."""
+    own = {"components": Integer(1, d), "rate": Real(*RATE, log=True), "l2": Real(*L2, log=True)}
+    return ModelSpace((Family("svm_components", dict(own)), Family("logistic_components", dict(own))))
+
+
 def tiny() -> ModelSpace:
     return ModelSpace((Family("logistic", {"rate": Real(0.1, 1.0, log=True), "l2": Real(1e-4, 1e-2, log=True)}),))
