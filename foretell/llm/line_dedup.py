@@ -23,10 +23,12 @@ and thus 128 bits agree.
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise, salted_join
+from .common import materialise, release, salted_join
 from .components import components
 
 MAX_EDITS, CHARS_PER_EDIT = 3, 10
@@ -34,8 +36,11 @@ MAX_EDITS, CHARS_PER_EDIT = 3, 10
 RANGE = 16
 #: Comparisons (of letter counts) that one part of a key's pairs is aimed at.
 PART_PAIRS = 4_000_000
-#: Letters whose counts (up to 511 each) make a line's two signatures.
-SIGNATURES = ("eantirs", "odhlucg")
+#: Characters whose counts (up to 255 each) make a signature; all others are counted together.
+COUNTED = ("eantirs", "odhlu ")
+#: Where lines are cut for that, in quarters of their range's least length, and how many of COUNTED are told there.
+CUTS = {2: 2, 1: 1, 3: 1}
+SIGNATURES = [f"sig{cut}{side}{k}" for cut, groups in CUTS.items() for side in "pq" for k in range(groups)]
 #: Line numbers (8 bytes each) up to which those that share a key are broadcast; beyond, they join by shuffle.
 MAX_BROADCAST_LINES = 2_000_000
 #: Longest step of the search for common beginnings and ends; with the smaller ones it covers any string Spark can hold.
@@ -43,36 +48,53 @@ LONGEST_STEP = 1 << 30
 _WORD = r"[^\x20\x09-\x0D]"
 
 
-def lines_of(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """id, no (from 0), line: the lines that have a word."""
-    each = F.posexplode(F.split(F.coalesce(F.col(text_col), F.lit("")), "\n")).alias("no", "line")
-    return docs.select(F.col(id_col).alias("id"), each).filter(F.regexp_instr("line", F.lit(_WORD)) > 0)
+def lines_of(docs: DataFrame, id_col: str, text_col: str, edits: int, per: int) -> DataFrame:
+    """The lines that have a word: id, no (from 0), line, n (its length), here and below (the ranges of
+    lengths a partner can be in), and of either range the size of segments and the least length."""
+
+    def described(line: Column) -> Column:
+        n = F.length(line)
+        here, below = _range(n, edits, per), _range(F.greatest(n - edits, F.lit(0)), edits, per)
+        of = lambda number, name: [number.alias(name), _segment_size(number, edits, per).alias(f"size_{name}"), _least_length(number, edits, per).cast("int").alias(f"least_{name}")]
+        return F.struct(line.alias("line"), n.alias("n"), *of(here, "here"), *of(below, "below"))
+
+    # what is made with the line is a value; made later it would be worked out again wherever it is named
+    cut = F.transform(F.split(F.coalesce(F.col(text_col), F.lit("")), "\n"), described)
+    rows = docs.select(F.col(id_col).alias("id"), F.posexplode(cut).alias("no", "_l")).select("id", "no", "_l.*")
+    return rows.filter(F.regexp_instr("line", F.lit(_WORD)) > 0)
+
+
+def _div(a: Column, b: Column | int) -> Column:
+    return ((a - a % b) / b).cast("int")
 
 
 def allowed_edits(n: Column, edits: int, per: int) -> Column:
     """Edits that a pair may have whose shorter line has ``n`` characters."""
-    return F.least(F.lit(edits), F.floor(n / per)).cast("int")
+    return F.least(F.lit(edits), _div(n, per))
 
 
 def _range(n: Column, edits: int, per: int) -> Column:
     """Number of the range of lengths; up to ``edits`` it is the number of edits allowed."""
-    return F.when(n < edits * per, F.floor(n / per)).otherwise(edits + F.floor((n - edits * per) / RANGE)).cast("int")
+    return F.when(n < edits * per, _div(n, per)).otherwise(edits + _div(n - edits * per, RANGE))
+
+
+def _least_length(number: Column, edits: int, per: int) -> Column:
+    return F.when(number < edits, number * per).otherwise(edits * per + (number - edits) * RANGE)
 
 
 def _segment_size(number: Column, edits: int, per: int) -> Column:
-    least = F.when(number < edits, number * per).otherwise(edits * per + (number - edits) * RANGE)
-    return F.floor(least / (F.least(number, F.lit(edits)) + 1)).cast("int")
+    return _div(_least_length(number, edits, per), F.least(number, F.lit(edits)) + 1)
 
 
-def _keys(number: Column, edits: int, per: int) -> dict[tuple[bool, int, int], Column]:
-    """By (from the end, segment, move): the key of the substring of ``line`` (of length ``n``) where
-    that segment of a line in range ``number`` may stand; null where there is no such place."""
-    n, size, allowed = F.col("n"), _segment_size(number, edits, per), F.least(number, F.lit(edits))
+def _keys(of: str, edits: int) -> dict[tuple[bool, int, int], Column]:
+    """By (from the end, segment, move): the key of the substring of ``line`` where that segment of a
+    line in range ``of`` may stand; null where there is no such place."""
+    n, number, size = F.col("n"), F.col(of), F.col(f"size_{of}")
     out = {}
     for end in (False, True):
         for i in range((edits + 1) // 2 if end else edits // 2 + 1):
             # from the beginning there are half the segments rounded up, from the end the others
-            used = allowed >= (2 * i + 1 if end else 2 * i) if i or end else allowed >= 1
+            used = number >= (2 * i + 1 if end else max(1, 2 * i))
             for move in range(-i, i + 1):
                 at = (n - (i + 1) * size if end else i * size) + move
                 key = F.xxhash64(F.lit(2 * i + end), number, F.substring("line", at + 1, size))
@@ -80,35 +102,67 @@ def _keys(number: Column, edits: int, per: int) -> dict[tuple[bool, int, int], C
     return out
 
 
-def index_keys(edits: int, per: int) -> Column:
-    """Keys of a line's own segments; they also probe at the places where lines of equal length have them."""
-    own = _keys(_range(F.col("n"), edits, per), edits, per)
-    return F.array_compact(F.array(*[k for (_, _, move), k in own.items() if move == 0]))
+def unmoved_keys(of: str, edits: int) -> Column:
+    """The keys of a line's segments at their own places, as a line of range ``of``; null where there is none.
+    In its own range they are its index, and they probe for lines of equal length."""
+    keys = [k for (_, _, move), k in _keys(of, edits).items() if move == 0]
+    return F.array(*(keys if of == "here" else [F.when(F.col("below") < F.col("here"), k) for k in keys]))
 
 
-def probe_keys(edits: int, per: int) -> Column:
-    """Keys of the other substrings at which a segment of a line of equal or smaller length may stand."""
-    here, below = _range(F.col("n"), edits, per), _range(F.greatest(F.col("n") - edits, F.lit(0)), edits, per)
-    moved = [k for (_, _, move), k in _keys(here, edits, per).items() if move]
-    lower = F.when(below < here, F.array(*_keys(below, edits, per).values())).otherwise(F.array().cast("array<bigint>"))
-    return F.array_compact(F.concat(F.array(*moved) if moved else F.array().cast("array<bigint>"), lower))
+def moved_keys(of: str, edits: int) -> Column:
+    """The keys of the other places at which a line of equal or smaller length in range ``of`` may have a segment."""
+    keys = [k for (_, _, move), k in _keys(of, edits).items() if move]
+    return F.array(*(keys if of == "here" else [F.when(F.col("below") < F.col("here"), k) for k in keys])).cast("array<bigint>")
 
 
-def signature(letters: str) -> Column:
-    """Counts of a few letters, nine bits each; one edit moves their sum of differences by two at most."""
-    out = F.lit(0).cast("long")
-    for k, letter in enumerate(letters):
-        n = F.length("line") - F.length(F.replace(F.col("line"), F.lit(letter), F.lit("")))
-        out = out.bitwiseOR(F.shiftleft(F.least(n, F.lit(511)).cast("long"), 9 * k))
-    return out
+def signatures(least: str) -> Column:
+    """For each of CUTS, counts of characters before the cut and after it, seven or eight in a number.
+
+    What is before is measured from the line's beginning and what is after from its end, and neither
+    is longer than its share of the range's ``least`` length.  An edit moves the sum of differences
+    of two lines' counts by two at most: a replacement on one side, and an insertion takes in one
+    character and pushes out another.  The sides do not overlap, so their edits add up."""
+    before = {cut: _div(F.col(least) * cut, 4) for cut in CUTS}
+    parts = {cut: F.array(F.substring("line", F.lit(1), m), F.substring("line", F.col("n") - F.col(least) + m + 1, F.col(least) - m)) for cut, m in before.items()}
 
+    def packed(groups: int) -> Callable[[Column], Column]:
+        def numbers(part: Column) -> Column:
+            out, rest = [], F.length(part)
+            for k, members in enumerate(COUNTED[:groups]):
+                number = F.lit(0).cast("long")
+                for i, c in enumerate(members):
+                    # with the character taken out as often as it stands, the length tells how often
+                    count = F.length(part) - F.length(F.replace(part, F.lit(c), F.lit("")))
+                    number, rest = number.bitwiseOR(F.shiftleft(F.least(count, F.lit(255)).cast("long"), 8 * i)), rest - count
+                out.append(number.bitwiseOR(F.shiftleft(F.least(rest, F.lit(255)).cast("long"), 8 * len(members))) if k == groups - 1 else number)
+            return F.array(*out)
 
-def _signatures_fit(a: tuple[str, str], b: tuple[str, str], edits: int) -> Column:
-    total = F.lit(0)
-    for x, y, letters in zip(a, b, SIGNATURES, strict=True):
-        for k in range(len(letters)):
-            total = total + F.abs(F.shiftright(x, 9 * k).bitwiseAND(511) - F.shiftright(y, 9 * k).bitwiseAND(511))
-    return total <= 2 * edits
+        return numbers
+
+    return F.concat(*[F.flatten(F.transform(parts[cut], packed(groups))) for cut, groups in CUTS.items()])
+
+
+def _signatures_fit(a: str, b: str, edits: int, *cuts: int) -> Column:
+    """Whether the signature columns with suffixes ``a`` and ``b`` leave room for a link at these cuts."""
+    fits = F.lit(True)
+    for cut in cuts:
+        total = F.lit(0)
+        for name in (f"sig{cut}{side}{k}" for side in "pq" for k in range(CUTS[cut])):
+            for k in range(8):
+                total = total + F.abs(F.shiftright(F.col(name + a), 8 * k).bitwiseAND(255) - F.shiftright(F.col(name + b), 8 * k).bitwiseAND(255))
+        fits = fits & (total <= 2 * edits)
+    return fits
+
+
+def _close(met: DataFrame, a: str, b: str, edits: int) -> DataFrame:
+    """Different pairs (a, b) of ``met`` whose signatures fit, at the cut in the middle first.
+
+    Written between the cuts: one condition for all grows over what the JVM compiles."""
+    some = materialise(met.filter(_signatures_fit(a, b, edits, 2)), "line-met")
+    pairs = some.filter(_signatures_fit(a, b, edits, 1, 3)).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    pairs = materialise(pairs, "line-pairs")
+    release(some)
+    return pairs
 
 
 def _common(a: str, b: str, end: bool) -> Column:
@@ -137,11 +191,13 @@ def banded_distance(a: Column, b: Column, edits: int) -> Column:
     """Edit distance of two strings if at most ``edits`` (else some larger number).
 
     Bit k of a step's words stands for row ``step - edits + k`` of the distance matrix; the value
-    is followed along the lowest diagonal until it reaches the last row, then along that row.
+    is followed along the lowest diagonal until it reaches the last row, then along that row.  No
+    value of a step is less than that one minus the number of rising bits; once even that is too
+    large, the other steps are passed over.
     """
     width = 2 * edits + 1
     full = (1 << width) - 1
-    rows, cols = F.regexp_extract_all(a, F.lit("(?s)."), F.lit(0)), F.regexp_extract_all(b, F.lit("(?s)."), F.lit(0))
+    rows, cols = F.split(a, ""), F.split(b, "")
     lit = lambda v: F.lit(v).cast("long")
     flip = lambda c: c.bitwiseXOR(lit(full))
 
@@ -151,10 +207,12 @@ def banded_distance(a: Column, b: Column, edits: int) -> Column:
         equal = lit(0)
         for k in range(width):
             equal = equal + F.when(F.get(state["rows"], at - edits + k - 1) == sign, lit(1 << k)).otherwise(lit(0))
-        d0 = ((equal.bitwiseAND(vp) + vp).bitwiseXOR(vp).bitwiseOR(equal).bitwiseOR(vn)).bitwiseAND(lit(full))
+        zero = lit(0)
+        d0 = F.aggregate(F.array(equal), zero, lambda _, e: ((e.bitwiseAND(vp) + vp).bitwiseXOR(vp).bitwiseOR(e).bitwiseOR(vn)).bitwiseAND(lit(full)))
         inner = F.struct(d0.alias("d0"), vp.alias("vp"), vn.alias("vn"))
-        out = F.transform(F.array(inner), lambda s: _advance(s, state, at))
-        return F.element_at(out, 1)
+        # aggregate names a value without copying the state, as transform would
+        moved = F.aggregate(F.array(inner), state, lambda kept, s: _advance(s, kept, at))
+        return F.when(state["d"] - F.bit_count(vp) > edits, state).otherwise(moved)
 
     def _advance(s: Column, state: Column, at: Column) -> Column:
         hp = s["vn"].bitwiseOR(flip(s["d0"].bitwiseOR(s["vp"])))
@@ -179,12 +237,28 @@ def banded_distance(a: Column, b: Column, edits: int) -> Column:
     return F.when(near, banded).otherwise(F.lit(edits + 1))
 
 
+def _inside_fits(a: str, b: str, allowed: Column, edits: int) -> Column:
+    """Whether what trimming left can be within ``allowed`` edits, by segments once more.
+
+    Trimmed strings differ in their first and in their last character; when both have two or more,
+    those are different edits.  So at most ``allowed`` - 2 are inside, and of one more segments than
+    that one stands unchanged in the other string, moved by ``allowed`` places at most."""
+    x, y, n = F.col(a), F.col(b), F.length(a)
+    inner, met = F.greatest(allowed - 1, F.lit(1)), F.lit(False)
+    for k in range(max(1, edits - 1)):
+        start = F.lit(2) + _div((n - 2) * k, inner)
+        size = F.lit(2) + _div((n - 2) * (k + 1), inner) - start
+        place = F.greatest(start - allowed, F.lit(1))
+        met = met | ((k < inner) & (F.instr(F.substring(y, place, size + start - place + allowed), F.substring(x, start, size)) > 0))
+    return F.when(F.least(n, F.length(b)) < 2, F.greatest(n, F.length(b)) <= allowed + 1).otherwise((allowed >= 2) & met)
+
+
 def _verified(texts: DataFrame, pairs: DataFrame, edits: int, per: int) -> DataFrame:
     """Those of ``pairs`` (a, b: line numbers) within the rule, by the banded distance of what trimming leaves."""
     lines = texts.select("line_id", "line")
     both = pairs.join(lines.withColumnsRenamed({"line_id": "a", "line": "x"}), "a").join(lines.withColumnsRenamed({"line_id": "b", "line": "y"}), "b")
     both = both.withColumn("allowed", allowed_edits(F.least(F.length("x"), F.length("y")), edits, per)).filter(F.abs(F.length("x") - F.length("y")) <= F.col("allowed"))
-    both = materialise(trimmed(both), "line-rests")
+    both = materialise(trimmed(both).filter(_inside_fits("x", "y", F.col("allowed"), edits)), "line-rests")
     return materialise(both.filter(banded_distance(F.col("x"), F.col("y"), edits) <= F.col("allowed")).select("a", "b"), "line-links")
 
 
@@ -199,43 +273,52 @@ def _pairs_across(placed: DataFrame, edits: int) -> DataFrame:
     per = per.groupBy("key").agg(F.max_by("comp", F.struct("m", "comp")).alias("major"), F.count(F.lit(1)).alias("comps"), F.sum("m").alias("m"), F.max("m").alias("most"))
     per = per.filter("comps > 1").withColumn("parts", F.least(F.col("m") - F.col("most"), F.ceil((F.col("m") - F.col("most")) * F.col("m") / PART_PAIRS)).cast("int"))
     across = materialise(salted_join(placed, per.select("key", "major", "m", "parts"), ["key"], "m", placed.count()), "line-across")
-    side = lambda k: [F.col("line_id").alias(k), F.col("comp").alias(f"c{k}"), F.col("sig").alias(f"sig_{k}"), F.col("sig2").alias(f"sig2_{k}"), F.col("own").alias(f"own_{k}")]
+    side = lambda k: [F.col("line_id").alias(k), F.col("comp").alias(f"c{k}"), *[F.col(c).alias(f"{c}_{k}") for c in SIGNATURES], F.col("own").alias(f"own_{k}"), F.col("slot").alias(f"slot_{k}"), *[F.col(f"u{i}").alias(f"u{i}_{k}") for i in range(edits + 1)]]
     minor = across.filter("comp <> major").select("key", F.pmod(F.xxhash64("line_id"), F.col("parts")).cast("int").alias("part"), *side("a"))
     other = across.select("key", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), (F.col("comp") == F.col("major")).alias("main"), *side("b"))
-    pairs = minor.join(other, ["key", "part"]).filter("ca <> cb and (main or ca < cb) and (own_a or own_b)").filter(_signatures_fit(("sig_a", "sig2_a"), ("sig_b", "sig2_b"), edits))
-    return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    pairs = minor.join(other, ["key", "part"]).filter("ca <> cb and (main or ca < cb) and (own_a or own_b)")
+    # two lines that share several segments in place meet at the first of them
+    for k in range(edits + 1):
+        pairs = pairs.filter((F.col("slot_a") <= k) & (F.col("slot_b") <= k) | ~F.col(f"u{k}_a").eqNullSafe(F.coalesce(f"u{k}_b", F.lit(0))))
+    return _close(pairs.select("a", "b", *[F.col(c + side) for c in SIGNATURES for side in ("_a", "_b")]), "_a", "_b", edits)
 
 
 def line_classes(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", max_edits: int = MAX_EDITS, chars_per_edit: int = CHARS_PER_EDIT) -> DataFrame:
     """id, no, class_id, class_check of every line with a word; lines are of one class when both are equal."""
     if max_edits < 1 or chars_per_edit < 2 * (max_edits + 1):
         raise ValueError("at least one edit, and two characters per edit and segment")
-    identified = lines_of(docs, id_col, text_col).withColumn("line_id", F.xxhash64("line", F.length("line"))).withColumn("check", F.xxhash64(F.lit(1), "line"))
-    long_lines = identified.filter(F.length("line") >= chars_per_edit).withColumn("n", F.length("line"))
+    identified = lines_of(docs, id_col, text_col, max_edits, chars_per_edit).withColumn("line_id", F.xxhash64("line", "n")).withColumn("check", F.xxhash64(F.lit(1), "line"))
+    long_lines = identified.filter(F.col("n") >= chars_per_edit)
     # one row per different line: its keys.  Texts stay where they are
-    keyed = materialise(long_lines.select("line_id", index_keys(max_edits, chars_per_edit).alias("own"), probe_keys(max_edits, chars_per_edit).alias("near")).distinct(), "line-keys")
-    rows = keyed.select("line_id", F.lit(True).alias("own"), F.explode("own").alias("key")).unionByName(keyed.select("line_id", F.lit(False).alias("own"), F.explode("near").alias("key")))
+    kinds = {f"{kind.__name__[:-5]}_{of}": kind(of, max_edits) for of in ("here", "below") for kind in (unmoved_keys, moved_keys)}
+    keyed = materialise(long_lines.select("line_id", *[k.alias(name) for name, k in kinds.items()]).distinct(), "line-keys")
+    each = F.inline(F.array(*[F.struct(F.lit(name == "unmoved_here").alias("own"), F.lit(name.endswith("below")).alias("low"), F.lit(name.startswith("moved")).alias("moved"), F.col(name).alias("keys")) for name in kinds]))
+    rows = keyed.select("line_id", each).select("line_id", "own", "low", "moved", F.posexplode("keys").alias("slot", "key")).filter("key is not null")
+    rows = rows.withColumn("slot", F.when(F.col("moved"), F.lit(max_edits + 1)).otherwise(F.col("slot")))
     # a key is of use when some line has it as its own and it stands twice
     times = rows.groupBy("key").agg(F.sum(F.when(F.col("own"), F.lit(1 << 40)).otherwise(F.lit(0)) + 1).alias("t"))
     met = times.filter((F.col("t") > 1 << 40) & (F.col("t").bitwiseAND((1 << 40) - 1) > 1)).select("key")
-    rows = materialise(rows.join(met, "key").groupBy("key", "line_id").agg(F.max("own").alias("own")), "line-shared")
+    rows = materialise(rows.join(met, "key").groupBy("key", "line_id").agg(F.max("own").alias("own"), F.max("low").alias("low"), F.min("slot").alias("slot")), "line-shared")
     # only lines that share a key move with their text, once
     wanted = materialise(rows.select("line_id").distinct(), "line-wanted")
     wanted = F.broadcast(wanted) if wanted.count() <= MAX_BROADCAST_LINES else wanted
-    texts = long_lines.join(wanted, "line_id").groupBy("line_id").agg(F.min(F.struct("line", "check")).alias("l")).select("line_id", "l.*")
-    texts = materialise(texts.withColumn("sig", signature(SIGNATURES[0])).withColumn("sig2", signature(SIGNATURES[1])), "line-texts")
-    rows = materialise(rows.join(texts.select("line_id", "sig", "sig2"), "line_id"), "line-signed")
+    described = ["line", "check", "n", *[f"{name}{of}" for of in ("here", "below") for name in ("", "size_", "least_")]]
+    texts = long_lines.join(wanted, "line_id").groupBy("line_id").agg(F.min(F.struct(*described)).alias("l")).select("line_id", "l.*")
+    below = F.col("below") < F.col("here")
+    of_range = lambda of: F.struct(signatures(f"least_{of}").alias("sigs"), unmoved_keys(of, max_edits).alias("unmoved"))
+    texts = materialise(texts.select("line_id", "line", "check", of_range("here").alias("here"), F.when(below, of_range("below")).alias("below")), "line-texts")
+    signed = rows.join(texts.select("line_id", "here", "below"), "line_id").withColumn("s", F.when(F.col("low"), F.col("below")).otherwise(F.col("here")))
+    rows = materialise(signed.select("key", "line_id", "own", "slot", *[F.get("s.unmoved", F.lit(k)).alias(f"u{k}") for k in range(max_edits + 1)], *[F.get("s.sigs", F.lit(k)).alias(c) for k, c in enumerate(SIGNATURES)]), "line-signed")
 
     # star round: one leader per key
-    leaders = rows.groupBy("key").agg(F.min(F.when(F.col("own"), F.struct("line_id", "sig", "sig2"))).alias("l"), F.count(F.lit(1)).alias("m")).filter("m > 1").select("key", "m", F.col("l.line_id").alias("b"), F.col("l.sig").alias("sig_b"), F.col("l.sig2").alias("sig2_b"))
-    stars = salted_join(rows, leaders, ["key"], "m", rows.count()).filter((F.col("line_id") != F.col("b")) & _signatures_fit(("sig", "sig2"), ("sig_b", "sig2_b"), max_edits))
-    stars = materialise(stars.select(F.least("line_id", "b").alias("a"), F.greatest("line_id", "b").alias("b")).distinct(), "line-pairs")
+    leaders = rows.groupBy("key").agg(F.min(F.when(F.col("own"), F.struct("line_id", *SIGNATURES))).alias("l"), F.count(F.lit(1)).alias("m")).filter("m > 1").select("key", "m", F.col("l.line_id").alias("b"), *[F.col(f"l.{c}").alias(f"{c}_b") for c in SIGNATURES])
+    stars = salted_join(rows, leaders, ["key"], "m", rows.count()).filter(F.col("line_id") != F.col("b"))
+    stars = _close(stars.select(F.col("line_id").alias("a"), "b", *SIGNATURES, *[f"{c}_b" for c in SIGNATURES]), "", "_b", max_edits)
     found = materialise(components(_verified(texts, stars, max_edits, chars_per_edit)), "line-first")
 
     # join round: only across components
     placed = rows.join(found.withColumnRenamed("node", "line_id"), "line_id", "left").withColumn("comp", F.coalesce("component", "line_id")).drop("component")
-    pairs = materialise(_pairs_across(materialise(placed, "line-placed"), max_edits), "line-pairs")
-    second = _verified(texts, pairs, max_edits, chars_per_edit)
+    second = _verified(texts, _pairs_across(materialise(placed, "line-placed"), max_edits), max_edits, chars_per_edit)
     links = found.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(second)
     checks = texts.select("line_id", "check")
     final = components(links).join(checks.withColumnsRenamed({"line_id": "component", "check": "class_check"}), "component").join(checks.withColumnRenamed("line_id", "node"), "node")
