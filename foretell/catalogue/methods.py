@@ -423,7 +423,7 @@ def pca_step(spark: Spark, d: str) -> DataFrame:
 
 
 def _session(spark: Spark) -> Session:
-    return Session(spark, space=ModelSpace((linear_pair().families[1],)), budget=Budget(models=6), proposer="random", partial_iters=4, max_iters=12, batch_size=6, key=("doc_id",))
+    return Session(spark, space=ModelSpace((linear_pair().families[1],)), budget=Budget(models=8), proposer="random", partial_iters=10, max_iters=40, batch_size=8, key=("doc_id",))
 
 
 def _predictive(name: str, sql: str) -> None:
@@ -438,7 +438,7 @@ _predictive("predict_topk", "SELECT doc_id, n_chars, PREDICT(quality, text, n_ch
 _predictive("predict_filter", "SELECT doc_id, n_chars FROM documents WHERE n_chars > 500 AND PREDICT(lang, text) = 'en' GIVEN (SELECT lang, text FROM documents)")
 _predictive("predict_groupby", "SELECT PREDICT(quality, text) GIVEN labelled AS quality, count(*) AS n FROM documents GROUP BY PREDICT(quality, text) GIVEN labelled HAVING count(*) > 0 ORDER BY 1")
 _predictive("predict_two_clauses", "SELECT doc_id, PREDICT(quality, text) GIVEN labelled AS q, PREDICT(toxic, text) GIVEN labelled AS t FROM documents")
-_predictive("predict_regression", "SELECT l_orderkey, l_linenumber, PREDICT(l_extendedprice, l_quantity, l_discount) GIVEN (SELECT l_extendedprice, l_quantity, l_discount FROM lineitem) AS price FROM lineitem WHERE l_linenumber = 1")
+_predictive("predict_regression", "SELECT l_orderkey, l_linenumber, PREDICT(l_extendedprice, l_quantity, l_discount) GIVEN (SELECT l_extendedprice, l_quantity, l_discount FROM lineitem) AS price FROM lineitem")
 
 
 @entry("predict_dataframe")

@@ -12,10 +12,10 @@ from .registry import entry, r6
 Spark = SparkSession
 
 
-@entry("stream_score", "SELECT l_orderkey, l_linenumber, l_partkey, CASE WHEN 0.1 + 1.5 * ((l_quantity - 25.5) / 14.4) > 0 THEN 'high' ELSE 'low' END AS prediction FROM lineitem WHERE l_linenumber = 1")
+@entry("stream_score", "SELECT l_orderkey, l_linenumber, l_partkey, CASE WHEN 0.1 + 1.5 * ((l_quantity - 25.5) / 14.4) > 0 THEN 'high' ELSE 'low' END AS prediction FROM lineitem")
 def stream_score(spark: Spark, d: str) -> DataFrame:
     plan = Plan("prediction", ["l_quantity"], ["l_quantity"], [25.5], [14.4], [[0.1], [1.5]], ["low", "high"])
-    rows = S.read_stream(spark, d, "lineitem").filter("l_linenumber = 1")
+    rows = S.read_stream(spark, d, "lineitem")
     return S.run_now(S.score_stream(rows, plan).select("l_orderkey", "l_linenumber", "l_partkey", "prediction"))
 
 

@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 
 from ..functions import draws
 from ..operators import relational as R
+from ..operators.nearest import nearest
 from ..sources.tables import TABLES, shared_dir, table, write
 from .registry import entry, r6
 
@@ -295,22 +296,39 @@ def json_props(spark: Spark, d: str) -> DataFrame:
     return table(spark, d, "events").groupBy("event_type").agg(r6(F.avg(k)).alias("mean_k"), F.max(k).alias("most"))
 
 
-@entry("knn_exact", "SELECT probe, vec_id, rn FROM (SELECT p.vec_id AS probe, e.vec_id, row_number() OVER (PARTITION BY p.vec_id ORDER BY round(list_sum(list_transform(generate_series(1, 64), lambda i: CAST(p.embedding[i] AS DOUBLE) * CAST(e.embedding[i] AS DOUBLE))), 9) DESC, e.vec_id) AS rn FROM (SELECT * FROM embeddings WHERE vec_id < 10) p, embeddings e WHERE e.vec_id <> p.vec_id) WHERE rn <= 5")
+@entry("knn_exact", "SELECT probe, vec_id, rn FROM (SELECT p.vec_id AS probe, e.vec_id, row_number() OVER (PARTITION BY p.vec_id ORDER BY round(list_sum(list_transform(generate_series(1, 64), lambda i: CAST(p.embedding[i] AS DOUBLE) * CAST(e.embedding[i] AS DOUBLE))), 9) DESC, e.vec_id) AS rn FROM (SELECT * FROM embeddings WHERE vec_id % 50 = 0) p, embeddings e WHERE e.vec_id <> p.vec_id) WHERE rn <= 5")
 def knn_exact(spark: Spark, d: str) -> DataFrame:
+    """The queries of a search are every row whose id is divisible by 50, against all rows."""
     e = table(spark, d, "embeddings")
-    probes = F.broadcast(e.filter("vec_id < 10").select(F.col("vec_id").alias("probe"), F.col("embedding").alias("p")))  # ten rows
-    dot = F.aggregate(F.zip_with("p", "embedding", lambda a, b: a.cast("double") * b.cast("double")), F.lit(0.0), lambda a, x: a + x)
-    near = e.crossJoin(probes).filter("vec_id <> probe").select("probe", "vec_id", F.round(dot, 9).alias("dot"))
-    best = near.groupBy("probe").agg(F.sort_array(F.collect_list(F.struct((-F.col("dot")).alias("d"), "vec_id"))).alias("all"))
-    return best.select("probe", F.posexplode(F.slice("all", 1, 5)).alias("pos", "b")).select("probe", F.col("b.vec_id").alias("vec_id"), (F.col("pos") + 1).alias("rn"))
+    return nearest(e, e.filter("vec_id % 50 = 0"), 5)
 
 
-@entry("overlap_benchmark", "SELECT DISTINCT doc_id, item_id FROM documents JOIN benchmark b ON contains(documents.text, substr(b.text, 1, 40)) WHERE length(b.text) >= 40")
+#: Benchmark windows up to which they are broadcast.
+MAX_BROADCAST_WINDOWS = 200_000
+_WINDOW_SQL = "list_filter(string_split(lower({}), ' '), lambda w: w <> '')"
+
+
+@entry("overlap_benchmark", f"""
+WITH d AS (SELECT doc_id, {_WINDOW_SQL.format("text")} AS ws FROM documents),
+b AS (SELECT item_id, ws, least(10, len(ws)) AS size FROM (SELECT item_id, {_WINDOW_SQL.format("text")} AS ws FROM benchmark) WHERE len(ws) > 0),
+bw AS (SELECT DISTINCT item_id, size, array_to_string(ws[i : i + size - 1], ' ') AS w FROM (SELECT *, unnest(generate_series(1, len(ws) - size + 1)) AS i FROM b)),
+dw AS (SELECT doc_id, size, array_to_string(ws[i : i + size - 1], ' ') AS w FROM (SELECT doc_id, ws, size, unnest(generate_series(1, len(ws) - size + 1)) AS i FROM d, (SELECT DISTINCT size FROM bw) WHERE len(ws) >= size))
+SELECT DISTINCT doc_id, item_id FROM dw JOIN bw USING (size, w)""")
 def overlap_benchmark(spark: Spark, d: str) -> DataFrame:
-    b = table(spark, d, "benchmark").filter("length(text) >= 40").select("item_id", F.substring("text", 1, 40).alias("part"))
-    n = b.limit(20_001).count()
-    b = F.broadcast(b) if n <= 20_000 else b
-    return table(spark, d, "documents").join(b, F.contains("text", F.col("part"))).select("doc_id", "item_id").distinct()
+    """Items of which ten consecutive words (or all, of fewer) stand in a document: an equality join of windows."""
+    words = F.filter(F.split(F.lower("text"), " "), lambda w: w != "")
+
+    def windows(rows: DataFrame) -> DataFrame:
+        each = F.explode(F.sequence(F.lit(1), F.size("ws") - F.col("size") + 1)).alias("i")
+        return rows.filter("size > 0 and size(ws) >= size").select("*", each).withColumn("w", F.array_join(F.slice("ws", F.col("i"), F.col("size")), " "))
+
+    items = table(spark, d, "benchmark").select("item_id", words.alias("ws")).withColumn("size", F.least(F.lit(10), F.size("ws")))
+    parts = windows(items).select("item_id", "size", "w").distinct()
+    # at most ten sizes
+    sizes = F.broadcast(parts.select("size").distinct())
+    docs = windows(table(spark, d, "documents").select("doc_id", words.alias("ws")).crossJoin(sizes)).select("doc_id", "size", "w")
+    parts = F.broadcast(parts) if parts.limit(MAX_BROADCAST_WINDOWS + 1).count() <= MAX_BROADCAST_WINDOWS else parts
+    return docs.join(parts, ["size", "w"]).select("doc_id", "item_id").distinct()
 
 
 @entry("sample_hash", f"SELECT count(*) AS n, round(sum(o_totalprice), 2) AS price FROM orders WHERE {draws.uniform_sql('sample:0', 'o_orderkey')} < 0.1")

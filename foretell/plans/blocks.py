@@ -2,15 +2,16 @@
 
 from __future__ import annotations
 
+import atexit
 import uuid
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
-from ..sources.tables import shared_dir
+from ..sources.tables import delete, shared_dir
 
 #: Bytes of one block aimed at.
 BLOCK_BYTES = 2 << 20
@@ -55,10 +56,25 @@ def pack(df: DataFrame, *, rows_per_block: int | None = None) -> DataFrame:
 
 def store(blocks: DataFrame) -> DataFrame:
     """Write blocks to the shared folder and read them back: passes read packed Parquet, not the
-    relation, and a lost executor costs a re-read."""
+    relation, and a lost executor costs a re-read.  ``release`` deletes them, and so does the end of
+    the program."""
     path = f"{shared_dir(blocks.sparkSession)}/foretell-blocks-{uuid.uuid4().hex}"
     blocks.write.option("parquet.block.size", 8 << 20).option("compression", "none").parquet(path)
-    return blocks.sparkSession.read.schema(SCHEMA).parquet(path)
+    if not _stored:
+        atexit.register(release)
+    out = blocks.sparkSession.read.schema(SCHEMA).parquet(path)
+    _stored.append((path, blocks.sparkSession, out))
+    return out
+
+
+_stored: list[tuple[str, SparkSession, DataFrame]] = []
+
+
+def release(blocks: DataFrame | None = None) -> None:
+    """Delete stored blocks (all of them by default)."""
+    for entry in [e for e in _stored if blocks is None or e[2] is blocks]:
+        _stored.remove(entry)
+        delete(entry[1], entry[0])
 
 
 def matrix(batch: pa.RecordBatch, row: int) -> tuple[np.ndarray, np.ndarray]:

@@ -7,10 +7,15 @@ are keyed by a digest of their text, so copies never stand on both sides of a sp
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass, field
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..functions import draws
 from ..sources.tables import table
@@ -158,12 +163,64 @@ class FeatureSpec:
 _NUMERIC = ("tinyint", "smallint", "int", "bigint", "float", "double", "boolean")
 
 
-def numeric_expressions(df: DataFrame, names: list[str], *, most_levels: int = 20) -> list[tuple[str, str]]:
+#: Slots of a text's hashed words, and what a word's share of the text is multiplied by.
+SLOTS, WORD_SCALE = 256, 16.0
+
+
+def word_slots(text: str, slots: int = SLOTS) -> str:
+    """SQL expression: the hashed slot of every word of ``text``, as array<int>; empty without words."""
+    return f"transform(filter(split(lower({text}), '[^\\\\p{{L}}\\\\p{{N}}#$%&*|<>]+'), w -> w <> ''), w -> CAST(pmod(xxhash64(w), {slots}) AS INT))"
+
+
+def hashed_features(df: DataFrame, keep: list[str], numbers: str, texts: list[str], slots: int = SLOTS) -> DataFrame:
+    """``keep`` and ``features``: the array ``numbers`` followed by, for every array of word slots in
+    ``texts``, the share of the words in each slot times ``WORD_SCALE``."""
+    kept = df.select(*keep).schema
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            n = batch.num_rows
+            if not n:
+                continue
+            parts = [np.asarray(batch.column(numbers).flatten(), np.float64).reshape(n, -1)]
+            for t in texts:
+                column = batch.column(t)
+                sizes = np.asarray(pc.fill_null(pc.list_value_length(column), 0), np.int64)
+                place = np.repeat(np.arange(n), sizes) * slots + np.asarray(column.flatten(), np.int64)
+                counts = np.bincount(place, minlength=n * slots).reshape(n, slots)
+                parts.append(WORD_SCALE * counts / np.maximum(1, sizes)[:, None])
+            x = np.hstack(parts)
+            features = pa.ListArray.from_arrays(pa.array(np.arange(0, x.size + 1, x.shape[1]), pa.int32()), pa.array(x.ravel()))
+            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), features], [*keep, "features"])
+
+    schema = T.StructType([*kept.fields, T.StructField("features", T.ArrayType(T.DoubleType()))])
+    return df.select(*keep, numbers, *texts).mapInArrow(run, schema)
+
+
+def load_hashed(spark: SparkSession, sf_dir: str, task: Task, *, slots: int = SLOTS, numbers: bool = True, seed: int = 0) -> DataFrame:
+    """key, split, label, features of a task on texts: its own features (unless ``numbers`` is false)
+    and the hashed words of ``text``."""
+    base = table(spark, sf_dir, task.tables[0])
+    for other in task.tables[1:]:
+        base = base.join(table(spark, sf_dir, other), "doc_id")
+    own = F.array(*[F.expr(f).cast("double") for f in task.features]) if numbers else F.array().cast("array<double>")
+    rows = base.select(F.expr(task.key).cast("string").alias("key"), F.expr(task.label).cast("int").alias("label"), own.alias("_numbers"), F.expr(word_slots("coalesce(text, '')", slots)).alias("_slots"))
+    rows = rows.withColumn("split", split_of(F.col("key"), seed))
+    return hashed_features(rows, ["key", "split", "label"], "_numbers", ["_slots"], slots)
+
+
+def text_predictors(df: DataFrame, names: list[str]) -> list[str]:
+    """Those of ``names`` that are strings: their words are hashed, whatever their number of levels."""
+    kinds = dict(df.dtypes)
+    return [n for n in names if kinds[n] == "string"]
+
+
+def numeric_expressions(df: DataFrame, names: list[str]) -> list[tuple[str, str]]:
     """Predictor columns of any supported type as named SQL expressions of type double.
 
     Numbers, booleans and decimals are cast; timestamps and dates give day, hour and weekday;
-    arrays of numbers are expanded to the length found in the first row; strings of few levels
-    become indicators, other strings statistics of the text; binary and nested types raise.
+    arrays of numbers are expanded to the length of the longest; strings give statistics of the
+    text (their words are hashed besides, see ``text_predictors``); binary and nested types raise.
     """
     out: list[tuple[str, str]] = []
     kinds = dict(df.dtypes)
@@ -176,22 +233,16 @@ def numeric_expressions(df: DataFrame, names: list[str], *, most_levels: int = 2
             if kind != "date":
                 out.append((f"{n}_hour", f"CAST(hour({q}) AS DOUBLE)"))
         elif kind in ("array<float>", "array<double>", "array<int>"):
-            first = df.select(F.size(n).alias("n")).filter("n > 0").first()
-            out += [(f"{n}_{i}", f"CAST(get({q}, {i}) AS DOUBLE)") for i in range(first["n"] if first else 0)]
+            longest = df.agg(F.max(F.size(n)).alias("n")).first()["n"] or 0
+            out += [(f"{n}_{i}", f"CAST(get({q}, {i}) AS DOUBLE)") for i in range(max(0, longest))]
         elif kind == "string":
-            levels = [r[0] for r in df.select(n).distinct().limit(most_levels + 1).collect()]
-            if len(levels) <= most_levels:
-                for k, v in enumerate(sorted(x for x in levels if x is not None)):
-                    text = v.replace("\\", "\\\\").replace("'", "\\'")
-                    out.append((f"{n}_is_{k}", f"CAST({q} = '{text}' AS DOUBLE)"))
-            else:
-                size = f"(length({q}) + 1)"
-                out += [
-                    (f"{n}_length", f"ln(CAST({size} AS DOUBLE))"),
-                    (f"{n}_marks", f"10.0D * (length({q}) - length(translate({q}, '#$%&*|<>', ''))) / {size}"),
-                    (f"{n}_digits", f"10.0D * (length({q}) - length(translate({q}, '0123456789', ''))) / {size}"),
-                    (f"{n}_distinct", f"size(array_distinct(split({q}, ' '))) / CAST(size(split({q}, ' ')) AS DOUBLE)"),
-                ]
+            size = f"(length({q}) + 1)"
+            out += [
+                (f"{n}_length", f"ln(CAST({size} AS DOUBLE))"),
+                (f"{n}_marks", f"10.0D * (length({q}) - length(translate({q}, '#$%&*|<>', ''))) / {size}"),
+                (f"{n}_digits", f"10.0D * (length({q}) - length(translate({q}, '0123456789', ''))) / {size}"),
+                (f"{n}_distinct", f"size(array_distinct(split({q}, ' '))) / CAST(size(split({q}, ' ')) AS DOUBLE)"),
+            ]
         else:
             raise TypeError(f"column {n} of type {kind} is no predictor")
     return out

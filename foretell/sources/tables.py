@@ -28,17 +28,30 @@ def write(df: DataFrame, path: str, kind: str = "parquet", *, partition_by: tupl
     (writer.partitionBy(*partition_by) if partition_by else writer).save(path)
 
 
+def delete(spark: SparkSession, path: str) -> None:
+    """Delete a folder of any file system that Spark can reach; the session may be gone already."""
+    try:
+        at = spark._jvm.org.apache.hadoop.fs.Path(path)
+        at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+    except Exception:  # noqa: BLE001  at the end of the program there is no JVM to ask
+        pass
+
+
 def drain(df: DataFrame) -> None:
     """Run a plan without keeping its rows (for timing)."""
     df.write.format("noop").mode("overwrite").save()
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """Folder that driver and executors share (spark.checkpoint.dir); a local one where unset."""
+    """Folder that driver and executors share (spark.checkpoint.dir).
+
+    Only a session on one machine may leave it unset; there a local folder is used."""
     where = spark.conf.get("spark.checkpoint.dir", None)
     if not where:
         import tempfile
 
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
         where = f"file://{tempfile.mkdtemp(prefix='foretell-')}"
         spark.conf.set("spark.checkpoint.dir", where)
     return where.rstrip("/")

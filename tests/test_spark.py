@@ -148,3 +148,86 @@ def test_registry_without_the_training_data_operators(tmp_path):
     code = "import __spark_entry__ as e; q = e.queries(); assert 'score_linear_sql' in q and 'pipeline' not in q and set(e.oracle_sql()) <= set(q)"
     env = {k: v for k, v in os.environ.items() if k != "PYTHONPATH"}
     subprocess.run([sys.executable, "-c", code], cwd=tmp_path, env=env, check=True)
+
+
+def test_partial_sums_are_added_in_bounded_groups(spark):
+    from foretell.operators.tree_sum import gather, tree_sum
+
+    rows = spark.range(1000).select(F.lit("grad").alias("kind"), (F.col("id") % 2).alias("part"), F.floor(F.col("id") / 2).alias("task"), F.unhex(F.lit("000000000000F03F" * 3)).alias("payload"))
+    out = tree_sum(rows, 500, fan_in=7)
+    plan = out._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("FlatMapGroupsInArrow") == 4  # 500 -> 72 -> 11 -> 2 -> 1
+    assert gather(out.collect(), 3)["grad"].tolist() == [500.0] * 6
+
+
+def test_local_and_distributed_rounds_agree(line_blocks):
+    options = {"proposer": "random", "partial_iters": 3, "max_iters": 6, "batch_size": 4, "bandit": Eliminator(rule="error", tie=0.01)}
+    told = []
+    far = plan_adaptive(line_blocks, linear_pair(), Budget(models=8), on_improve=told.append, **options)
+    near = plan_adaptive(line_blocks, linear_pair(), Budget(models=8), regime="local", **options)
+    assert [(r.model_id, r.status, round(r.valid_error, 9)) for r in far.history] == [(r.model_id, r.status, round(r.valid_error, 9)) for r in near.history]
+    assert far.test_error == pytest.approx(near.test_error) and near.regime == "local"
+    assert [r.valid_error for r in told] == sorted({r.valid_error for r in told}, reverse=True) and told[-1].valid_error <= far.valid_error
+    assert far.ledger.held_out_scans > 0 and far.ledger.tables_read == far.ledger.scans
+    assert plan_adaptive(line_blocks, linear_pair(), Budget(models=8), regime="auto", **options).regime == "local"
+
+
+def test_first_stops_on_a_share_of_the_data(spark, small):
+    rows = tasks.load(spark, small, tasks.LINE_LINEAR)
+    b = packed.store(packed.pack(rows, rows_per_block=100))
+    options = {"proposer": "random", "partial_iters": 4, "max_iters": 8, "batch_size": 4, "bandit": None}
+    part = plan_adaptive(b, linear_pair(), Budget(models=4), first_share=0.25, **options)
+    assert part.ledger.tables_read == pytest.approx(4 * 0.25 + 4) and part.ledger.scans == 8
+    packed.release(b)
+
+
+def test_kernel_models_share_a_projection(spark, small):
+    from foretell.plans.planner import KernelModel
+    from foretell.plans.space import Family, ModelSpace, Real, component_pipeline, kernel_svm
+
+    b = packed.store(packed.pack(tasks.load(spark, small, tasks.LINE_XOR)))
+    space = ModelSpace((Family("gaussian", {"scale": Real(0.5, 0.500001), "skew": Real(0.0, 1e-9), "l2": Real(1e-6, 1e-2, log=True)}),))
+    r = plan_adaptive(b, space, Budget(models=4), proposer="grid", partial_iters=2, max_iters=2, batch_size=4, kernel_features=128)
+    assert r.valid_error < 0.2 and r.column.weights.shape == (129, 1) and r.test_error < 0.2
+    assert plan_adaptive(b, kernel_svm(), Budget(models=2), proposer="random", partial_iters=1, max_iters=2, batch_size=2, kernel_features=64).ledger.models == 2
+    assert KernelModel is not None
+    c = plan_adaptive(b, component_pipeline(5), Budget(models=4), proposer="random", partial_iters=2, max_iters=4, batch_size=4)
+    assert 1 <= c.config["components"] <= 5 and 0 < c.valid_error < 0.7
+
+
+def test_clauses_learn_from_words(spark, tmp_path):
+    rows = [(i, ("good news today " if i % 2 else "terrible rubbish here ") + f"number {i}", float(i % 7), i % 2) for i in range(400)]
+    given = spark.createDataFrame(rows, "id long, text string, x double, label int")
+    s = Session(spark, Catalog(spark, str(tmp_path / "plans")), budget=Budget(models=4), proposer="random", max_iters=20, partial_iters=10, batch_size=4, key=("id",))
+    scored = s.predict(given.drop("label"), "label", given=given)
+    assert scored.join(given.select("id", F.col("label").alias("y")), "id").filter("label <> y").count() == 0
+    plan = s.catalog.lookup(s.catalog.list().first()["fingerprint"])
+    plan.texts and scored.count()
+    small_inline = plan.column()
+    import foretell.plans.score as score_module
+
+    kept, score_module.INLINE_SLOTS = score_module.INLINE_SLOTS, 0
+    try:
+        both = given.select(small_inline.alias("a"), plan.column().alias("b"))
+        assert both.filter("a <> b").count() == 0
+    finally:
+        score_module.INLINE_SLOTS = kept
+    assert len(s.catalog.prior(linear_pair())) >= 4
+
+
+def test_plans_follow_the_data_and_recommendations(spark, tmp_path):
+    from foretell.plans.catalog import fingerprint
+
+    path = str(tmp_path / "t")
+    spark.range(100).selectExpr("id", "id % 2 as y").write.parquet(path)
+    first = fingerprint("y", ["id"], spark.read.parquet(path))
+    assert first == fingerprint("y", ["id"], spark.read.parquet(path))
+    spark.range(10).selectExpr("id", "id % 2 as y").write.mode("append").parquet(path)
+    assert first != fingerprint("y", ["id"], spark.read.parquet(path))
+    ratings = spark.createDataFrame([(u, i, float(1 + (u % 3 == i % 3) * 4)) for u in range(60) for i in range(40) if (u * 7 + i * 3) % 4], "u int, i int, stars double")
+    ratings.createOrReplaceTempView("ratings")
+    s = Session(spark, identifiers=("u", "i"))
+    out = predict_sql(s, "SELECT u, i, PREDICT(stars, u, i) GIVEN ratings AS p FROM ratings").toPandas()
+    assert abs(out[(out.u % 3 == out.i % 3)].p.mean() - 5) < 0.7 and abs(out[(out.u % 3 != out.i % 3)].p.mean() - 1) < 0.7
+    found = next(iter(s.recommenders.values()))
+    assert found.valid_error < found.mean_error
