@@ -23,12 +23,11 @@ and thus 128 bits agree.
 
 from __future__ import annotations
 
-from collections.abc import Callable
-
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise, release, salted_join
+from .common import materialise, salted_join
 from .components import components
 
 MAX_EDITS, CHARS_PER_EDIT = 3, 10
@@ -36,8 +35,11 @@ MAX_EDITS, CHARS_PER_EDIT = 3, 10
 RANGE = 16
 #: Comparisons (of letter counts) that one part of a key's pairs is aimed at.
 PART_PAIRS = 4_000_000
-#: Characters whose counts (up to 255 each) make a signature; all others are counted together.
+#: Characters whose counts make a signature; with the second group all others are counted together.
 COUNTED = ("eantirs", "odhlu ")
+#: A count is told in nine bits, by the state of a ring counter: two states differ in as many bits as
+#: their counts differ, or in fewer when that is over nine.
+RING = 9
 #: Where lines are cut for that, in quarters of their range's least length, and how many of COUNTED are told there.
 CUTS = {2: 2, 1: 1, 3: 1}
 SIGNATURES = [f"sig{cut}{side}{k}" for cut, groups in CUTS.items() for side in "pq" for k in range(groups)]
@@ -48,20 +50,25 @@ LONGEST_STEP = 1 << 30
 _WORD = r"[^\x20\x09-\x0D]"
 
 
-def lines_of(docs: DataFrame, id_col: str, text_col: str, edits: int, per: int) -> DataFrame:
-    """The lines that have a word: id, no (from 0), line, n (its length), here and below (the ranges of
-    lengths a partner can be in), and of either range the size of segments and the least length."""
+def lines_of(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """id, no (from 0), line: the lines that have a word."""
+    each = F.posexplode(F.split(F.coalesce(F.col(text_col), F.lit("")), "\n")).alias("no", "line")
+    return docs.select(F.col(id_col).alias("id"), each).filter(F.regexp_instr("line", F.lit(_WORD)) > 0)
+
 
-    def described(line: Column) -> Column:
-        n = F.length(line)
-        here, below = _range(n, edits, per), _range(F.greatest(n - edits, F.lit(0)), edits, per)
-        of = lambda number, name: [number.alias(name), _segment_size(number, edits, per).alias(f"size_{name}"), _least_length(number, edits, per).cast("int").alias(f"least_{name}")]
-        return F.struct(line.alias("line"), n.alias("n"), *of(here, "here"), *of(below, "below"))
+def _with(rows: DataFrame, **columns: Column) -> DataFrame:
+    """``rows`` with columns that are worked out once a row; as plain expressions they would be worked
+    out again wherever a later expression names them."""
+    return rows.select("*", F.inline(F.array(F.struct(*[c.alias(name) for name, c in columns.items()]))))
 
-    # what is made with the line is a value; made later it would be worked out again wherever it is named
-    cut = F.transform(F.split(F.coalesce(F.col(text_col), F.lit("")), "\n"), described)
-    rows = docs.select(F.col(id_col).alias("id"), F.posexplode(cut).alias("no", "_l")).select("id", "no", "_l.*")
-    return rows.filter(F.regexp_instr("line", F.lit(_WORD)) > 0)
+
+def described(lines: DataFrame, edits: int, per: int) -> DataFrame:
+    """``lines`` with n (length), here and below (the ranges of lengths a partner can be in) and, of either
+    range, the size of segments and the least length."""
+    lines = _with(lines, n=F.length("line"))
+    lines = _with(lines, here=_range(F.col("n"), edits, per), below=_range(F.greatest(F.col("n") - edits, F.lit(0)), edits, per))
+    sizes = {f"size_{of}": _segment_size(F.col(of), edits, per) for of in ("here", "below")}
+    return _with(lines, **sizes, **{f"least_{of}": _least_length(F.col(of), edits, per).cast("int") for of in ("here", "below")})
 
 
 def _div(a: Column, b: Column | int) -> Column:
@@ -115,54 +122,56 @@ def moved_keys(of: str, edits: int) -> Column:
     return F.array(*(keys if of == "here" else [F.when(F.col("below") < F.col("here"), k) for k in keys])).cast("array<bigint>")
 
 
-def signatures(least: str) -> Column:
-    """For each of CUTS, counts of characters before the cut and after it, seven or eight in a number.
+def _ring(count: Column) -> Column:
+    full = (1 << RING) - 1
+    states = [((1 << m) - 1) if m < RING else full ^ ((1 << (m - RING)) - 1) for m in range(2 * RING)]
+    return F.element_at(F.lit(np.asarray(states, np.int64)), count % (2 * RING) + 1)
+
+
+def signatures(least: str, *cuts: int) -> dict[str, Column]:
+    """Counts of characters before each cut and after it, seven in a number.
 
     What is before is measured from the line's beginning and what is after from its end, and neither
     is longer than its share of the range's ``least`` length.  An edit moves the sum of differences
     of two lines' counts by two at most: a replacement on one side, and an insertion takes in one
     character and pushes out another.  The sides do not overlap, so their edits add up."""
-    before = {cut: _div(F.col(least) * cut, 4) for cut in CUTS}
-    parts = {cut: F.array(F.substring("line", F.lit(1), m), F.substring("line", F.col("n") - F.col(least) + m + 1, F.col(least) - m)) for cut, m in before.items()}
-
-    def packed(groups: int) -> Callable[[Column], Column]:
-        def numbers(part: Column) -> Column:
-            out, rest = [], F.length(part)
-            for k, members in enumerate(COUNTED[:groups]):
+    out = {}
+    for cut in cuts:
+        before = _div(F.col(least) * cut, 4)
+        for side, start, size in (("p", F.lit(1), before), ("q", F.col("n") - F.col(least) + before + 1, F.col(least) - before)):
+            part, rest = F.substring("line", start, size), size
+            for k, members in enumerate(COUNTED[: CUTS[cut]]):
                 number = F.lit(0).cast("long")
                 for i, c in enumerate(members):
                     # with the character taken out as often as it stands, the length tells how often
-                    count = F.length(part) - F.length(F.replace(part, F.lit(c), F.lit("")))
-                    number, rest = number.bitwiseOR(F.shiftleft(F.least(count, F.lit(255)).cast("long"), 8 * i)), rest - count
-                out.append(number.bitwiseOR(F.shiftleft(F.least(rest, F.lit(255)).cast("long"), 8 * len(members))) if k == groups - 1 else number)
-            return F.array(*out)
-
-        return numbers
-
-    return F.concat(*[F.flatten(F.transform(parts[cut], packed(groups))) for cut, groups in CUTS.items()])
+                    count = size - F.length(F.replace(part, F.lit(c), F.lit("")))
+                    number, rest = number.bitwiseOR(F.shiftleft(_ring(count), RING * i)), rest - count
+                out[f"sig{cut}{side}{k}"] = number.bitwiseOR(F.shiftleft(_ring(rest), RING * len(members))) if len(members) < 7 else number
+    return out
 
 
-def _signatures_fit(a: str, b: str, edits: int, *cuts: int) -> Column:
-    """Whether the signature columns with suffixes ``a`` and ``b`` leave room for a link at these cuts."""
+def _signatures_fit(a: str, b: str, edits: int) -> Column:
+    """Whether the signature columns with suffixes ``a`` and ``b`` leave room for a link, at every cut."""
     fits = F.lit(True)
-    for cut in cuts:
+    for cut in CUTS:
         total = F.lit(0)
         for name in (f"sig{cut}{side}{k}" for side in "pq" for k in range(CUTS[cut])):
-            for k in range(8):
-                total = total + F.abs(F.shiftright(F.col(name + a), 8 * k).bitwiseAND(255) - F.shiftright(F.col(name + b), 8 * k).bitwiseAND(255))
+            total = total + F.bit_count(F.col(name + a).bitwiseXOR(F.col(name + b)))
         fits = fits & (total <= 2 * edits)
     return fits
 
 
-def _close(met: DataFrame, a: str, b: str, edits: int) -> DataFrame:
-    """Different pairs (a, b) of ``met`` whose signatures fit, at the cut in the middle first.
-
-    Written between the cuts: one condition for all grows over what the JVM compiles."""
-    some = materialise(met.filter(_signatures_fit(a, b, edits, 2)), "line-met")
-    pairs = some.filter(_signatures_fit(a, b, edits, 1, 3)).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    pairs = materialise(pairs, "line-pairs")
-    release(some)
-    return pairs
+def _signed(rows: DataFrame, texts: DataFrame, edits: int) -> DataFrame:
+    """``rows`` with the signatures and unmoved keys of their lines as lines of the range they are here for."""
+    for cuts, keys in (((2,), True), ((1, 3), False)):
+        both = None
+        for of in ("here", "below"):
+            own = texts if of == "here" else texts.filter("below < here")
+            unmoved = {f"u{k}": F.get(unmoved_keys(of, edits), F.lit(k)) for k in range(edits + 1)} if keys else {}
+            part = own.select("line_id", F.lit(of == "below").alias("low"), *[c.alias(name) for name, c in {**signatures(f"least_{of}", *cuts), **unmoved}.items()])
+            both = part if both is None else both.unionByName(part)
+        rows = rows.join(both, ["line_id", "low"])
+    return rows.drop("low")
 
 
 def _common(a: str, b: str, end: bool) -> Column:
@@ -280,18 +289,18 @@ def _pairs_across(placed: DataFrame, edits: int) -> DataFrame:
     # two lines that share several segments in place meet at the first of them
     for k in range(edits + 1):
         pairs = pairs.filter((F.col("slot_a") <= k) & (F.col("slot_b") <= k) | ~F.col(f"u{k}_a").eqNullSafe(F.coalesce(f"u{k}_b", F.lit(0))))
-    return _close(pairs.select("a", "b", *[F.col(c + side) for c in SIGNATURES for side in ("_a", "_b")]), "_a", "_b", edits)
+    return pairs.filter(_signatures_fit("_a", "_b", edits)).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
 def line_classes(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", max_edits: int = MAX_EDITS, chars_per_edit: int = CHARS_PER_EDIT) -> DataFrame:
     """id, no, class_id, class_check of every line with a word; lines are of one class when both are equal."""
     if max_edits < 1 or chars_per_edit < 2 * (max_edits + 1):
         raise ValueError("at least one edit, and two characters per edit and segment")
-    identified = lines_of(docs, id_col, text_col, max_edits, chars_per_edit).withColumn("line_id", F.xxhash64("line", "n")).withColumn("check", F.xxhash64(F.lit(1), "line"))
-    long_lines = identified.filter(F.col("n") >= chars_per_edit)
+    identified = lines_of(docs, id_col, text_col).withColumn("line_id", F.xxhash64("line")).withColumn("check", F.xxhash64(F.lit(1), "line"))
+    long_lines = identified.filter(F.length("line") >= chars_per_edit)
     # one row per different line: its keys.  Texts stay where they are
     kinds = {f"{kind.__name__[:-5]}_{of}": kind(of, max_edits) for of in ("here", "below") for kind in (unmoved_keys, moved_keys)}
-    keyed = materialise(long_lines.select("line_id", *[k.alias(name) for name, k in kinds.items()]).distinct(), "line-keys")
+    keyed = materialise(described(long_lines, max_edits, chars_per_edit).select("line_id", *[k.alias(name) for name, k in kinds.items()]).distinct(), "line-keys")
     each = F.inline(F.array(*[F.struct(F.lit(name == "unmoved_here").alias("own"), F.lit(name.endswith("below")).alias("low"), F.lit(name.startswith("moved")).alias("moved"), F.col(name).alias("keys")) for name in kinds]))
     rows = keyed.select("line_id", each).select("line_id", "own", "low", "moved", F.posexplode("keys").alias("slot", "key")).filter("key is not null")
     rows = rows.withColumn("slot", F.when(F.col("moved"), F.lit(max_edits + 1)).otherwise(F.col("slot")))
@@ -302,23 +311,20 @@ def line_classes(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "te
     # only lines that share a key move with their text, once
     wanted = materialise(rows.select("line_id").distinct(), "line-wanted")
     wanted = F.broadcast(wanted) if wanted.count() <= MAX_BROADCAST_LINES else wanted
-    described = ["line", "check", "n", *[f"{name}{of}" for of in ("here", "below") for name in ("", "size_", "least_")]]
-    texts = long_lines.join(wanted, "line_id").groupBy("line_id").agg(F.min(F.struct(*described)).alias("l")).select("line_id", "l.*")
-    below = F.col("below") < F.col("here")
-    of_range = lambda of: F.struct(signatures(f"least_{of}").alias("sigs"), unmoved_keys(of, max_edits).alias("unmoved"))
-    texts = materialise(texts.select("line_id", "line", "check", of_range("here").alias("here"), F.when(below, of_range("below")).alias("below")), "line-texts")
-    signed = rows.join(texts.select("line_id", "here", "below"), "line_id").withColumn("s", F.when(F.col("low"), F.col("below")).otherwise(F.col("here")))
-    rows = materialise(signed.select("key", "line_id", "own", "slot", *[F.get("s.unmoved", F.lit(k)).alias(f"u{k}") for k in range(max_edits + 1)], *[F.get("s.sigs", F.lit(k)).alias(c) for k, c in enumerate(SIGNATURES)]), "line-signed")
+    texts = long_lines.join(wanted, "line_id").groupBy("line_id").agg(F.min(F.struct("line", "check")).alias("l")).select("line_id", "l.*")
+    texts = materialise(described(texts, max_edits, chars_per_edit), "line-texts")
+    rows = materialise(_signed(rows, texts, max_edits), "line-signed")
 
     # star round: one leader per key
     leaders = rows.groupBy("key").agg(F.min(F.when(F.col("own"), F.struct("line_id", *SIGNATURES))).alias("l"), F.count(F.lit(1)).alias("m")).filter("m > 1").select("key", "m", F.col("l.line_id").alias("b"), *[F.col(f"l.{c}").alias(f"{c}_b") for c in SIGNATURES])
-    stars = salted_join(rows, leaders, ["key"], "m", rows.count()).filter(F.col("line_id") != F.col("b"))
-    stars = _close(stars.select(F.col("line_id").alias("a"), "b", *SIGNATURES, *[f"{c}_b" for c in SIGNATURES]), "", "_b", max_edits)
+    stars = salted_join(rows, leaders, ["key"], "m", rows.count()).filter((F.col("line_id") != F.col("b")) & _signatures_fit("", "_b", max_edits))
+    stars = materialise(stars.select(F.least("line_id", "b").alias("a"), F.greatest("line_id", "b").alias("b")).distinct(), "line-pairs")
     found = materialise(components(_verified(texts, stars, max_edits, chars_per_edit)), "line-first")
 
     # join round: only across components
     placed = rows.join(found.withColumnRenamed("node", "line_id"), "line_id", "left").withColumn("comp", F.coalesce("component", "line_id")).drop("component")
-    second = _verified(texts, _pairs_across(materialise(placed, "line-placed"), max_edits), max_edits, chars_per_edit)
+    pairs = materialise(_pairs_across(materialise(placed, "line-placed"), max_edits), "line-pairs")
+    second = _verified(texts, pairs, max_edits, chars_per_edit)
     links = found.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(second)
     checks = texts.select("line_id", "check")
     final = components(links).join(checks.withColumnsRenamed({"line_id": "component", "check": "class_check"}), "component").join(checks.withColumnRenamed("line_id", "node"), "node")
