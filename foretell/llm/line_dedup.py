@@ -47,13 +47,17 @@ SIGNATURES = [f"sig{cut}{side}{k}" for cut, groups in CUTS.items() for side in "
 MAX_BROADCAST_LINES = 2_000_000
 #: Longest step of the search for common beginnings and ends; with the smaller ones it covers any string Spark can hold.
 LONGEST_STEP = 1 << 30
-_WORD = r"[^\x20\x09-\x0D]"
+_SPACE = " \t\n\x0b\x0c\r"
+
+
+def _worded(line: Column) -> Column:
+    return F.btrim(line, F.lit(_SPACE)) != ""
 
 
 def lines_of(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     """id, no (from 0), line: the lines that have a word."""
     each = F.posexplode(F.split(F.coalesce(F.col(text_col), F.lit("")), "\n")).alias("no", "line")
-    return docs.select(F.col(id_col).alias("id"), each).filter(F.regexp_instr("line", F.lit(_WORD)) > 0)
+    return docs.select(F.col(id_col).alias("id"), each).filter(_worded(F.col("line")))
 
 
 def _with(rows: DataFrame, **columns: Column) -> DataFrame:
@@ -63,12 +67,15 @@ def _with(rows: DataFrame, **columns: Column) -> DataFrame:
 
 
 def described(lines: DataFrame, edits: int, per: int) -> DataFrame:
-    """``lines`` with n (length), here and below (the ranges of lengths a partner can be in) and, of either
-    range, the size of segments and the least length."""
+    """``lines`` with n (length), once for the range of their length and, where a partner may be shorter
+    and in the range below, once more for that: low (whether it is that), number, and the range's size
+    of segments and least length."""
     lines = _with(lines, n=F.length("line"))
     lines = _with(lines, here=_range(F.col("n"), edits, per), below=_range(F.greatest(F.col("n") - edits, F.lit(0)), edits, per))
-    sizes = {f"size_{of}": _segment_size(F.col(of), edits, per) for of in ("here", "below")}
-    return _with(lines, **sizes, **{f"least_{of}": _least_length(F.col(of), edits, per).cast("int") for of in ("here", "below")})
+    here, below = (F.struct(F.lit(low).alias("low"), F.col(of).alias("number")) for low, of in ((False, "here"), (True, "below")))
+    both = F.inline(F.when(F.col("below") < F.col("here"), F.array(here, below)).otherwise(F.array(here)))
+    lines = lines.select(*[c for c in lines.columns if c not in ("here", "below")], both)
+    return _with(lines, size=_segment_size(F.col("number"), edits, per), least=_least_length(F.col("number"), edits, per).cast("int"))
 
 
 def _div(a: Column, b: Column | int) -> Column:
@@ -93,10 +100,10 @@ def _segment_size(number: Column, edits: int, per: int) -> Column:
     return _div(_least_length(number, edits, per), F.least(number, F.lit(edits)) + 1)
 
 
-def _keys(of: str, edits: int) -> dict[tuple[bool, int, int], Column]:
-    """By (from the end, segment, move): the key of the substring of ``line`` where that segment of a
-    line in range ``of`` may stand; null where there is no such place."""
-    n, number, size = F.col("n"), F.col(of), F.col(f"size_{of}")
+def _keys(edits: int) -> dict[tuple[bool, int, int], Column]:
+    """By (from the end, segment, move): the key of the substring of a described ``line`` where that
+    segment of a line in its range may stand; null where there is no such place."""
+    n, number, size = F.col("n"), F.col("number"), F.col("size")
     out = {}
     for end in (False, True):
         for i in range((edits + 1) // 2 if end else edits // 2 + 1):
@@ -109,17 +116,15 @@ def _keys(of: str, edits: int) -> dict[tuple[bool, int, int], Column]:
     return out
 
 
-def unmoved_keys(of: str, edits: int) -> Column:
-    """The keys of a line's segments at their own places, as a line of range ``of``; null where there is none.
-    In its own range they are its index, and they probe for lines of equal length."""
-    keys = [k for (_, _, move), k in _keys(of, edits).items() if move == 0]
-    return F.array(*(keys if of == "here" else [F.when(F.col("below") < F.col("here"), k) for k in keys]))
+def unmoved_keys(edits: int) -> Column:
+    """The keys of a line's segments at their own places.  In the range of its length they are its index,
+    and they probe for lines of equal length."""
+    return F.array(*[k for (_, _, move), k in _keys(edits).items() if move == 0])
 
 
-def moved_keys(of: str, edits: int) -> Column:
-    """The keys of the other places at which a line of equal or smaller length in range ``of`` may have a segment."""
-    keys = [k for (_, _, move), k in _keys(of, edits).items() if move]
-    return F.array(*(keys if of == "here" else [F.when(F.col("below") < F.col("here"), k) for k in keys])).cast("array<bigint>")
+def moved_keys(edits: int) -> Column:
+    """The keys of the other places at which a line of equal or smaller length may have a segment."""
+    return F.array(*[k for (_, _, move), k in _keys(edits).items() if move]).cast("array<bigint>")
 
 
 def _ring(count: Column) -> Column:
@@ -128,17 +133,17 @@ def _ring(count: Column) -> Column:
     return F.element_at(F.lit(np.asarray(states, np.int64)), count % (2 * RING) + 1)
 
 
-def signatures(least: str, *cuts: int) -> dict[str, Column]:
+def signatures(*cuts: int) -> dict[str, Column]:
     """Counts of characters before each cut and after it, seven in a number.
 
     What is before is measured from the line's beginning and what is after from its end, and neither
-    is longer than its share of the range's ``least`` length.  An edit moves the sum of differences
+    is longer than its share of the range's least length.  An edit moves the sum of differences
     of two lines' counts by two at most: a replacement on one side, and an insertion takes in one
     character and pushes out another.  The sides do not overlap, so their edits add up."""
     out = {}
     for cut in cuts:
-        before = _div(F.col(least) * cut, 4)
-        for side, start, size in (("p", F.lit(1), before), ("q", F.col("n") - F.col(least) + before + 1, F.col(least) - before)):
+        before = _div(F.col("least") * cut, 4)
+        for side, start, size in (("p", F.lit(1), before), ("q", F.col("n") - F.col("least") + before + 1, F.col("least") - before)):
             part, rest = F.substring("line", start, size), size
             for k, members in enumerate(COUNTED[: CUTS[cut]]):
                 number = F.lit(0).cast("long")
@@ -163,14 +168,10 @@ def _signatures_fit(a: str, b: str, edits: int) -> Column:
 
 def _signed(rows: DataFrame, texts: DataFrame, edits: int) -> DataFrame:
     """``rows`` with the signatures and unmoved keys of their lines as lines of the range they are here for."""
-    for cuts, keys in (((2,), True), ((1, 3), False)):
-        both = None
-        for of in ("here", "below"):
-            own = texts if of == "here" else texts.filter("below < here")
-            unmoved = {f"u{k}": F.get(unmoved_keys(of, edits), F.lit(k)) for k in range(edits + 1)} if keys else {}
-            part = own.select("line_id", F.lit(of == "below").alias("low"), *[c.alias(name) for name, c in {**signatures(f"least_{of}", *cuts), **unmoved}.items()])
-            both = part if both is None else both.unionByName(part)
-        rows = rows.join(both, ["line_id", "low"])
+    unmoved = {f"u{k}": F.get(unmoved_keys(edits), F.lit(k)) for k in range(edits + 1)}
+    # in two parts: the code for all at once is more than the JVM compiles
+    for columns in (signatures(2) | unmoved, signatures(1, 3)):
+        rows = rows.join(texts.select("line_id", "low", *[c.alias(name) for name, c in columns.items()]), ["line_id", "low"])
     return rows.drop("low")
 
 
@@ -299,11 +300,11 @@ def line_classes(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "te
     identified = lines_of(docs, id_col, text_col).withColumn("line_id", F.xxhash64("line")).withColumn("check", F.xxhash64(F.lit(1), "line"))
     long_lines = identified.filter(F.length("line") >= chars_per_edit)
     # one row per different line: its keys.  Texts stay where they are
-    kinds = {f"{kind.__name__[:-5]}_{of}": kind(of, max_edits) for of in ("here", "below") for kind in (unmoved_keys, moved_keys)}
-    keyed = materialise(described(long_lines, max_edits, chars_per_edit).select("line_id", *[k.alias(name) for name, k in kinds.items()]).distinct(), "line-keys")
-    each = F.inline(F.array(*[F.struct(F.lit(name == "unmoved_here").alias("own"), F.lit(name.endswith("below")).alias("low"), F.lit(name.startswith("moved")).alias("moved"), F.col(name).alias("keys")) for name in kinds]))
-    rows = keyed.select("line_id", each).select("line_id", "own", "low", "moved", F.posexplode("keys").alias("slot", "key")).filter("key is not null")
-    rows = rows.withColumn("slot", F.when(F.col("moved"), F.lit(max_edits + 1)).otherwise(F.col("slot")))
+    keyed = described(long_lines, max_edits, chars_per_edit).select("line_id", "low", unmoved_keys(max_edits).alias("unmoved"), moved_keys(max_edits).alias("moved"))
+    keyed = materialise(keyed.distinct(), "line-keys")
+    each = F.inline(F.array(*[F.struct(F.lit(name == "moved").alias("moved"), F.col(name).alias("keys")) for name in ("unmoved", "moved")]))
+    rows = keyed.select("line_id", "low", each.alias("probe", "keys")).select("line_id", "low", "probe", F.posexplode("keys").alias("slot", "key")).filter("key is not null")
+    rows = rows.select("line_id", (~F.col("low") & ~F.col("probe")).alias("own"), "low", F.when(F.col("probe"), F.lit(max_edits + 1)).otherwise(F.col("slot")).alias("slot"), "key")
     # a key is of use when some line has it as its own and it stands twice
     times = rows.groupBy("key").agg(F.sum(F.when(F.col("own"), F.lit(1 << 40)).otherwise(F.lit(0)) + 1).alias("t"))
     met = times.filter((F.col("t") > 1 << 40) & (F.col("t").bitwiseAND((1 << 40) - 1) > 1)).select("key")
@@ -312,8 +313,8 @@ def line_classes(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "te
     wanted = materialise(rows.select("line_id").distinct(), "line-wanted")
     wanted = F.broadcast(wanted) if wanted.count() <= MAX_BROADCAST_LINES else wanted
     texts = long_lines.join(wanted, "line_id").groupBy("line_id").agg(F.min(F.struct("line", "check")).alias("l")).select("line_id", "l.*")
-    texts = materialise(described(texts, max_edits, chars_per_edit), "line-texts")
-    rows = materialise(_signed(rows, texts, max_edits), "line-signed")
+    texts = materialise(texts, "line-texts")
+    rows = materialise(_signed(rows, materialise(described(texts, max_edits, chars_per_edit), "line-described"), max_edits), "line-signed")
 
     # star round: one leader per key
     leaders = rows.groupBy("key").agg(F.min(F.when(F.col("own"), F.struct("line_id", *SIGNATURES))).alias("l"), F.count(F.lit(1)).alias("m")).filter("m > 1").select("key", "m", F.col("l.line_id").alias("b"), *[F.col(f"l.{c}").alias(f"{c}_b") for c in SIGNATURES])
@@ -340,7 +341,7 @@ def repeated_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "
     first = lines.groupBy("class_id", "class_check").agg(F.min(F.struct("id", "no")).alias("first"), F.count(F.lit(1)).alias("m")).filter("m > 1")
     again = salted_join(lines, first, ["class_id", "class_check"], "m", total).filter(~F.struct("id", "no").eqNullSafe(F.col("first")))
     removed = again.select("id", "no").distinct().groupBy("id").agg(F.array_sort(F.collect_list("no")).alias("removed_lines"))
-    counted = docs.select(F.col(id_col).alias("id"), F.size(F.filter(F.split(F.coalesce(F.col(text_col), F.lit("")), "\n"), lambda x: F.regexp_instr(x, F.lit(_WORD)) > 0)).alias("n_lines"))
+    counted = docs.select(F.col(id_col).alias("id"), F.size(F.filter(F.split(F.coalesce(F.col(text_col), F.lit("")), "\n"), _worded)).alias("n_lines"))
     out = counted.join(removed.withColumnRenamed("id", "_id"), F.col("id").eqNullSafe(F.col("_id")), "left")
     return out.select(F.col("id").alias(id_col), F.col("n_lines").cast("long").alias("n_lines"), F.coalesce("removed_lines", F.array().cast("array<int>")).alias("removed_lines"))
 
