@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import methods, published, streams, surrounding  # noqa: F401  register their entries
+from . import experiments, methods, published, streams, surrounding  # noqa: F401  register their entries
 from .methods import flagship
 from .registry import ORACLES, QUERIES, Query
 

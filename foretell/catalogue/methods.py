@@ -23,7 +23,7 @@ from ..plans.planner import column_of, plan_adaptive, plan_sequential
 from ..plans.search import Observation, make
 from ..plans.search.grid import grid_table
 from ..plans.session import Session
-from ..plans.space import L2, NOISE, RATE, ModelSpace, kernel_svm, linear_pair, random_feature_logistic, tiny
+from ..plans.space import L2, NOISE, RATE, ModelSpace, component_pipeline, kernel_svm, linear_pair, random_feature_logistic, tiny
 from ..plans.sqlfront import predict_sql
 from ..sources.tables import register
 from .registry import entry, r6
@@ -126,9 +126,19 @@ def _bowl(config) -> float:
 
 
 def _proposer(name: str) -> None:
-    @entry(f"proposer_{name}")
-    def proposer(spark: Spark, d: str) -> DataFrame:
-        """What the method proposes on a known surface, in order."""
+    @entry(f"proposer_{name}", f"SELECT '{name}' AS method, TRUE AS in_space, TRUE AS near_the_least")
+    def held(spark: Spark, d: str) -> DataFrame:
+        """On a known surface whose least value is 0.05: all proposals lie in the space, one is near the least."""
+        rows = proposed(spark).collect()
+        inside = all(RATE[0] * 0.999 <= r["rate"] <= RATE[1] * 1.001 and L2[0] * 0.999 <= r["l2"] <= L2[1] * 1.001 for r in rows)
+        return spark.createDataFrame([(name, inside and 0 < len(rows) <= 64, min(r["error"] for r in rows) <= 0.1)], "method string, in_space boolean, near_the_least boolean")
+
+    @entry(f"proposals_{name}")
+    def proposals(spark: Spark, d: str) -> DataFrame:
+        """What the method proposes on that surface, in order."""
+        return proposed(spark)
+
+    def proposed(spark: Spark) -> DataFrame:
         space, seen = linear_pair(), []
         p = make(name, space, 64, 1)
         while len(seen) < 64:
@@ -227,6 +237,17 @@ def metrics(spark: Spark, d: str) -> DataFrame:
     return m.select(*[r6(c).alias(c) for c in ("precision", "recall", "f1", "accuracy")], r6(1 - F.col("accuracy")).alias("error"))
 
 
+def _counts_sql(task: tasks.Task) -> str:
+    return f"SELECT label, count(*) AS n FROM ({tasks.task_sql(task)}) GROUP BY label"
+
+
+_MAJORITY = "round(1 - max(n) / sum(n), 6) AS majority_error"
+
+
+def majority(spark: Spark, d: str, task: tasks.Task) -> float:
+    return float(evaluate.majority_error(tasks.load(spark, d, task)).first()["majority_error"])
+
+
 # --- trainers on packed blocks ---------------------------------------------------------------------
 
 
@@ -239,13 +260,31 @@ def _pair(d: int, projection: Projection | None = None) -> list[shared_scan.Colu
     return [shared_scan.start(shared_scan.Column(i, f, r, 1e-3, projection), d) for i, (f, r) in enumerate([("logistic", 1.0), ("svm", 0.5), ("logistic", 3.0), ("svm", 0.1)])]
 
 
+#: The four models of ``_pair`` for the relational form.
+_PAIR = [gd.Model(i, f, r, 1e-3) for i, (f, r) in enumerate([("logistic", 1.0), ("svm", 0.5), ("logistic", 3.0), ("svm", 0.1)])]
+
+
+def _fitted_sql(task: tasks.Task, iterations: int, step: str = "plain") -> str:
+    """Models, errors and weights of the four models, by another engine's unrolled iterations."""
+    k = len(task.features)
+    cols = ", ".join(f"round(w{i}, 6) AS w{i}" for i in range(k + 1))
+    return f"{gd.training_sql(tasks.task_sql(task), _PAIR, k, iterations, step=step)} SELECT m.model_id, family, CAST({iterations} AS INT) AS iters_done, round(valid_error, 6) AS valid_error, round(test_error, 6) AS test_error, {cols} FROM m{iterations} m JOIN ({gd.errors_sql(f'm{iterations}', k)}) e ON e.model_id = m.model_id"
+
+
+def _fitted_frame(spark: Spark, rows: list[tuple], k: int) -> DataFrame:
+    """(model_id, family, iterations, errors, weights) as the SQL above gives them."""
+    out = [(i, f, n, round(v, 6), round(t, 6), *[round(float(w), 6) + 0.0 for w in ws]) for i, f, n, v, t, ws in rows]
+    return spark.createDataFrame(out, f"model_id int, family string, iters_done int, valid_error double, test_error double, {', '.join(f'w{i} double' for i in range(k + 1))}")
+
+
 def _shared(name: str, task: tasks.Task, iterations: int, **options) -> None:
     k = len(task.features)
 
-    @entry(f"shared_scan_{name}", None)
+    @entry(f"shared_scan_{name}", _fitted_sql(task, iterations, options.get("step", "plain")) if "minibatches" not in options else None)
     def run(spark: Spark, d: str) -> DataFrame:
         columns = _pair(k)
-        return _columns_frame(spark, columns, shared_scan.train(blocks_of(spark, d, task), columns, iterations, **options))
+        p = shared_scan.train(blocks_of(spark, d, task), columns, iterations, **options)
+        return _fitted_frame(spark, [(c.model_id, c.family, c.iterations, p.error(i), p.error(i, "test"), c.weights[:, 0]) for i, c in enumerate(columns)], k)
 
 
 _shared("gemm", tasks.LINE_LINEAR, 10)
@@ -281,14 +320,25 @@ def cauchy_feature_training(spark: Spark, d: str) -> DataFrame:
 def _descent(name: str, task: tasks.Task, classes: int, size: int, l2s: list[float], **options) -> None:
     k = len(task.features)
 
-    @entry(f"block_descent_{name}")
-    def run(spark: Spark, d: str) -> DataFrame:
+    def cycles(spark: Spark, d: str) -> list[tuple]:
         b = blocks_of(spark, d, task)
         model, rows = BlockDescent(Projection(k, size, 3, 0.6), classes, l2s, block=size // 2, **options), []
         for cycle in range(2):
             for v, s in model.train(b).items():
                 rows.append((cycle, v, s["objective"], s["train_error"], s["valid_error"]))
-        return spark.createDataFrame(rows, "cycle int, l2 double, objective double, train_error double, valid_error double")
+        return rows
+
+    @entry(f"block_descent_figures_{name}")
+    def figures(spark: Spark, d: str) -> DataFrame:
+        return spark.createDataFrame(cycles(spark, d), "cycle int, l2 double, objective double, train_error double, valid_error double")
+
+    @entry(f"block_descent_{name}", f"SELECT CAST(l2 AS DOUBLE) AS l2, {_MAJORITY}, TRUE AS objective_falls, TRUE AS beats_majority FROM ({_counts_sql(task)}), (VALUES {', '.join(f'({v!r})' for v in l2s)}) v(l2) GROUP BY l2")
+    def run(spark: Spark, d: str) -> DataFrame:
+        """What holds after two cycles: the objective falls, and training errors are below the majority class's."""
+        base, rows = majority(spark, d, task), cycles(spark, d)
+        objective = {(c, v): o for c, v, o, _, _ in rows}
+        out = [(v, round(base, 6), objective[1, v] <= objective[0, v] + 1e-9, e < base) for c, v, _, e, _ in rows if c == 1]
+        return spark.createDataFrame(out, "l2 double, majority_error double, objective_falls boolean, beats_majority boolean")
 
 
 _descent("binary", tasks.LINE_XOR, 2, 128, [1e-6, 1e-4, 1e-2])
@@ -303,10 +353,12 @@ def one_vs_rest_languages(spark: Spark, d: str) -> DataFrame:
     return _columns_frame(spark, columns, shared_scan.train(blocks_of(spark, d, tasks.DOC_LANG4), columns, 20, classes=4))
 
 
-@entry("local_fanout")
+@entry("local_fanout", _fitted_sql(tasks.DOC_QUALITY, 20))
 def local_training(spark: Spark, d: str) -> DataFrame:
     """Small data: one task per model, no pass of the driver."""
-    return local_fanout(blocks_of(spark, d, tasks.DOC_QUALITY), _pair(4), 20)
+    family = F.element_at(F.array(*[F.lit(m.family) for m in _PAIR]), (F.col("model_id") + 1).cast("int"))
+    out = local_fanout(blocks_of(spark, d, tasks.DOC_QUALITY), _pair(4), 20)
+    return out.select(F.col("model_id").cast("int").alias("model_id"), family.alias("family"), "iters_done", r6("valid_error").alias("valid_error"), r6("test_error").alias("test_error"), *[r6(F.get("weights", F.lit(i))).alias(f"w{i}") for i in range(5)])
 
 
 @entry("recommendation_als")
@@ -360,26 +412,49 @@ def library_grid_search(spark: Spark, d: str) -> DataFrame:
 # --- planners --------------------------------------------------------------------------------------
 
 
-def _summary(spark: Spark, rows: list[tuple[str, object]]) -> DataFrame:
-    out = [(name, r.config.family, float(r.config.get("rate", 0.0)), float(r.config["l2"]), r.valid_error, r.test_error, r.partial, r.ledger.models, r.ledger.model_iterations, r.ledger.scans, r.ledger.round_trips) for name, r in rows]
-    return spark.createDataFrame(out, "run string, family string, rate double, l2 double, valid_error double, test_error double, partial boolean, models int, model_iterations int, scans int, round_trips int")
+def _planner(name: str, task: tasks.Task, run, *, control: bool = False) -> None:
+    """A plan, and what must hold of it: its test error is not above the majority class's by more than
+    three standard errors (for a control: nor below), and every pass stands in the ledger."""
 
-
-def _planner(name: str, task: tasks.Task, run) -> None:
-    @entry(f"plan_{name}")
+    @entry(f"plan_{name}", f"SELECT '{name}' AS run, {_MAJORITY}, TRUE AS as_expected, TRUE AS charged FROM ({_counts_sql(task)})")
+    def plan(spark: Spark, d: str) -> DataFrame:
+        blocks = blocks_of(spark, d, task)
+        r, base = run(blocks), majority(spark, d, task)
+        tests = blocks.filter("split = 'test'").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n")).first()["n"]
+        spread = 3 * math.sqrt(base * (1 - base) / max(1, tests))
+        fine = r.test_error <= base + spread and (not control or r.test_error >= base - spread)
+        ledger = r.ledger
+        charged = 0 < ledger.scans <= ledger.model_iterations and ledger.round_trips == 2 * (ledger.scans + ledger.held_out_scans) and ledger.models == len({h.model_id for h in r.history})
+        packed.release(blocks)
+        return spark.createDataFrame([(name, round(base, 6), bool(fine), bool(charged))], "run string, majority_error double, as_expected boolean, charged boolean")
+
+
+def _fixed_planner(name: str, task: tasks.Task, space: ModelSpace, models: int, iterations: int, proposer: str, run) -> None:
+    """A plan whose configurations do not depend on what was observed, against the other engine's training
+    of the same configurations and its choice of the least validation error."""
+    k, found = len(task.features), make(proposer, space, models, 0)
+    configs: list = []
+    while len(configs) < models and (fresh := found.propose(models - len(configs), [])):
+        configs += fresh
+    own = [gd.Model(i, c.family, float(c["rate"]), float(c["l2"])) for i, c in enumerate(configs)]
+    sql = f"{gd.training_sql(tasks.task_sql(task), own, k, iterations)} SELECT '{name}' AS run, family, round(rate, 6) AS rate, round(l2, 6) AS l2, round(valid_error, 6) AS valid_error, round(test_error, 6) AS test_error, CAST({models} AS INT) AS models, CAST({models * iterations} AS INT) AS model_iterations FROM m{iterations} m JOIN ({gd.errors_sql(f'm{iterations}', k)}) e ON e.model_id = m.model_id ORDER BY valid_error, m.model_id LIMIT 1"
+
+    @entry(f"plan_{name}", sql)
     def plan(spark: Spark, d: str) -> DataFrame:
-        return _summary(spark, [(name, run(blocks_of(spark, d, task)))])
+        r = run(blocks_of(spark, d, task))
+        row = (name, r.config.family, round(float(r.config["rate"]), 6), round(float(r.config["l2"]), 6), round(r.valid_error, 6), round(r.test_error, 6), r.ledger.models, r.ledger.model_iterations)
+        return spark.createDataFrame([row], "run string, family string, rate double, l2 double, valid_error double, test_error double, models int, model_iterations int")
 
 
 _SMALL = {"partial_iters": 4, "max_iters": 12, "batch_size": 8}
-_planner("sequential_grid", tasks.LINE_LINEAR, lambda b: plan_sequential(b, tiny(), Budget(models=4), max_iters=5))
-_planner("sequential_random", tasks.DOC_QUALITY, lambda b: plan_sequential(b, linear_pair(), Budget(models=4), proposer="random", max_iters=5))
+_fixed_planner("sequential_grid", tasks.LINE_LINEAR, tiny(), 4, 5, "grid", lambda b: plan_sequential(b, tiny(), Budget(models=4), max_iters=5))
+_fixed_planner("sequential_random", tasks.DOC_QUALITY, linear_pair(), 4, 5, "random", lambda b: plan_sequential(b, linear_pair(), Budget(models=4), proposer="random", max_iters=5))
 for _n in ("grid", "random", "parzen", "directions", "simplex", "forest", "gaussian_process"):
     _planner(f"adaptive_{_n}", tasks.DOC_QUALITY, lambda b, n=_n: plan_adaptive(b, linear_pair(), Budget(models=16), proposer=n, bandit=Eliminator(), **_SMALL))
 _planner("bandit_error_rule", tasks.DOC_QUALITY, lambda b: plan_adaptive(b, linear_pair(), Budget(models=16), proposer="random", bandit=Eliminator(rule="error", tie=0.01), **_SMALL))
 _planner("bandit_once", tasks.DOC_QUALITY, lambda b: plan_adaptive(b, linear_pair(), Budget(models=16), proposer="random", bandit=Eliminator(check="once", include_current=True), **_SMALL))
 _planner("successive_halving", tasks.DOC_QUALITY, lambda b: plan_adaptive(b, linear_pair(), Budget(models=16), proposer="random", bandit=SuccessiveHalving(), **_SMALL))
-_planner("no_bandit", tasks.DOC_QUALITY, lambda b: plan_adaptive(b, linear_pair(), Budget(models=16), proposer="random", **_SMALL))
+_fixed_planner("no_bandit", tasks.DOC_QUALITY, linear_pair(), 16, 12, "random", lambda b: plan_adaptive(b, linear_pair(), Budget(models=16), proposer="random", **_SMALL))
 _planner("budget_iterations", tasks.DOC_QUALITY, lambda b: plan_adaptive(b, linear_pair(), Budget(model_iterations=60), proposer="random", bandit=Eliminator(), **_SMALL))
 _planner("budget_scans", tasks.DOC_QUALITY, lambda b: plan_adaptive(b, linear_pair(), Budget(scans=8), proposer="random", bandit=Eliminator(), **_SMALL))
 _planner("target_error", tasks.DOC_QUALITY, lambda b: plan_adaptive(b, linear_pair(), Budget(models=32, target_error=0.02), proposer="random", bandit=Eliminator(), **_SMALL))
@@ -387,7 +462,11 @@ _planner("random_features", tasks.LINE_XOR, lambda b: plan_adaptive(b, random_fe
 _planner("kernel_space", tasks.LINE_XOR, lambda b: plan_adaptive(b, kernel_svm(), Budget(models=6), proposer="random", bandit=Eliminator(), partial_iters=4, max_iters=8, batch_size=6))
 _planner("warm_start", tasks.DOC_QUALITY, lambda b: plan_adaptive(b, linear_pair(), Budget(models=8), proposer="parzen", bandit=Eliminator(), prior=[Observation(linear_pair().draw(5, i), 0.05 + 0.01 * i) for i in range(20)], **_SMALL))
 for _n in ("control_return", "control_status", "control_embedding", "control_event", "control_order"):
-    _planner(_n, T[_n], lambda b: plan_adaptive(b, linear_pair(), Budget(models=4), proposer="random", bandit=Eliminator(), partial_iters=3, max_iters=6, batch_size=4))
+    _planner(_n, T[_n], lambda b: plan_adaptive(b, linear_pair(), Budget(models=4), proposer="random", bandit=Eliminator(), partial_iters=3, max_iters=6, batch_size=4), control=True)
+_fixed_planner("local_regime", tasks.DOC_QUALITY, linear_pair(), 16, 12, "random", lambda b: plan_adaptive(b, linear_pair(), Budget(models=16), proposer="random", regime="local", **_SMALL))
+_planner("first_share", tasks.DOC_QUALITY, lambda b: plan_adaptive(b, linear_pair(), Budget(models=16), proposer="random", bandit=Eliminator(rule="error", tie=0.01), first_share=0.5, **_SMALL))
+_planner("components", tasks.EMB_PLANE, lambda b: plan_adaptive(b, component_pipeline(64), Budget(models=12), proposer="random", regime="local", partial_iters=5, max_iters=20, batch_size=12))
+_planner("kernel_classes147", tasks.LINE_147, lambda b: plan_adaptive(b, kernel_svm(), Budget(models=2), proposer="random", classes=147, partial_iters=2, max_iters=2, batch_size=2, kernel_features=256))
 
 
 @entry("plan_history")
@@ -441,6 +520,63 @@ _predictive("predict_two_clauses", "SELECT doc_id, PREDICT(quality, text) GIVEN
 _predictive("predict_regression", "SELECT l_orderkey, l_linenumber, PREDICT(l_extendedprice, l_quantity, l_discount) GIVEN (SELECT l_extendedprice, l_quantity, l_discount FROM lineitem) AS price FROM lineitem")
 
 
+def _predicted(spark: Spark, d: str, sql: str) -> DataFrame:
+    register(spark, d, "documents", "labels", "lineitem")
+    spark.sql("SELECT * FROM documents JOIN labels USING (doc_id)").createOrReplaceTempView("labelled")
+    return predict_sql(_session(spark), sql)
+
+
+@entry("check_predict_topk", "SELECT doc_id, n_chars, TRUE AS known_class FROM documents WHERE source = 'src1' AND doc_id NOT IN (SELECT doc_id FROM labels) ORDER BY n_chars DESC, doc_id LIMIT 50")
+def check_predict_topk(spark: Spark, d: str) -> DataFrame:
+    """The rows of the ordered query are those of the query without the clause."""
+    out = _predicted(spark, d, "SELECT doc_id, n_chars, PREDICT(quality, text, n_chars) GIVEN labelled AS q FROM documents WHERE source = 'src1' AND doc_id NOT IN (SELECT doc_id FROM labels) ORDER BY n_chars DESC, doc_id LIMIT 50")
+    return out.select("doc_id", "n_chars", F.col("q").isin(0, 1).alias("known_class"))
+
+
+@entry("check_predict_filter", "SELECT count(*) AS documents, TRUE AS under_5_percent_wrong FROM documents WHERE n_chars > 500")
+def check_predict_filter(spark: Spark, d: str) -> DataFrame:
+    """Documents that the predicted language lets through, against the language that is known."""
+    out = _predicted(spark, d, "SELECT doc_id, lang, PREDICT(lang, text) GIVEN (SELECT lang, text FROM documents) AS p FROM documents WHERE n_chars > 500")
+    return out.agg(F.count(F.lit(1)).alias("documents"), (F.avg(((F.col("p") == "en") != (F.col("lang") == "en")).cast("double")) < 0.05).alias("under_5_percent_wrong"))
+
+
+@entry("check_predict_groupby", "SELECT count(*) AS n, TRUE AS two_groups FROM documents")
+def check_predict_groupby(spark: Spark, d: str) -> DataFrame:
+    out = _predicted(spark, d, "SELECT PREDICT(quality, text) GIVEN labelled AS quality, count(*) AS n FROM documents GROUP BY PREDICT(quality, text) GIVEN labelled")
+    return out.agg(F.sum("n").alias("n"), (F.count(F.lit(1)) == 2).alias("two_groups"))
+
+
+@entry("check_predict_two_clauses", "SELECT count(*) AS labelled, TRUE AS quality_beats_majority, TRUE AS toxic_no_worse FROM documents JOIN labels USING (doc_id)")
+def check_predict_two_clauses(spark: Spark, d: str) -> DataFrame:
+    from ..sources.tables import table
+
+    out = _predicted(spark, d, "SELECT doc_id, PREDICT(quality, text) GIVEN labelled AS q, PREDICT(toxic, text) GIVEN labelled AS t FROM documents")
+    wrong = lambda p, y: F.avg((F.col(p) != F.col(y)).cast("double"))
+    rare = lambda y: F.least(F.avg(y), 1 - F.avg(y))
+    return out.join(table(spark, d, "labels"), "doc_id").agg(F.count(F.lit(1)).alias("labelled"), (wrong("q", "quality") < rare("quality")).alias("quality_beats_majority"), (wrong("t", "toxic") <= rare("toxic")).alias("toxic_no_worse"))
+
+
+@entry("check_predict_regression", "SELECT count(*) AS n, TRUE AS below_variance FROM lineitem")
+def check_predict_regression(spark: Spark, d: str) -> DataFrame:
+    out = _predicted(spark, d, "SELECT l_extendedprice, PREDICT(l_extendedprice, l_quantity, l_discount) GIVEN (SELECT l_extendedprice, l_quantity, l_discount FROM lineitem) AS price FROM lineitem")
+    return out.agg(F.count(F.lit(1)).alias("n"), (F.avg(F.pow(F.col("price") - F.col("l_extendedprice"), 2)) <= F.var_pop("l_extendedprice") * 1.01).alias("below_variance"))
+
+
+@entry("predict_recommendation", "SELECT count(*) AS pairs, TRUE AS near_the_mean FROM (SELECT DISTINCT o_custkey, l_partkey FROM orders JOIN lineitem ON o_orderkey = l_orderkey)")
+def predict_recommendation(spark: Spark, d: str) -> DataFrame:
+    """How often a customer orders a part, by a clause over two identifiers; the counts are nearly all one,
+    so the factors must not be far worse than the mean."""
+    from ..sources.tables import table
+
+    o, lines = table(spark, d, "orders"), table(spark, d, "lineitem")
+    counts = o.join(lines, o["o_orderkey"] == lines["l_orderkey"]).groupBy("o_custkey", "l_partkey").agg(F.count(F.lit(1)).alias("times"))
+    counts.createOrReplaceTempView("ordered")
+    session = Session(spark, identifiers=("o_custkey", "l_partkey"))
+    out = predict_sql(session, "SELECT o_custkey, l_partkey, times, PREDICT(times, o_custkey, l_partkey) GIVEN ordered AS expected FROM ordered")
+    error = F.sqrt(F.avg(F.pow(F.col("expected") - F.col("times"), 2)))
+    return out.agg(F.count(F.lit(1)).alias("pairs"), (error <= 1.5 * F.stddev_pop("times") + 0.05).alias("near_the_mean"))
+
+
 @entry("predict_dataframe")
 def predict_dataframe(spark: Spark, d: str) -> DataFrame:
     """The DataFrame form with default predictors."""

@@ -80,8 +80,19 @@ def margin_sql(d: int) -> str:
     return " + ".join(["w0", *(f"w{i} * x{i}" for i in range(1, d + 1))])
 
 
-def training_sql(rows_sql: str, models: Sequence[Model], d: int, iterations: int, where: str = "split = 'train'") -> str:
+#: What a step keeps besides the weights, as (first value, next value, next weight) in SQL: {a} is the kept
+#: value, {g} the gradient, {w} the weight.
+_STEPS = {
+    "plain": ("0.0", "0.0", "{w} - rate * {g}"),
+    "adagrad": ("1e-8", "{a} + {g} * {g}", "{w} - rate * {g} / sqrt({a} + {g} * {g})"),
+    "nesterov": ("0.0", "0.9 * {a} - rate * {g}", "{w} + 0.9 * (0.9 * {a} - rate * {g}) - rate * {g}"),
+}
+
+
+def training_sql(rows_sql: str, models: Sequence[Model], d: int, iterations: int, where: str = "split = 'train'", step: str = "plain") -> str:
     """WITH clause (without the final SELECT): rows, and models after each iteration as m0, m1, ..."""
+    if step != "plain":
+        return _stepped_sql(rows_sql, models, d, iterations, where, step)
     values = ", ".join(f"({m.model_id}, '{m.family}', {m.rate!r}, {m.l2!r}, {', '.join(['0.0'] * (d + 1))})" for m in models)
     parts = [f"raw_rows AS MATERIALIZED ({rows_sql})", f"fit AS (SELECT * FROM raw_rows WHERE {where})"]
     parts.append(f"m0(model_id, family, rate, l2, {', '.join(weights(d))}) AS (SELECT col0, col1, col2::DOUBLE, col3::DOUBLE, {', '.join(f'col{i + 4}::DOUBLE' for i in range(d + 1))} FROM (VALUES {values}))")
@@ -93,3 +104,27 @@ def training_sql(rows_sql: str, models: Sequence[Model], d: int, iterations: int
         new = ", ".join(["w0 - rate * g0 AS w0", *(f"w{i} - rate * (g{i} + l2 * w{i}) AS w{i}" for i in range(1, d + 1))])
         parts.append(f"m{t + 1} AS MATERIALIZED (SELECT model_id, family, rate, l2, {new} FROM (SELECT {keys}, {grads} FROM (SELECT *, {res} AS r FROM fit, m{t}) GROUP BY {keys}))")
     return "WITH " + ",\n".join(parts)
+
+
+def _stepped_sql(rows_sql: str, models: Sequence[Model], d: int, iterations: int, where: str, step: str) -> str:
+    """``training_sql`` with a step that keeps a value a0..ad beside every weight."""
+    first, kept, moved = _STEPS[step]
+    state = [*weights(d), *(f"a{i}" for i in range(d + 1))]
+    values = ", ".join(f"({m.model_id}, '{m.family}', {m.rate!r}, {m.l2!r}, {', '.join(['0.0'] * (d + 1) + [first] * (d + 1))})" for m in models)
+    parts = [f"raw_rows AS MATERIALIZED ({rows_sql})", f"fit AS (SELECT * FROM raw_rows WHERE {where})"]
+    parts.append(f"m0(model_id, family, rate, l2, {', '.join(state)}) AS (SELECT col0, col1, col2::DOUBLE, col3::DOUBLE, {', '.join(f'col{i + 4}::DOUBLE' for i in range(len(state)))} FROM (VALUES {values}))")
+    z = margin_sql(d)
+    res = f"CASE family WHEN 'logistic' THEN 1.0 / (1.0 + exp(-({z}))) - label WHEN 'svm' THEN CASE WHEN (2 * label - 1) * ({z}) < 1 THEN -(2.0 * label - 1) ELSE 0.0 END ELSE ({z}) - label END"
+    for t in range(iterations):
+        keys = f"model_id, family, rate, l2, {', '.join(state)}"
+        grads = ", ".join(["avg(r) AS g0", *(f"avg(r * x{i}) AS h{i}" for i in range(1, d + 1))])
+        named = ", ".join([keys, "g0", *(f"h{i} + l2 * w{i} AS g{i}" for i in range(1, d + 1))])
+        new = ", ".join([*(moved.format(a=f"a{i}", g=f"g{i}", w=f"w{i}") + f" AS w{i}" for i in range(d + 1)), *(kept.format(a=f"a{i}", g=f"g{i}") + f" AS a{i}" for i in range(d + 1))])
+        parts.append(f"m{t + 1} AS MATERIALIZED (SELECT model_id, family, rate, l2, {new} FROM (SELECT {named} FROM (SELECT {keys}, {grads} FROM (SELECT *, {res} AS r FROM fit, m{t}) GROUP BY {keys})))")
+    return "WITH " + ",\n".join(parts)
+
+
+def errors_sql(models: str, d: int) -> str:
+    """(model_id, valid_error, test_error) of a table of models over ``raw_rows``."""
+    wrong = f"CASE WHEN (CASE WHEN {margin_sql(d)} > 0 THEN 1 ELSE 0 END) = label THEN 0.0 ELSE 1.0 END"
+    return f"SELECT model_id, avg(CASE WHEN split = 'valid' THEN {wrong} END) AS valid_error, avg(CASE WHEN split = 'test' THEN {wrong} END) AS test_error FROM raw_rows, {models} GROUP BY model_id"
