@@ -98,10 +98,6 @@ class Chunk:
     def word_hashes(self) -> np.ndarray:
         return self.span_hashes(self.starts, self.ends)
 
-    def gram_hashes(self, n: int) -> np.ndarray:
-        """Hash of the ``n`` bytes from each byte on (the last n - 1 of the chunk left out)."""
-        at = np.arange(max(0, len(self.data) - n + 1))
-        return self.span_hashes(at, at + n)
 
     def characters(self) -> tuple[np.ndarray, np.ndarray]:
         """Byte offsets of all characters and, last, of the end; and the numbers of each text's first
