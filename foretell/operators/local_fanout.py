@@ -51,6 +51,8 @@ class LocalData:
                             loss[i] = task.loss[g] / max(1, task.rows.get("train", 0))
                             if task.rows.get("train"):
                                 shared_scan.update(own[i], task.grads[g], task.rows["train"], step=step)
+                            else:
+                                own[i].iterations += 1  # nothing to learn from
                     task = shared_scan.Task(own, classes, kernel)
                     for split, x, y in data.value:
                         if split == "valid":

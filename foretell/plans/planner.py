@@ -106,6 +106,8 @@ class _Training:
         # a share of the first stop's data is a share of the blocks
         some = F.pmod(F.xxhash64(F.col("block_id")), F.lit(1000)) < round(1000 * first_share)
         self.some = self.train if first_share >= 1 else self.train.filter(some)
+        if first_share < 1 and not self.some.limit(1).count():  # few blocks: none may be in the share
+            self.some, self.first_share = self.train, 1.0
         self.features = kernel_features or min(204_800, max(256, 16 * self.d))
         self.descents: dict[tuple, BlockDescent] = {}
         self.principal: tuple[np.ndarray, np.ndarray] | None = None
@@ -161,6 +163,8 @@ class _Training:
                         if p.rows.get("train"):
                             loss[m.model_id] = float(p.loss[k] / p.rows["train"])
                             shared_scan.update(m, p.grads[k], p.rows["train"], step=self.step)
+                        else:
+                            m.iterations += 1  # nothing to learn from; the plan still ends
                     self.ledger.charge(len(own), 1, share)
             result = shared_scan.scan(self.valid, [m for m, _ in columns], self.classes, kernel=self.kernel, tasks=self.tasks)
             error |= {m.model_id: result.error(k) for k, (m, _) in enumerate(columns)}

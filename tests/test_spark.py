@@ -178,6 +178,10 @@ def test_first_stops_on_a_share_of_the_data(spark, small):
     options = {"proposer": "random", "partial_iters": 4, "max_iters": 8, "batch_size": 4, "bandit": None}
     part = plan_adaptive(b, linear_pair(), Budget(models=4), first_share=0.25, **options)
     assert part.ledger.tables_read == pytest.approx(4 * 0.25 + 4) and part.ledger.scans == 8
+    # a share without any block: all are read
+    assert plan_adaptive(b, linear_pair(), Budget(models=4), first_share=0.0001, **options).ledger.tables_read == 8
+    # and a plan without training rows ends
+    assert plan_adaptive(b.filter("split <> 'train'"), linear_pair(), Budget(models=4), **options).ledger.models == 4
     packed.release(b)
 
 
