@@ -199,6 +199,37 @@ def test_kernel_models_share_a_projection(spark, small):
     assert 1 <= c.config["components"] <= 5 and 0 < c.valid_error < 0.7
 
 
+def test_narrow_kernel_models_take_one_pass(spark, small, monkeypatch):
+    """Steps from kept sums equal steps by passes, and a plan reads the training data once a projection."""
+    from foretell.operators import block_descent as bd
+    from foretell.plans.space import kernel_svm
+
+    b = packed.store(packed.pack(tasks.load(spark, small, tasks.LINE_XOR)))
+    l2s = [1e-5, 1e-2]
+    slow, fast = (BlockDescent(Projection(5, 96, 3, 0.6), 2, l2s, block=40) for _ in range(2))
+    made = []
+    for _ in range(4):
+        slow.step(b)
+        made.append(bd.step_kept(b, [fast]))
+    assert made == [True, False, False, False] and fast.passes == slow.passes == 4
+    want = slow.state(b)
+    for v in l2s:
+        assert np.allclose(slow.weights[v], fast.weights[v], rtol=1e-6, atol=1e-8)
+        assert fast.objective(v) == pytest.approx(want[v]["objective"], rel=1e-9)
+    options = {"proposer": "random", "bandit": None, "partial_iters": 2, "max_iters": 4, "batch_size": 3, "kernel_features": 64}
+    quick = plan_adaptive(b, kernel_svm(), Budget(models=3), **options)
+    assert quick.ledger.scans == 1 and quick.ledger.model_iterations == 12
+    monkeypatch.setattr(bd, "KEPT", 0)
+    passes = plan_adaptive(b, kernel_svm(), Budget(models=3), **options)
+    assert passes.ledger.scans == 4 and passes.config == quick.config and passes.test_error == quick.test_error
+    assert [(r.model_id, r.status, r.valid_error) for r in passes.history] == [(r.model_id, r.status, r.valid_error) for r in quick.history]
+    assert [r.train_loss for r in passes.history] == pytest.approx([r.train_loss for r in quick.history])
+    # no training rows: the plan still ends
+    none = plan_adaptive(b.filter("split <> 'train'"), kernel_svm(), Budget(models=2), **options)
+    assert none.ledger.models == 2
+    packed.release(b)
+
+
 def test_clauses_learn_from_words(spark, tmp_path):
     rows = [(i, ("good news today " if i % 2 else "terrible rubbish here ") + f"number {i}", float(i % 7), i % 2) for i in range(400)]
     given = spark.createDataFrame(rows, "id long, text string, x double, label int")
