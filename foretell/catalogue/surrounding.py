@@ -214,8 +214,8 @@ def window_lag(spark: Spark, d: str) -> DataFrame:
 
 @entry("window_range", "SELECT event_id, count(*) OVER w AS n, round(avg(value) OVER w, 9) AS mean FROM events WINDOW w AS (PARTITION BY event_type ORDER BY CAST(floor(epoch(ts)) AS BIGINT) RANGE BETWEEN 86400 PRECEDING AND CURRENT ROW)")
 def window_range(spark: Spark, d: str) -> DataFrame:
-    w = Window.partitionBy("event_type").orderBy(F.unix_timestamp("ts")).rangeBetween(-86400, 0)
-    return table(spark, d, "events").select("event_id", F.count(F.lit(1)).over(w).alias("n"), F.round(F.avg("value").over(w), 9).alias("mean"))
+    e = R.trailing(table(spark, d, "events").select("event_id", "event_type", "ts", "value"), "event_type", F.unix_timestamp("ts"), "value", 86400)
+    return e.select("event_id", F.col("_n").alias("n"), F.round(F.when(F.col("_values") > 0, F.col("_sum") / F.col("_values")), 9).alias("mean"))
 
 
 @entry("sort_limit", "SELECT doc_id, n_chars FROM documents ORDER BY n_chars DESC, doc_id LIMIT 50")

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Sequence
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 
@@ -35,6 +35,37 @@ def interval_join(left: DataFrame, right: DataFrame, by: str, left_time: str, ri
     return a.join(b, (a["_b"] == b["_b"]) & (F.col(by) == F.col("_by")) & near).drop("_b", "_by")
 
 
+def trailing(df: DataFrame, by: str, time: Column, value: str, seconds: int) -> DataFrame:
+    """Every row with ``_n`` and ``_sum``, ``_values``: the rows of its key whose time, in whole seconds, is
+    at most ``seconds`` before its own and not after it, and the sum and number of their values.
+
+    Times are cut into blocks as long as the range.  What a row sees is the start of its own block and
+    the end of the block before, so every row is told to two blocks and each sum runs once over a block:
+    the work is that of a sort, whatever the range holds, and nothing is added that is not in the range.
+    Rows without a time see each other.  Values are added as 1024ths and the rest, so sums of moderate
+    values are rounded once, in whatever order they are added.
+    """
+    length = seconds + 1
+    own = df.withColumn("_t", time).withColumn("_b", F.floor(F.col("_t") / length)).withColumn("_p", F.col("_t") - F.col("_b") * length)
+    row = F.struct(*df.columns)
+    here = own.select(F.col(by).alias("_by"), "_b", "_p", F.lit(0).alias("_old"), F.col(value).alias("_v"), row.alias("_row"))
+    old = own.filter("_t IS NOT NULL").select(F.col(by).alias("_by"), (F.col("_b") + 1).alias("_b"), "_p", F.lit(1).alias("_old"), F.col(value).alias("_v"), F.lit(None).cast(own.select(row).schema[0].dataType).alias("_row"))
+    block = Window.partitionBy("_by", "_b")
+    start = block.orderBy("_p").rangeBetween(Window.unboundedPreceding, 0)
+    # at one place the block's own rows come first: of the block before they see only what is later
+    end = block.orderBy(F.desc("_p"), "_old").rowsBetween(Window.unboundedPreceding, 0)
+    mine, before = F.col("_old") == 0, F.col("_old") == 1
+    coarse = F.rint(F.col("_v") * 1024) / 1024
+    fine = F.when(F.abs("_v") < 1e300, F.col("_v") - coarse).otherwise(0.0)
+    coarse = F.when(F.abs("_v") < 1e300, coarse).otherwise(F.col("_v"))
+    count = lambda c: lambda w, side: F.count(F.when(side, c)).over(w)
+    total = lambda c: lambda w, side: F.coalesce(F.sum(F.when(side, c)).over(w), F.lit(0.0))
+    sums = {"_n": count(F.lit(1)), "_values": count(F.col("_v")), "_coarse": total(coarse), "_fine": total(fine)}
+    both = here.unionByName(old).select("*", *[f(start, mine).alias(f"{k}_a") for k, f in sums.items()], *[f(end, before).alias(f"{k}_z") for k, f in sums.items()])
+    seen = {k: F.col(f"{k}_a") + F.col(f"{k}_z") for k in sums}
+    return both.filter("_old = 0").select("_row.*", seen["_n"].alias("_n"), seen["_values"].alias("_values"), (seen["_coarse"] + seen["_fine"]).alias("_sum"))
+
+
 def range_join(values: DataFrame, column: str, ranges: DataFrame, low: str, high: str) -> DataFrame:
     """Each value with the range [low, high) it is in; ``ranges`` is a small table, broadcast
     after its size is checked."""

@@ -117,6 +117,34 @@ def test_joins(spark):
     assert got == {"x": 0.9, "y": 0.4, "z": None}
 
 
+def test_trailing_sums_take_no_frame_a_row(spark, tmp_path):
+    """Equal to a frame of a range of seconds, also without a time, key or value, and before 1970."""
+    from pyspark.sql import Window
+
+    from foretell.catalogue.surrounding import window_range
+
+    rows = [(i, ("a", "b", None)[i % 3], None if i % 50 == 7 else (i * i * 37) % 4000 - 2000, None if i % 11 == 3 or i % 3 == 1 and i % 2 else float(i % 13) / 4) for i in range(600)]
+    rows += [(600 + i, "c", t, 1.0) for i, t in enumerate((0, 100, 101, 202, 303, -1, -101))]
+    df = spark.createDataFrame(rows, "id int, k string, s long, v double")
+    w = Window.partitionBy("k").orderBy("s").rangeBetween(-100, 0)
+    want = df.select("id", F.count(F.lit(1)).over(w).alias("n"), F.count("v").over(w).alias("values"), F.sum("v").over(w).alias("sum"))
+    got = R.trailing(df, "k", F.col("s"), "v", 100).select("id", F.col("_n").alias("n"), F.col("_values").alias("values"), F.when(F.col("_values") > 0, F.col("_sum")).alias("sum"))
+    assert sorted(got.collect()) == sorted(want.collect()) and got.count() == len(rows)
+    # sums are rounded once: 256 values of hundredths, whose mean ends in a 5 at the tenth place
+    cents = spark.range(256).selectExpr("id", "'a' AS k", "id AS s", "IF(id = 0, 4.18, 48.55 + (id % 2) * 0.04) AS v").withColumn("v", F.col("v").cast("double"))
+    last = R.trailing(cents, "k", F.col("s"), "v", 300).filter("id = 255").first()
+    assert last["_n"] == 256 and last["_sum"] == (418 + 127 * 4855 + 128 * 4859) / 100
+    odd = spark.createDataFrame([(0, "a", 0, float("inf")), (1, "a", 1, 1.0), (2, "a", 200, 2.0), (3, "b", 0, float("nan"))], "id int, k string, s long, v double")
+    assert [str(r["_sum"]) for r in R.trailing(odd, "k", F.col("s"), "v", 100).orderBy("id").collect()] == ["inf", "inf", "2.0", "nan"]
+    # half a million events of one type within a day: frames by the row would add up 10**11 rows
+    many = spark.range(500_000).selectExpr("id AS event_id", "timestamp_millis(id * 86) AS ts", "'view' AS event_type", "1.5 AS value")
+    many.withColumn("value", F.col("value").cast("double")).write.parquet(str(tmp_path / "events.parquet"))
+    out = window_range(spark, str(tmp_path))
+    assert out.agg(F.max("n"), F.min("mean"), F.max("mean")).first() == (500_000, 1.5, 1.5)
+    assert out.columns == ["event_id", "n", "mean"]
+    assert "specifiedwindowframe(RangeFrame, -86400" not in out._jdf.queryExecution().executedPlan().toString()
+
+
 def test_synthetic_source(spark):
     synthetic.register(spark)
     df = spark.read.format("synthetic_matrix").options(rows="5000", features="4", noise="0.1", partitions="3").load()
