@@ -12,6 +12,7 @@ from foretell.sources.tables import TABLES
 #: Entries, and the tables that Spark reads for them.
 MOVED = {
     "ablation_cube": "orders",
+    "ablation_pivot": "orders",
 }  # moved
 
 
