@@ -13,6 +13,7 @@ from foretell.sources.tables import TABLES
 MOVED = {
     "ablation_cube": "orders",
     "ablation_pivot": "orders",
+    "ablation_speedup": "orders",
 }  # moved
 
 
