@@ -14,6 +14,7 @@ MOVED = {
     "ablation_cube": "orders",
     "ablation_pivot": "orders",
     "ablation_speedup": "orders",
+    "batching_speedup": "lineitem",
 }  # moved
 
 
