@@ -15,6 +15,7 @@ MOVED = {
     "ablation_pivot": "orders",
     "ablation_speedup": "orders",
     "batching_speedup": "lineitem",
+    "best_model": "events",
 }  # moved
 
 
