@@ -16,6 +16,7 @@ MOVED = {
     "ablation_speedup": "orders",
     "batching_speedup": "lineitem",
     "best_model": "events",
+    "best_so_far": "events",
 }  # moved
 
 
