@@ -17,6 +17,7 @@ MOVED = {
     "batching_speedup": "lineitem",
     "best_model": "events",
     "best_so_far": "events",
+    "convergence_gain": "events",
 }  # moved
 
 
