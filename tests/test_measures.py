@@ -18,6 +18,7 @@ MOVED = {
     "best_model": "events",
     "best_so_far": "events",
     "convergence_gain": "events",
+    "data_bytes": "lineitem documents labels embeddings events orders",
 }  # moved
 
 
