@@ -19,6 +19,7 @@ MOVED = {
     "best_so_far": "events",
     "convergence_gain": "events",
     "data_bytes": "lineitem documents labels embeddings events orders",
+    "draw_uniform": "orders",
 }  # moved
 
 
