@@ -20,6 +20,7 @@ MOVED = {
     "convergence_gain": "events",
     "data_bytes": "lineitem documents labels embeddings events orders",
     "draw_uniform": "orders",
+    "eliminate_error": "events",
 }  # moved
 
 
