@@ -21,6 +21,7 @@ MOVED = {
     "data_bytes": "lineitem documents labels embeddings events orders",
     "draw_uniform": "orders",
     "eliminate_error": "events",
+    "eliminate_quality": "events",
 }  # moved
 
 
