@@ -22,6 +22,7 @@ MOVED = {
     "draw_uniform": "orders",
     "eliminate_error": "events",
     "eliminate_quality": "events",
+    "end_to_end_gain": "orders",
 }  # moved
 
 
