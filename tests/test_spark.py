@@ -48,6 +48,21 @@ def test_blocks_keep_every_row(spark, small, line_blocks):
     assert line_blocks.agg(F.sum("n")).first()[0] == t.count()
 
 
+def test_stored_blocks_of_one_file_are_split(spark):
+    """A relation packed by one task is not one row group, which only one task could read."""
+    import glob
+
+    import pyarrow.parquet as pq
+
+    rows = spark.range(200_000, numPartitions=1).selectExpr("'train' AS split", "CAST(id % 2 AS INT) AS label", "array(CAST(id AS DOUBLE), 1D, 2D, 3D, 4D) AS features")
+    b = packed.store(packed.pack(rows))
+    (path,) = b.inputFiles()
+    (file,) = glob.glob(path.removeprefix("file://"))
+    assert pq.ParquetFile(file).num_row_groups == b.count() == 4
+    assert b.agg(F.sum("n")).first()[0] == 200_000
+    packed.release(b)
+
+
 def test_shared_scan_equals_relational_descent(spark, small, line_blocks):
     models = [gd.Model(1, "logistic", 0.5, 0.01), gd.Model(2, "svm", 0.2, 0.01)]
     rows = tasks.load(spark, small, tasks.LINE_LINEAR, wide=True).filter("split = 'train'")
