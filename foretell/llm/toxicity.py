@@ -33,6 +33,8 @@ LEVEL, LEAST = 30.0, 4
 #: Log ratio of presence in favour of the category from which a feature may be used.
 TOWARDS = 2.5
 FOLDS = 3
+#: Feature numbers that the driver counts at a time.
+COUNTED = 1 << 18
 THRESHOLD = 0.5
 
 
@@ -81,61 +83,112 @@ class Chain:
         return out
 
 
-def _learn(x: linear.Sparse, y: np.ndarray, dense: np.ndarray) -> tuple[np.ndarray, float, np.ndarray]:
-    dim = 1 << BITS
+class Presence:
+    """Distinct feature numbers of every row, end to end in 32 bits: what the driver holds of the sample.
+
+    No array beside it has an element for each of them, only for those of ``COUNTED`` at a time
+    and for those of picked features.
+    """
+
+    def __init__(self, ids: Sequence[np.ndarray]):
+        self.n = len(ids)
+        self.ends = np.cumsum([len(i) for i in ids], dtype=np.int64)
+        self.flat = np.concatenate([*ids, np.empty(0, np.int32)])
+
+    def _blocks(self) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """(row, feature number), ``COUNTED`` at a time."""
+        for at in range(0, len(self.flat), COUNTED):
+            cols = self.flat[at : at + COUNTED]
+            yield np.searchsorted(self.ends, np.arange(at, at + len(cols)), side="right"), cols
+
+    def counts(self, group: np.ndarray, n_groups: int) -> np.ndarray:
+        """(groups, features): rows of the group that have the feature."""
+        out = np.zeros((n_groups, 1 << BITS), np.int32)
+        for rows, cols in self._blocks():
+            own = group[rows]
+            for g in range(n_groups):
+                out[g] += np.bincount(cols[own == g], minlength=1 << BITS).astype(np.int32)
+        return out
+
+    def only(self, ids: np.ndarray, keep: np.ndarray) -> linear.Sparse:
+        """The rows to keep with the features of ``ids`` (ascending), both numbered anew."""
+        picked, renumber = np.zeros(1 << BITS, bool), np.cumsum(keep) - 1
+        picked[ids] = True
+        out = object.__new__(linear.Sparse)
+        parts = [(np.empty(0, np.int64), np.empty(0, np.int32))]
+        for rows, cols in self._blocks():
+            mask = picked[cols] & keep[rows]
+            parts.append((renumber[rows[mask]], cols[mask]))
+        out.rows, out.cols = np.concatenate([r for r, _ in parts]), np.searchsorted(ids, np.concatenate([c for _, c in parts]))
+        out.vals, out.n = np.ones(len(out.cols)), int(keep.sum())
+        return out
+
+
+def _learn(x: Presence, keep: np.ndarray, both: np.ndarray, one: np.ndarray, y: np.ndarray, dense: np.ndarray) -> tuple[np.ndarray, np.ndarray, float, np.ndarray]:
+    """Feature numbers, their weights, intercept and weights of ``dense``, from the rows to keep.
+
+    ``both``, ``one``: how many of these rows, and of those of the category, have each feature;
+    ``y`` and ``dense`` are of these rows.
+    """
     n1, n0 = y.sum(), (1 - y).sum()
-    one, both = np.bincount(x.cols, y[x.rows], minlength=dim), np.bincount(x.cols, minlength=dim)
-    zero = both - one
+    ids = np.flatnonzero(both >= LEAST)
+    one, zero = one[ids].astype(np.float64), (both[ids] - one[ids]).astype(np.float64)
     a, b = one, zero
     c, d = n1 - one, n0 - zero
     n = n1 + n0
     chi = n * (a * d - b * c) ** 2 / np.maximum(1e-9, (a + b) * (c + d) * (a + c) * (b + d))
     ratio = np.log((one + 0.5) / (n1 + 1)) - np.log((zero + 0.5) / (n0 + 1))
-    picked = (chi >= LEVEL) & (both >= LEAST) & (ratio > TOWARDS)
-    ids = np.flatnonzero(picked)
-    own = x.only(picked)
-    own.cols = np.searchsorted(ids, own.cols)  # few features are left: fit in their own numbering
-    start = ratio[ids] * max(0.0, linear.platt(own.dot(ratio[ids]), y)[0])
+    picked = (chi >= LEVEL) & (ratio > TOWARDS)
+    ids, ratio = ids[picked], ratio[picked]
+    own = x.only(ids, keep)  # few features are left: fit in their own numbering
+    start = ratio * max(0.0, linear.platt(own.dot(ratio), y)[0])
     w, bias, v = linear.fit(own, y, len(ids), start=start, dense=dense, l2=1e-4, rate=0.1, steps=100)
-    out = np.zeros(dim)
-    out[ids] = w
-    return out, bias, v
-
-
-def train(docs: DataFrame, labels: DataFrame, categories: Sequence[str], *, id_col: str = "doc_id", text_col: str = "text", most: int = linear.MAX_SAMPLE) -> Chain | None:
-    """Fit the chain on at most ``most`` labelled rows; None when a category lacks a class."""
-    sample = linear.labelled_sample(docs, labels, categories, id_col=id_col, text_col=text_col, most=most)
-    id_type = docs.schema[id_col].dataType.simpleString()
-    marks = [f"_label_{c}" for c in categories]
+    return ids, w, bias, v
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            ids = pa.array([i.astype(np.int32).tobytes() for i in features(batch.column("_text"))], pa.binary())
-            yield pa.RecordBatch.from_arrays([batch.column("_id"), *[batch.column(m) for m in marks], ids], ["id", *marks, "ids"])
 
-    rows = sample.select("_id", *marks, "_text").mapInArrow(run, f"id {id_type}, {', '.join(f'{m} double' for m in marks)}, ids binary").toArrow().to_pydict()
-    order = sorted(range(len(rows["id"])), key=lambda k: rows["id"][k])
-    x = linear.Sparse([np.frombuffer(rows["ids"][k], np.int32) for k in order])
+def fit_chain(x: Presence, marks: Sequence[np.ndarray], categories: Sequence[str]) -> Chain | None:
+    """The chain of the categories whose 0 and 1 of every row are ``marks``; None when one lacks a class."""
     fold = linear.folds(x.n, FOLDS)
+    everything, have = np.ones(x.n, bool), x.counts(fold, FOLDS)
     seen = np.zeros((x.n, 0))  # log-odds of earlier links, out of fold
     links = []
-    for m in marks:
-        y = np.asarray([float(rows[m][k] > 0) for k in order])
+    for y in marks:
         if not 0 < y.sum() < len(y):
             return None
         held = np.full(x.n, y.mean())
+        of_one = x.counts(np.where(y > 0, fold, FOLDS), FOLDS)
+        both, one = have.sum(0, dtype=np.int32), of_one.sum(0, dtype=np.int32)
         for f in range(FOLDS):
             own = fold != f
             if 0 < y[own].sum() < own.sum():
-                w, b, v = _learn(x.subset(own), y[own], seen[own])
-                held[~own] = linear.sigmoid(x.subset(~own).dot(w) + b + seen[~own] @ v)
-        w, b, v = _learn(x, y, seen)
-        ids = np.flatnonzero(w)
-        links.append((ids, w[ids], b, v))
+                ids, w, b, v = _learn(x, own, both - have[f], one - of_one[f], y[own], seen[own])
+                held[~own] = linear.sigmoid(x.only(ids, ~own).dot(w) + b + seen[~own] @ v)
+        ids, w, b, v = _learn(x, everything, both, one, y, seen)
+        links.append((ids[w != 0], w[w != 0], b, v))
         seen = np.column_stack((seen, linear.logit(held)))
     return Chain(categories, links)
 
 
+def train(docs: DataFrame, labels: DataFrame, categories: Sequence[str], *, id_col: str = "doc_id", text_col: str = "text", most: int = linear.MAX_SAMPLE) -> Chain | None:
+    """Fit the chain on at most ``most`` labelled rows; None when a category lacks a class."""
+    sample = linear.labelled_sample(docs, labels, categories, id_col=id_col, text_col=text_col, most=most)
+    id_type = docs.schema[id_col].dataType.simpleString()
+    marks = [f"_label_{c}" for c in categories]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            ids = pa.array([i.astype(np.int32).tobytes() for i in features(batch.column("_text"))], pa.binary())
+            yield pa.RecordBatch.from_arrays([batch.column("_id"), *[batch.column(m) for m in marks], ids], ["id", *marks, "ids"])
+
+    rows = sample.select("_id", *marks, "_text").mapInArrow(run, f"id {id_type}, {', '.join(f'{m} double' for m in marks)}, ids binary").toArrow()
+    id_of = rows.column("id").to_pylist()
+    order = sorted(range(len(id_of)), key=lambda k: id_of[k])
+    x = Presence([np.frombuffer(i.as_buffer(), np.int32) for i in map(list(rows.column("ids")).__getitem__, order)])
+    ys = [(rows.column(m).to_numpy()[order] > 0).astype(np.float64) for m in marks]
+    del rows
+    return fit_chain(x, ys, categories)
+
+
 def with_complement(labels: DataFrame) -> DataFrame:
     """doc_id, low_quality, toxic of the given label table."""
     return labels.select("doc_id", (1 - F.col("quality")).alias("low_quality"), "toxic")

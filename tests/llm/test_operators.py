@@ -5,6 +5,7 @@ from __future__ import annotations
 import random
 import re
 import string
+import tracemalloc
 import zlib
 from collections import Counter
 
@@ -15,6 +16,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from foretell.llm import decontaminate, jaccard_join, language, mixing, quality, sharding, token_counts, toxicity, url_filter
+from foretell.llm import components as components_module
 from foretell.llm import textkernel as K
 from foretell.llm.components import components
 
@@ -404,3 +406,43 @@ def test_pipeline_stages_keep_columns(spark, small):
             break
     out = P.run(spark, small)
     assert {"doc_id", "shard", "slot"} <= set(out.columns) and out.count() > 100
+
+
+def test_chain_is_fitted_in_little_memory():
+    """The driver holds 4 bytes a feature number of the sample, not several 8-byte copies."""
+    rng = np.random.default_rng(3)
+    toxic = (rng.random(6000) < 0.2).astype(np.float64)
+    ids = [np.unique(np.concatenate((rng.zipf(1.15, 600) * 7919 % (1 << 20), rng.integers(500, 530, 3 * int(t))))).astype(np.int32) for t in toxic]
+    tracemalloc.start()
+    chain = toxicity.fit_chain(toxicity.Presence(ids), [toxic], ["toxic"])
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert set(chain.links[0][0]) == set(range(500, 530)) and peak < 100e6
+    assert toxicity.fit_chain(toxicity.Presence([]), [np.zeros(0)], ["toxic"]) is None
+
+
+def test_a_round_of_components(spark):
+    links = spark.createDataFrame([(i + 1, i) for i in range(9)], "a long, b long")
+    plan = components_module._small_star(components_module._large_star(links))._jdf.queryExecution().optimizedPlan().toString()
+    # the large star's rows are not made distinct, and the small star has no second branch
+    assert plan.count("Aggregate") == 4
+    got = {tuple(r) for r in components_module._small_star(components_module._large_star(links)).collect()}
+    both = [(a, b) for i in range(9) for a, b in ((i + 1, i), (i, i + 1))]
+    low = {a: min([a, *(y for x, y in both if x == a)]) for a, _ in both}
+    large = {(b, low[a]) for a, b in both if b > a and b != low[a]}
+    least = {a: min(y for x, y in large if x == a) for a, _ in large}
+    assert got == {(b, least[a]) for a, b in large if b != least[a]} | set(least.items())
+
+
+def test_pipeline_hands_few_texts_at_a_time(spark):
+    import corpus_pipeline as P
+
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(name)
+    try:
+        for given, held in ((10000, P.BATCH_ROWS), (0, P.BATCH_ROWS), (-1, P.BATCH_ROWS), (7, 7)):
+            spark.conf.set(name, str(given))
+            P.small_batches(spark)
+            assert int(spark.conf.get(name)) == held
+    finally:
+        spark.conf.set(name, before)
